@@ -77,7 +77,8 @@ def to_frame(rows: list[tuple], schema: str):
 
     names = [c.split() for c in schema.split(", ")]
     columns = list(zip(*rows, strict=True)) if rows else [()] * len(names)
-    return pd.DataFrame({n: pd.array(list(c), "Int64") if kind in ("long", "int") else list(c) for (n, kind), c in zip(names, columns, strict=True)})
+    typed = lambda c, kind: pd.array(list(c), "Int64") if kind in ("long", "int") else pd.Series(list(c), dtype=object if kind in ("string", "binary") or "<" in kind else None)
+    return pd.DataFrame({n: typed(c, kind) for (n, kind), c in zip(names, columns, strict=True)})
 
 
 def whole(series) -> list:
