@@ -1,0 +1 @@
+"""Readers, writers and the labelled workloads built from the given tables."""
