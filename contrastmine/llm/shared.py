@@ -7,14 +7,10 @@ import tempfile
 import types
 import uuid
 
-from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-import contrastmine
 
-# Executors need no copy of the package on their path: its functions travel with the task.
-cloudpickle.register_pickle_by_value(contrastmine)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
