@@ -1,6 +1,6 @@
 """Workloads: a source, a label and named predicates, each written once as SQL that Spark and DuckDB both read.
 
-`@rx(text, 'pattern')` stands for the dialect's regular-expression test, `@day(ts)` for the day of a timestamp."""
+`@rx(text, @re'pattern')` stands for the dialect's regular-expression test, `@el(array, k)` for an element, `@day(ts)` for a day."""
 
 from __future__ import annotations
 
@@ -23,6 +23,7 @@ class Workload:
 
 
 def dialect(sql: str, spark: bool) -> str:
+    sql = re.sub(r"@el\(", "element_at(" if spark else "list_extract(", sql)
     sql = re.sub(r"@rx\(", "rlike(" if spark else "regexp_matches(", sql)
     sql = re.sub(r"@day\(([^)]*)\)", r"cast(\1 as date)", sql)
     if spark:
@@ -69,7 +70,7 @@ def _all() -> list[Workload]:
     part_items = [(f"brand={a}{b}", f"p_brand = 'Brand#{a}{b}'") for a in range(1, 6) for b in range(1, 6)] + bands("size", "p_size", [11, 21, 31, 41])
     suppliers = "(select s1.*, n.n_regionkey from supplier s1 join nation n on s1.s_nationkey = n.n_nationkey) s"
     supplier_items = values("region", "n_regionkey", range(5)) + values("nation", "s_nationkey", range(25))
-    signs = tuple((f"d{k}", f"element_at(embedding, {k + 1}) > 0") for k in range(12))
+    signs = tuple((f"d{k}", f"@el(embedding, {k + 1}) > 0") for k in range(12))
     held = "(select d.doc_id, d.text, d.lang, d.source, d.n_chars, case when b.doc_id is null then 0 else 1 end leaked from documents d left join (select distinct d2.doc_id from documents d2 join benchmark b2 on contains(d2.text, b2.text)) b on b.doc_id = d.doc_id) s"
     docs, conv = tuple(DOC_FLAGS + DOC_MORE), "conversations"
     return [
@@ -88,7 +89,7 @@ def _all() -> list[Workload]:
         Workload("parts", ("part",), "part", "case when p_type like '%PROMO%' then 1 else 0 end", tuple(part_items)),
         Workload("suppliers", ("supplier", "nation"), suppliers, "case when s_acctbal < 0 then 1 else 0 end", tuple(supplier_items)),
         Workload("embeddings", ("embeddings",), EMBEDDED, "case when label = 0 then 1 else 0 end", signs),
-        Workload("embeddings_planted", ("embeddings",), EMBEDDED, "case when element_at(embedding, 1) > 0 and not element_at(embedding, 2) > 0 then 1 else 0 end", signs),
+        Workload("embeddings_planted", ("embeddings",), EMBEDDED, "case when @el(embedding, 1) > 0 and not @el(embedding, 2) > 0 then 1 else 0 end", signs),
     ]
 
 
