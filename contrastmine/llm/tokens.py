@@ -2,20 +2,23 @@
 
 The tokenizer drops white space before it splits words, and no word spans a blank, so a text's ids are those of its
 pieces in order. Texts are split and numbered by piece in Arrow; each distinct piece is encoded once per worker and
-batch. Pieces of lower-case letters, most of any text, go to the library's model straight, as its normaliser and
-splitter leave them unchanged; all others take the library's whole path. The cache is emptied when it holds `limit`
+batch. Pieces of ASCII and Latin-1 letters, digits and marks, most of any text here, are lower-cased and split as the
+library's normaliser and splitter would, and go to its model straight; all others take its whole path. The cache is emptied when it holds `limit`
 pieces, which changes the speed only."""
 
 from __future__ import annotations
 
 import os
-import unicodedata
+import re
+from array import array
 
 import numpy as np
 
 from .shared import worker_state
 
-END_MARKS = frozenset(".,;:!?")
+# Letters of ASCII and Latin-1, digits and marks, without those that start a contraction or a special token; and its words.
+PLAIN = re.compile("[!-&(-;=-~À-ÖØ-öø-ÿ]+")
+PARTS = re.compile("[a-zß-öø-ÿ]+|[0-9]|[^a-zß-öø-ÿ0-9]+")
 
 
 def byte_letters() -> list[str]:
@@ -33,41 +36,31 @@ class PieceEncoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.limit = limit
         self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
+        self.code = "H" if self.kind.itemsize == 2 else "I"
         self.letters = byte_letters()
         self.cache: dict[str, bytes] = {"": b""}
 
     def _bytes(self, ids) -> bytes:
-        return np.asarray(ids, self.kind).tobytes()
+        return array(self.code, ids).tobytes()
 
     def _whole(self, piece: str) -> bytes:
         return self._bytes(self.tokenizer.encode(piece, add_special_tokens=False).ids)
 
     def _word(self, word: str) -> bytes:
-        """Of a word of lower-case letters."""
-        if not word.isascii():
-            if not unicodedata.is_normalized("NFC", word):
-                return self._whole(word)
-            word = "".join(map(self.letters.__getitem__, word.encode()))
-        return self._bytes([t.id for t in self.tokenizer.model.tokenize(word)])
+        """Of a lower-case word, a digit or a run of marks: what the splitter hands to the model."""
+        out = self.cache.get(word)
+        if out is None:
+            known = word if word.isascii() else "".join(map(self.letters.__getitem__, word.encode()))
+            out = self.cache[word] = self._bytes([t.id for t in self.tokenizer.model.tokenize(known)])
+        return out
 
     def _new(self, piece: str) -> bytes:
-        """An ASCII piece has the ids of its lower-case form, and a mark after a letter is a word of its own."""
-        stem, tail, cache = piece, "", self.cache
-        if piece.isascii() and "<" not in piece:
-            stem = piece.lower()
-            if len(stem) > 1 and stem[-1] in END_MARKS and stem[-2].isalpha():
-                stem, tail = stem[:-1], stem[-1]
-        out = cache.get(stem)
-        if out is None:
-            out = self._word(stem) if stem.isalpha() and stem.islower() else self._whole(stem)
-            cache[stem] = out
-        if tail:
-            mark = cache.get(tail)
-            if mark is None:
-                mark = cache[tail] = self._whole(tail)
-            out += mark
-        if stem != piece:
-            cache[piece] = out
+        if PLAIN.fullmatch(piece):
+            parts = PARTS.findall(piece.lower())
+            out = self._word(parts[0]) if len(parts) == 1 else b"".join(map(self._word, parts))
+        else:
+            out = self._whole(piece)
+        self.cache[piece] = out
         return out
 
     def encode(self, texts, end: int | None = None) -> list[np.ndarray]:
