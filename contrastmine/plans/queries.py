@@ -345,19 +345,19 @@ def join_asof_orders(spark, sf_dir):
     return relational.join_asof(events.where("event_type = 'purchase'").select("event_id", "user_id", "ts"), views, "user_id", "ts", ["last_view"]).select("event_id", "last_view")
 
 
-FLAG = F.when(F.col("l_returnflag") == "R", 1).otherwise(0)
+FLAG = lambda: F.when(F.col("l_returnflag") == "R", 1).otherwise(0)  # noqa: E731  columns need a session, so none is made at import
 COUNTS = "sum(case when l_returnflag = 'R' then 1 else 0 end)::bigint n_pos, sum(case when l_returnflag = 'R' then 0 else 1 end)::bigint n_neg"
-query("class_counts_lineitem", f"select l_linestatus, l_linenumber, {COUNTS} from lineitem group by all")(lambda spark, sf_dir: relational.class_counts(read(spark, sf_dir, "lineitem"), ["l_linestatus", "l_linenumber"], FLAG))
-query("rollup_label", f"select l_linestatus, l_linenumber, {COUNTS} from lineitem group by rollup(l_linestatus, l_linenumber)")(lambda spark, sf_dir: relational.class_rollup(read(spark, sf_dir, "lineitem"), ["l_linestatus", "l_linenumber"], FLAG))
+query("class_counts_lineitem", f"select l_linestatus, l_linenumber, {COUNTS} from lineitem group by all")(lambda spark, sf_dir: relational.class_counts(read(spark, sf_dir, "lineitem"), ["l_linestatus", "l_linenumber"], FLAG()))
+query("rollup_label", f"select l_linestatus, l_linenumber, {COUNTS} from lineitem group by rollup(l_linestatus, l_linenumber)")(lambda spark, sf_dir: relational.class_rollup(read(spark, sf_dir, "lineitem"), ["l_linestatus", "l_linenumber"], FLAG()))
 query("grouping_sets_label", f"select l_linestatus, l_linenumber, {COUNTS} from lineitem group by grouping sets ((l_linestatus), (l_linenumber))")(
-    lambda spark, sf_dir: relational.class_grouping_sets(read(spark, sf_dir, "lineitem"), [["l_linestatus"], ["l_linenumber"]], ["l_linestatus", "l_linenumber"], FLAG)
+    lambda spark, sf_dir: relational.class_grouping_sets(read(spark, sf_dir, "lineitem"), [["l_linestatus"], ["l_linenumber"]], ["l_linestatus", "l_linenumber"], FLAG())
 )
 query("distinct_profile_orders", "select count(distinct o_custkey) n_o_custkey, count(distinct o_orderpriority) n_o_orderpriority from orders")(lambda spark, sf_dir: relational.distinct_profile(read(spark, sf_dir, "orders"), ["o_custkey", "o_orderpriority"]))
 query("win_cumulative_class", f"with h as (select l_quantity \"value\", {COUNTS} from lineitem group by 1) select \"value\", sum(n_pos) over (order by \"value\")::bigint cum_pos, sum(n_neg) over (order by \"value\")::bigint cum_neg from h")(
-    lambda spark, sf_dir: relational.cumulative_class(relational.value_histogram(read(spark, sf_dir, "lineitem"), "l_quantity", FLAG))
+    lambda spark, sf_dir: relational.cumulative_class(relational.value_histogram(read(spark, sf_dir, "lineitem"), "l_quantity", FLAG()))
 )
 query("win_boundary_points", f"with h as (select l_tax \"value\", {COUNTS} from lineitem group by 1) select \"value\", lead(\"value\") over (order by \"value\") \"next\" from h qualify \"next\" is not null")(
-    lambda spark, sf_dir: relational.boundary_points(relational.value_histogram(read(spark, sf_dir, "lineitem"), "l_tax", FLAG))
+    lambda spark, sf_dir: relational.boundary_points(relational.value_histogram(read(spark, sf_dir, "lineitem"), "l_tax", FLAG()))
 )
 query("win_range_7d", "select event_id, count(*) over (partition by user_id order by ts range between interval 7 days preceding and current row) n_recent from events")(
     lambda spark, sf_dir: relational.rolling_events(read(spark, sf_dir, "events"), "user_id", "ts", 7 * 86400).select("event_id", "n_recent")
