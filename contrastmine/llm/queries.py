@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from . import chat, decontaminate, jaccard, media, packing, pii, secret_scan, sstable, toxicity, url_filter
+from .oracles import chat_sql, url_sql
 from .shared import table
 
 
@@ -56,4 +57,4 @@ def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (op1_toxicity, op2_url_filter, op3_token_shards, op4_jaccard_join, op5_media_columns, op6_packing, op7_chat_format, op8_pii, op9_secret_scan, op10_decontaminate)}
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL = {"op2_url_filter": url_sql(), "op7_chat_format": chat_sql()}
