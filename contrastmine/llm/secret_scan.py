@@ -12,7 +12,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text
+from .shared import clean_text, drawn_share
 from .spans import located, masked
 
 ASSIGN = r"""(?i:(password|passwd|secret|token|api_?key))["']? *[:=] *["']?([A-Za-z0-9+/_.=-]++)"""
@@ -38,10 +38,12 @@ def base_spans(text: Column) -> dict[str, Column]:
 def labelled_samples(docs: DataFrame, strings: int = SAMPLE_STRINGS, sample_docs: int = SAMPLE_DOCS) -> DataFrame:
     """(token, random): hash-drawn strings in mixed alphabets against words and joined words of documents.
 
-    The sample is bounded: so many strings, and the words of so many documents, those with the least hashes of their ids."""
+    The sample is bounded: so many strings, and the words of about so many documents, drawn by a hash of id and text at
+    the share that their number asks for; no rows are gathered for it."""
     spark = docs.sparkSession
     drawn = spark.range(strings).select(F.explode(F.array(F.base64(F.unhex(F.substring(F.sha2(F.col("id").cast("string"), 256), 1, 48))), F.substring(F.translate(F.base64(F.unhex(F.sha2(F.concat(F.lit("s"), F.col("id").cast("string")), 256))), "+/=", "xyz"), 1, 32))).alias("token"), F.lit(1).alias("random"))
-    chosen = docs.select("doc_id", clean_text().alias("text")).where("doc_id is not null").orderBy(F.xxhash64("doc_id")).limit(sample_docs)
+    share = min(1.0, sample_docs / max(1, docs.count()))
+    chosen = docs.select(clean_text().alias("text")).where(drawn_share(share, "text"))
     words = chosen.select(F.filter(F.regexp_extract_all("text", F.lit(r"[A-Za-z0-9_]{3,}+"), F.lit(0)), lambda w: ~w.rlike(r"[0-9a-f]{12}|AKIA|[0-9].*[A-Za-z].*[0-9]")).alias("w"))
     plain = words.select(F.explode("w").alias("token"))
     pair = words.selectExpr("explode(transform(sequence(1, greatest(size(w) - 1, 1)), i -> concat_ws('_', get(w, i - 1), get(w, i)))) as token")

@@ -27,6 +27,19 @@ def held_out(doc_id: str | Column = "doc_id") -> Column:
     return F.coalesce(F.crc32(c.cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
+def drawn_share(share: float, *columns: str) -> Column:
+    """True for about this share of rows, by a hash of the columns: the same rows in every run."""
+    return F.pmod(F.xxhash64(*columns, F.lit("drawn")), F.lit(1 << 30)) < int(share * (1 << 30))
+
+
+def small_batches(df: DataFrame, rows: int = 2000) -> DataFrame:
+    """The same table; texts go to Python workers in batches of at most so many rows, which bounds their memory and the buffers beside the heap."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(df.sparkSession.conf.get(key)) <= rows:
+        df.sparkSession.conf.set(key, rows)
+    return df
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder in spark.checkpoint.dir, which driver and executors share; a temporary one only if it is unset (tests)."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
