@@ -14,7 +14,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, to_frame, whole
+from .shared import clean_text, small_batches, to_frame, whole
 from .tokens import batches, encoder
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, loss_tokens long"
@@ -149,7 +149,7 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, end_id: int = 1, limits
     """
     most = limits or Limits()
     head = F.lit(0).cast("long") if loss_from is None else F.greatest(F.coalesce(F.col(loss_from).cast("long"), F.lit(0)), F.lit(0))
-    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"), head.alias("head"))
+    chosen = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"), head.alias("head"))
 
     def pack(frames):
         from pyspark import TaskContext

@@ -29,7 +29,7 @@ def byte_letters() -> list[str]:
 
 
 class PieceEncoder:
-    def __init__(self, path: str, limit: int = 600_000):
+    def __init__(self, path: str, limit: int = 400_000):
         from tokenizers import Tokenizer
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
