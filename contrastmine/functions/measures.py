@@ -2,16 +2,13 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.constraints import score_sql
 
 
-def _name(c) -> str:
-    return c if isinstance(c, str) else str(c)
-
-
 def growth_rate_column(x: str, y: str) -> Column:
     """Raw counts; null where the negative support is 0 (see is_jumping)."""
     return F.when(F.col(y) > 0, F.col(x).cast("double") / F.col(y))
@@ -42,6 +39,24 @@ def register_sql(spark: SparkSession) -> None:
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}(x BIGINT, y BIGINT, np BIGINT, nn BIGINT) RETURNS DOUBLE RETURN {score_sql(name)}")
 
 
+def class_support(label, items, pattern, n_items: int, positive: bool = True) -> Column:
+    """An aggregate: rows of one class in which the pattern occurs. label: 0/1; pattern: literals."""
+    hit = F.forall(F.array(*map(F.lit, pattern)), lambda i: F.when(i < n_items, F.array_contains(items, i)).otherwise(~F.array_contains(items, i - n_items))) if len(pattern) else F.lit(True)
+    return F.count_if(hit & (F.col(label) == int(positive)))
+
+
+def popcount_and(a, b) -> Column:
+    """Bits that two bitmaps of equal length share: an Arrow-batched function on binary columns."""
+    @F.pandas_udf("long")
+    def shared_bits(x: pd.Series, y: pd.Series) -> pd.Series:
+        import numpy as np
+
+        count = lambda p, q: None if p is None or q is None else int(np.bitwise_count(np.frombuffer(p, np.uint8) & np.frombuffer(q, np.uint8)).sum())
+        return pd.Series([count(p, q) for p, q in zip(x, y, strict=True)], dtype="Int64")
+
+    return shared_bits(a, b)
+
+
 def register_table_function(spark: SparkSession) -> None:
     """mine_patterns(TABLE(t), ...): minimal patterns of a table (items array<int>, label int), searched in one task per partition of the table."""
     from pyspark.sql.functions import udtf

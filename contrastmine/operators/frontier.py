@@ -16,7 +16,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .kernel import Counters, Search, Side, pack_rows
+from .kernel import Counters, Search, Side, least_by_length, pack_rows
 from .labeled import LabeledDB, arrays_of
 
 BLOCKS = "block_id string, n_rows long, columns binary, pos_planes array<binary>, neg_planes array<binary>"
@@ -158,6 +158,8 @@ def search_levels(db: LabeledDB, search: Search, batch: int = 512, hand_over: in
         for (pattern, rest, x, y, xs, ys), low in zip(sorted_nodes, least, strict=True):
             end = len(rest)
             if low is not None:
+                if rules.length and search.max_len is not None:
+                    low = np.maximum(low, least_by_length(y, ys, search.max_len - len(pattern))[None])
                 cut = np.flatnonzero(c.cut(np.full(end, x), low[0], np.full(end, y)))
                 if len(cut):
                     end = int(cut[0])

@@ -18,12 +18,15 @@ STATIC = ("id", "neg_asc", "neg_desc", "total_asc", "growth_desc")
 
 @dataclass(frozen=True)
 class Rules:
-    """stop: do not extend a member. lb: bounds over descendants. nc: drop literals that leave the negative support unchanged ("auto": where the constraint proves it sound). pos: cut on the positive support."""
+    """stop: do not extend a member. lb: bounds over descendants. nc: drop literals that leave the negative support unchanged ("auto": where the constraint proves it sound). pos: cut on the positive support.
+
+    length (an extension, off by default): with a length cap, r further literals can take away no more negative rows than the r that take most, which bounds the negative support where a literal and its negation are both left."""
 
     stop: bool = True
     lb: bool = True
     nc: str = "auto"
     pos: bool = True
+    length: bool = False
 
     @staticmethod
     def none() -> Rules:
@@ -58,6 +61,15 @@ def pack_rows(rows: np.ndarray) -> np.ndarray:
     return np.ascontiguousarray(np.packbits(dense, axis=1, bitorder="little")).view(np.uint64)
 
 
+def least_by_length(y: int, ys: np.ndarray, more: int) -> np.ndarray:
+    """For each place of the sorted literals, y less the `more` greatest losses from there on."""
+    lost = y - ys
+    out = np.empty(len(ys), np.int64)
+    for k in range(len(ys)):
+        out[k] = y - np.sort(lost[k:])[::-1][:more].sum()
+    return np.maximum(out, 0)
+
+
 class Side:
     """Rows of one class: a bitmap per literal and the rows' weights as bit planes. Negated columns are derived, not stored."""
 
@@ -160,6 +172,8 @@ class Search:
                 suffix = np.bitwise_and.accumulate(part_neg[::-1], axis=0)[::-1]
                 least = neg.weigh(suffix)
                 count.words += suffix.size
+                if rules.length and self.max_len is not None:
+                    least = np.maximum(least, least_by_length(y, ys, self.max_len - len(pattern)))
                 cut = np.flatnonzero(c.cut(np.full(end, x), least, np.full(end, y)))
                 if len(cut):
                     end = int(cut[0])

@@ -18,6 +18,11 @@ class Item:
 
     name: str
     predicate: Column
+    sql: str | None = None  # the predicate as SQL, if the item is to be saved
+
+
+def item_sql(name: str, sql: str) -> Item:
+    return Item(name, F.expr(sql), sql)
 
 
 @dataclass(frozen=True)
@@ -56,9 +61,9 @@ def item_equals(attribute: str, values: Iterable, column: Column | None = None)
     return [Item(f"{attribute}={v}", c == F.lit(v)) for v in values]
 
 
-def item_ranges(attribute: str, cuts: list[float], column: Column | None = None) -> list[Item]:
-    """Bins (-inf, c1], (c1, c2], ..., (ck, inf)."""
-    c = F.col(attribute) if column is None else column
+def item_ranges(attribute: str, cuts: list[float], column: Column | None = None, sql: str | None = None) -> list[Item]:
+    """Bins (-inf, c1], (c1, c2], ..., (ck, inf); sql: the column as SQL, if the items are to be saved."""
+    c = F.expr(sql) if sql is not None else F.col(attribute) if column is None else column
     edges = [None, *cuts, None]
     out = []
     for low, high in zip(edges[:-1], edges[1:], strict=True):
@@ -67,7 +72,8 @@ def item_ranges(attribute: str, cuts: list[float], column: Column | None = None)
             test = test & (c > low)
         if high is not None:
             test = test & (c <= high)
-        out.append(Item(f"{attribute}:({'-inf' if low is None else low},{'inf' if high is None else high}]", test))
+        said = " and ".join(x for x in (None if low is None else f"({sql}) > {low!r}D", None if high is None else f"({sql}) <= {high!r}D") if x) or "true"
+        out.append(Item(f"{attribute}:({'-inf' if low is None else low},{'inf' if high is None else high}]", test, None if sql is None else said))
     return out
 
 

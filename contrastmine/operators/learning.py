@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 import math
 import random
 from dataclasses import dataclass, field
@@ -9,15 +10,15 @@ from typing import Any
 
 import numpy as np
 import pandas as pd
-from pyspark.ml.classification import DecisionTreeClassifier, LogisticRegression, RandomForestClassifier
+from pyspark.ml.classification import DecisionTreeClassifier, LogisticRegression, LogisticRegressionModel, RandomForestClassifier
 from pyspark.ml.feature import StandardScaler, VectorAssembler
 from pyspark.ml.functions import array_to_vector
-from pyspark.ml.regression import LinearRegression
+from pyspark.ml.regression import LinearRegression, LinearRegressionModel
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .constraints import Constraint
-from .labeled import Item, LabeledDB, compress, encode, item_ranges
+from .constraints import Constraint, Jumping
+from .labeled import Item, LabeledDB, compress, encode, item_ranges, item_sql
 from .mining import mine_minimal
 
 CUTS = "feature int, cuts array<double>"
@@ -96,9 +97,18 @@ class MdlDiscretizer:
         found = {names[r.feature]: list(r.cuts) for r in self.cut_points(df, features, label).collect()}  # one row per feature
         return MdlDiscretizer(self.max_cuts, self.prebins, {n: found.get(n, []) for n in names})
 
-    def items(self, features: dict[str, Column]) -> list[Item]:
-        """A feature without cuts says nothing and gives no items."""
-        return [i for n, c in features.items() if self.cuts[n] for i in item_ranges(n, self.cuts[n], c)]
+    def items(self, features: dict[str, Column], sql: dict[str, str] | None = None) -> list[Item]:
+        """A feature without cuts says nothing and gives no items. sql: the features as SQL, for items that are to be saved."""
+        return [i for n, c in features.items() if self.cuts[n] for i in item_ranges(n, self.cuts[n], c, (sql or {}).get(n))]
+
+    def save(self, path: str) -> None:
+        with open(path, "w") as f:
+            json.dump({"max_cuts": self.max_cuts, "prebins": self.prebins, "cuts": self.cuts}, f)
+
+    @staticmethod
+    def load(path: str) -> MdlDiscretizer:
+        with open(path) as f:
+            return MdlDiscretizer(**json.load(f))
 
 
 def pattern_features(df: DataFrame, items: list[Item], patterns: list[tuple[int, ...]], keep: list[str]) -> DataFrame:
@@ -152,6 +162,21 @@ class PatternClassifier:
             return told.select(*keep, F.col("prediction").cast("int").alias("prediction"))
         return told.select(*keep, (F.col("prediction") >= 0.5).cast("int").alias("prediction"))
 
+    def save(self, spark, path: str) -> None:
+        """Items (which must have SQL), patterns and settings as one JSON row, and the linear model beside it; any file system that Spark writes."""
+        if any(i.sql is None for i in self.items):
+            raise ValueError("items without SQL cannot be saved")
+        told = {"max_len": self.max_len, "negation": self.negation, "family": self.family, "reg": self.reg, "items": [(i.name, i.sql) for i in self.items], "patterns": self.patterns, "texts": self.texts}
+        spark.createDataFrame([(json.dumps(told),)], "told string").coalesce(1).write.mode("overwrite").text(f"{path}/patterns")
+        self.model.write().overwrite().save(f"{path}/model")
+
+    @staticmethod
+    def load(spark, path: str) -> PatternClassifier:
+        told = json.loads(spark.read.text(f"{path}/patterns").first().value)
+        loader = LogisticRegressionModel if told["family"] == "logistic" else LinearRegressionModel
+        items = [item_sql(n, s) for n, s in told["items"]]
+        return PatternClassifier(Jumping(), told["max_len"], told["negation"], told["family"], told["reg"], None, items, [tuple(p) for p in told["patterns"]], told["texts"], loader.load(f"{path}/model"))
+
     def size(self) -> dict[str, float]:
         w = self.model.coefficients.toArray()
         used = [p for p, v in zip(self.patterns, w, strict=False) if v]

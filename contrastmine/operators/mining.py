@@ -154,9 +154,16 @@ def mine_topk(db: LabeledDB, k: int, score: str = "chi2", max_len: int = 3, star
         least = least / 4 if least > 1e-6 else 0.0
 
 
-def ablation_row(workload: str, mined: Mined, order: str, rules: Rules, min_pos: int, theta, seconds: float) -> dict:
-    c = mined.counters
-    return {"workload": workload, "engine": mined.engine, "order": order, "lb": rules.lb, "nc": mined.nc_used, "min_pos": min_pos, "theta": theta, "nodes": c.nodes, "cut_stop": c.stop, "cut_lb": c.lb, "dropped_nc": c.nc, "cut_pos": c.pos, "count_calls": c.count_calls, "candidates": c.candidates, "seconds": round(seconds, 3), "status": "timeout" if c.timeout else "ok"}
+def dry_run(db: LabeledDB, constraint_of, share: float = 0.001, least_rows: int = 2000, **options) -> dict:
+    """Size of a search before a full run: the same search on a hash-drawn share of the distinct rows, at least so many of them expected.
+
+    constraint_of(scale) gives the constraint with its counts scaled down. Says how many nodes and candidates to expect;
+    answers of a full run never depend on it."""
+    rows = db.rows.count()
+    part = min(1.0, max(share, least_rows / max(1, rows)))
+    drawn = LabeledDB(db.rows.where(F.pmod(F.xxhash64("items", F.lit("dry run")), F.lit(1 << 30)) < int(part * (1 << 30))), db.names, db.negation)
+    got = run(drawn, constraint_of(part), engine="local", **options)
+    return {"share": part, "distinct_rows": rows, "nodes": got.counters.nodes, "candidates": got.counters.candidates, "timeout": got.counters.timeout}
 
 
 def region_report(db: LabeledDB, patterns: DataFrame, contrast: Contrast, theta: float) -> DataFrame:

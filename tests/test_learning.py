@@ -84,3 +84,26 @@ def test_cross_validation_tuning_and_baselines(spark):
         assert len(out) == 3 and np.mean([r.f1 for r in out]) > 0.6
     best, score = K.tune(lambda **o: K.ml_baseline("tree", **o), {"maxDepth": [1, 5]}, df, "id", "y", features, n_trials=3, inner_folds=2)
     assert best == {"maxDepth": 5} and score > 0.8
+
+
+@pytest.mark.parametrize("family", ["logistic", "squared"])
+def test_models_are_saved_and_loaded(spark, tmp_path, family):
+    from contrastmine.operators.labeled import item_sql
+
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(400, 2))
+    df = spark.createDataFrame([(k, *map(float, r), int(r[0] > 0.2 and r[1] < 0.5)) for k, r in enumerate(x)], "id long, p double, q double, y int")
+    features = {n: F.col(n) for n in "pq"}
+    cuts = K.MdlDiscretizer().fit(df, features, F.col("y"))
+    cuts.save(str(tmp_path / "cuts.json"))
+    again = K.MdlDiscretizer.load(str(tmp_path / "cuts.json"))
+    items = again.items(features, {"p": "p", "q": "q"})
+    assert again == cuts and items and all(i.sql for i in items)
+    model = K.PatternClassifier(Contrast(5, ANY) & GrowthRate(2.0), family=family).fit(df, features, "y", items)
+    model.save(spark, str(tmp_path / "model"))
+    back = K.PatternClassifier.load(spark, str(tmp_path / "model"))
+    told = lambda m: sorted((r.id, r.prediction) for r in m.transform(df, ["id"]).collect())
+    assert back.texts == model.texts and told(back) == told(model)
+    with pytest.raises(ValueError):
+        K.PatternClassifier(Contrast(5, ANY), family=family).fit(df, features, "y", [item_flag("p", F.col("p") > 0)]).save(spark, str(tmp_path / "no"))
+    assert item_sql("a", "p > 0").sql == "p > 0"

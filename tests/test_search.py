@@ -185,3 +185,32 @@ def test_scores_match_their_sql(spark):
     for name, f in C.SCORES.items():
         got = df.selectExpr("x", "y", f"{C.score_sql(name, 'x', 'y', '20', '30')} s").collect()
         assert np.allclose([r.s for r in got], [float(f(r.x, r.y, 20, 30)) for r in got]), name
+
+
+@pytest.mark.parametrize("seed", range(25))
+def test_length_bound_changes_no_answer(seed):
+    d = random.Random(seed)
+    n = 5
+    pos = [{i for i in range(n) if d.random() < 0.6} for _ in range(12)]
+    neg = [{i for i in range(n) if d.random() < 0.5} for _ in range(12)]
+    for c in (C.Contrast(2, 1), C.Contrast(1, ANY) & C.GrowthRate(3.0), C.ChiSquare(4.0)):
+        c.bind(len(pos), len(neg))
+        runs = []
+        for rules in (Rules(), Rules(length=True)):
+            s = Search(c, n, True, rules=rules, max_len=2)
+            runs.append((sorted(minimal_plain([p for p, *_ in s.run(*sides(pos, neg, n, True))])), s.counters.nodes))
+        assert runs[0][0] == runs[1][0] and runs[1][1] <= runs[0][1]
+
+
+def test_dry_run_and_bitmap_functions(spark):
+    from contrastmine.functions.measures import class_support, popcount_and
+    from pyspark.sql import functions as F
+
+    db = L.from_sets(spark, POS * 3, NEG * 3)
+    told = M.dry_run(db, lambda part: C.Jumping(1), max_len=2)
+    assert told["share"] == 1.0 and told["nodes"] > 0 and told["candidates"] >= 2
+    bits = spark.createDataFrame([(bytes([255, 1]), bytes([15, 3])), (None, b"")], "a binary, b binary")
+    assert [r[0] for r in bits.select(popcount_and("a", "b")).collect()] == [5, None]
+    rows = spark.createDataFrame([([0, 1], 1), ([0], 0), ([1], 1)], "items array<int>, label int")
+    got = rows.agg(class_support("label", "items", (0,), 2).alias("a"), class_support("label", "items", (0, 3), 2, False).alias("b"), class_support("label", "items", (), 2).alias("c")).first()
+    assert (got.a, got.b, got.c) == (1, 1, 2)
