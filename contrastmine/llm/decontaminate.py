@@ -13,7 +13,8 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, materialise, to_frame, whole
+from .shared import clean_text, materialise, small_batches, to_frame, whole
+from .tokens import batches
 from .words import mixed, numbered
 
 HITS = "doc_id long, text_key long, item int, first_word long, codes binary, seeds array<long>"
@@ -126,7 +127,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, n: int = 4, share: float
     columns are ignored. text_key is xxhash64 of the text, which tells rows with equal or null ids apart.
     """
     spark = docs.sparkSession
-    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text")).withColumn("text_key", F.xxhash64("text"))
+    chosen = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text")).withColumn("text_key", F.xxhash64("text"))
     total = chosen.count()
     parts = [spark.createDataFrame([], FOUND)]
     for items in item_blocks(benchmark, block_words):
@@ -137,8 +138,8 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, n: int = 4, share: float
             for frame in frames:
                 texts = frame["text"].tolist()
                 keys, marks = whole(frame["doc_id"]), whole(frame["text_key"])
-                for a in range(0, len(texts), 1000):
-                    names, codes, bounds = numbered(texts[a : a + 1000])
+                for a, b in batches(texts, 4_000_000):
+                    names, codes, bounds = numbered(texts[a:b])
                     own = np.array([known.words.get(w, -1) for w in names], np.int32)[codes] if names else np.zeros(0, np.int32)
                     rows = []
                     for i, (x, y) in enumerate(zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)):

@@ -16,7 +16,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .shared import clean_text, materialise, stored, to_frame, whole
+from .shared import clean_text, materialise, small_batches, stored, to_frame, whole
+from .tokens import batches
 from .words import hashed, mixed, numbered
 
 SIGNED = "doc_id long, fp binary, bands array<long>"
@@ -84,8 +85,8 @@ def sign(docs: DataFrame, n: int, bands: int, rows: int) -> DataFrame:
     def work(frames):
         for frame in frames:
             texts, keys = frame["text"].tolist(), whole(frame["doc_id"])
-            for a in range(0, len(texts), 1000):
-                sets = gram_sets(texts[a : a + 1000], n)
+            for a, b in batches(texts, 4_000_000):
+                sets = gram_sets(texts[a:b], n)
                 out: list = [None] * len(sets)
                 group, size = [], 0
                 full = [i for i, s in enumerate(sets) if len(s)]
@@ -96,7 +97,7 @@ def sign(docs: DataFrame, n: int, bands: int, rows: int) -> DataFrame:
                         for k, h in zip(group, band_hashes([sets[k] for k in group], bands, rows), strict=True):
                             out[k] = h.tolist()
                         group, size = [], 0
-                yield to_frame([(k, fingerprint(s), h or []) for k, s, h in zip(keys[a : a + 1000], sets, out, strict=True)], SIGNED)
+                yield to_frame([(k, fingerprint(s), h or []) for k, s, h in zip(keys[a:b], sets, out, strict=True)], SIGNED)
 
     return docs.mapInPandas(work, SIGNED)
 
@@ -154,7 +155,7 @@ def jaccard_classes(docs: DataFrame, n: int = 5, threshold: float = 0.8, recall:
     class is null. An empty table gives none; other columns are ignored.
     """
     bands, rows = choose_bands(threshold, recall)
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"))
+    texts = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"))
     signed = stored(sign(texts, n, bands, rows), "signed")
     members = signed.select("doc_id", "fp")
     classes = materialise(members.groupBy("fp").agg(F.min("doc_id").alias("copy_id"), F.count(F.lit(1)).alias("n_copies")))
@@ -169,8 +170,9 @@ def jaccard_classes(docs: DataFrame, n: int = 5, threshold: float = 0.8, recall:
 
     def reread(frames):
         for frame in frames:
-            for a in range(0, len(frame), 1000):
-                sets = gram_sets(frame["text"].iloc[a : a + 1000].tolist(), n)
+            texts = frame["text"].tolist()
+            for a, b in batches(texts, 4_000_000):
+                sets = gram_sets(texts[a:b], n)
                 yield to_frame([(fingerprint(s), s.tobytes()) for s in sets], SETS)
 
     ids = active.select(F.coalesce("copy_id", F.lit(0)).alias("key"), F.col("copy_id").isNull().alias("none")).distinct()

@@ -13,7 +13,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, file_system, stored, to_frame, whole
+from .shared import clean_text, file_system, small_batches, stored, to_frame, whole
 
 MEDIA = "doc_id long, n_bytes long, media binary"
 HEADER = re.compile(rb"(P[1-6])(?:\s+(?:#[^\n]*\n\s*)*)(\d+)(?:\s+(?:#[^\n]*\n\s*)*)(\d+)")
@@ -152,7 +152,7 @@ def to_media(docs: DataFrame, width: int = 64, form: str = "pgm") -> DataFrame:
             for a in range(0, len(raw), 500):
                 yield to_frame([(k, len(r), write(np.frombuffer(text_payload(r, width), np.uint8).reshape(-1, width))) for k, r in zip(keys[a : a + 500], raw[a : a + 500], strict=True)], MEDIA)
 
-    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"))
+    chosen = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"))
     return chosen.mapInPandas(make, MEDIA)
 
 

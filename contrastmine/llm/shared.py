@@ -54,16 +54,21 @@ def fresh_path(spark: SparkSession, label: str) -> str:
     return f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
 
 
-def materialise(df: DataFrame) -> DataFrame:
-    """Cut the lineage with a reliable checkpoint in the shared folder."""
+def few_files(df: DataFrame) -> DataFrame:
+    """Deal a small result over an eighth of the shuffle partitions, so that writing it makes few files; what made it keeps all its tasks."""
+    return df.repartition(max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 8))
+
+
+def materialise(df: DataFrame, wide: bool = False) -> DataFrame:
+    """Cut the lineage with a reliable checkpoint in the shared folder. wide: the rows hold texts, and stay where they are."""
     shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    return (df if wide else few_files(df)).checkpoint(eager=True)
 
 
-def stored(df: DataFrame, label: str) -> DataFrame:
-    """Write a wide table to the shared folder as compressed Parquet and read it back."""
+def stored(df: DataFrame, label: str, wide: bool = True) -> DataFrame:
+    """Write a table to the shared folder as compressed Parquet and read it back; unlike a checkpoint, it has a known size."""
     path = fresh_path(df.sparkSession, label)
-    df.write.option("compression", "zstd").parquet(path)
+    (df if wide else few_files(df)).write.option("compression", "zstd").parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 

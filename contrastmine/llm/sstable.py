@@ -20,7 +20,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, file_system, fresh_path, materialise, to_frame, whole
+from .shared import clean_text, file_system, fresh_path, materialise, small_batches, to_frame, whole
 from .tokens import batches, encoder
 
 MAGIC = b"CMSSTAB1"
@@ -178,7 +178,7 @@ def write_shards(docs: DataFrame, folder: str, tokenizer_path: str, end_id: int
     writes under a name of its own, so a retried or doubled task leaves a file that no manifest row names.
     Null text is empty, null doc_id comes first, an empty table gives an empty manifest, other columns are ignored.
     """
-    ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text")).withColumn("tie", F.xxhash64("text"))
+    ordered = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text")).withColumn("tie", F.xxhash64("text"))
     ordered = ordered.repartitionByRange(F.col("doc_id").asc_nulls_first(), "tie").sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "tie").drop("tie")
 
     def write(frames):

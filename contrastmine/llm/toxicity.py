@@ -14,20 +14,22 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, held_out, materialise, to_frame, whole
+from .shared import clean_text, drawn_share, held_out, materialise, small_batches, to_frame, whole, worker_state
+from .tokens import batches
 from .words import numbered
 
 # Words of quotation and of address in the four languages of the tables.
 REPORTING = frozenset("said says wrote writes called calls quote quoted word term reported alleged dit disait mot citation sagte schrieb zitat wort dijo escribio cita palabra".split())
 ADDRESS = frozenset("you your youre u tu vous ton votre du dich dein ihr euch usted tus vosotros".split())
 QUOTES = "\"'“”„«»‹›‘’`"
-WINDOW = 5
+WINDOW, REACH = 5, 100  # words of context on each side, and the characters they are sought in
+WORD = re.compile(r"[^\W_]+")
 SCORES = "doc_id long, held_out boolean, score double, hits long, quoted long"
 
 
 def distance_for(term: str) -> int:
-    """Edits allowed: none below five letters, one below nine, else two."""
-    return 0 if len(term) < 5 else 1 if len(term) < 9 else 2
+    """Edits allowed: none below five letters, one below twelve, else two."""
+    return 0 if len(term) < 5 else 1 if len(term) < 12 else 2
 
 
 class FuzzyTrie:
@@ -36,7 +38,8 @@ class FuzzyTrie:
     A state is a set of (trie node, edits spent) pairs, closed under skipped letters; each pair knows the most edits that
     any term below its node allows, so dead branches go at once. States and moves are remembered."""
 
-    def __init__(self, terms: dict[str, float]):
+    def __init__(self, terms: dict[str, float], most_states: int = 40_000):
+        self.most_states = most_states
         self.terms = list(terms)
         self.next: list[dict[str, int]] = [{}]
         self.term_at: list[int | None] = [None]
@@ -54,6 +57,10 @@ class FuzzyTrie:
                 self.allowed[node] = max(self.allowed[node], distance_for(t))
             self.term_at[node] = k
         self.letters = {c for n in self.next for c in n}
+        self.forget()
+
+    def forget(self) -> None:
+        """Begin again without states: their number follows the words seen, not the terms."""
         self.states: list[dict[int, int]] = []
         self.moves: list[dict[str, int]] = []
         self.accepts: list[tuple[int, int] | None] = []
@@ -94,6 +101,8 @@ class FuzzyTrie:
 
     def match(self, word: str) -> tuple[str, int] | None:
         """(term, edits) of the nearest term within its distance."""
+        if len(self.states) > self.most_states:
+            self.forget()
         state = self.start
         for c in word:
             if c not in self.letters:
@@ -114,25 +123,41 @@ def words_of(text):
 
 
 def training_rows(docs: DataFrame, labels: DataFrame, most: int) -> DataFrame:
-    """(text, toxic) of labelled documents outside the held-out fold; of more than `most` labels, those with the least hashes.
+    """(text, toxic) of labelled documents outside the held-out fold; of more than `most` labels, about so many, drawn by a hash.
 
-    The ids go to the documents by broadcast: at most `most` of them."""
+    The ids go to the documents by broadcast: about `most` of them at most."""
     marked = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("toxic").cast("int").alias("toxic"))
-    chosen = marked.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"))
+    chosen = marked.where(drawn_share(min(1.0, most / max(1, marked.count())), "doc_id"))
+    texts = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"))
     return texts.join(F.broadcast(chosen), "doc_id").select("text", "toxic")
 
 
-def fit_lexicon(train: DataFrame, surroundings: int = 3, precision: float = 0.8, most_terms: int = 20_000) -> dict[str, float]:
-    """Weight (log-odds, in documents) of each term: in so many surroundings of toxic documents at least, and of the documents with it, so large a share toxic."""
-    listed = train.select("toxic", words_of("text").alias("w"))
-    padded = listed.where("toxic = 1").select(F.concat(F.array(F.lit("")), "w", F.array(F.lit(""))).alias("w"))
-    spread = padded.selectExpr("explode(transform(sequence(1, greatest(size(w) - 2, 1)), i -> struct(w[i] as word, xxhash64(w[i - 1], w[i + 1]) as ctx))) as x").select("x.*").where("word <> ''")
-    frequent = spread.distinct().groupBy("word").count().where(F.col("count") >= surroundings).select("word")
-    counts = listed.select("toxic", F.explode(F.array_distinct("w")).alias("word")).join(frequent, "word").groupBy("word").agg(F.sum("toxic").alias("t"), F.sum(1 - F.col("toxic")).alias("c"))
-    strong = counts.where((F.col("t") >= precision * (F.col("t") + F.col("c"))) & (F.length("word") >= 3))
-    rows = strong.orderBy(F.desc("t"), "word").limit(most_terms).collect()
-    return {r.word: float(np.log((r.t + 0.5) / (r.c + 0.5))) for r in rows}
+def fit_lexicons(train: DataFrame, surroundings: int = 3, precision: float = 0.8, evidence: float = 18.0, most_terms: int = 20_000) -> tuple[dict[str, float], dict[str, float]]:
+    """Terms learned from all rows, and from those that are not `rest`: the weight (log-odds, in documents) of each.
+
+    A term stands in so many surroundings of toxic documents at least; of the documents with it, so large a share is
+    toxic; and its log-likelihood ratio against chance is beyond what rare words reach by luck. Words are counted for both
+    in one pass, combined before each shuffle."""
+    listed = train.select("toxic", F.when(F.col("rest"), 0).otherwise(1).alias("part"), words_of("text").alias("w"))
+    padded = listed.where("toxic = 1").select("part", F.concat(F.array(F.lit("")), "w", F.array(F.lit(""))).alias("w"))
+    spread = padded.selectExpr("part", "explode(transform(sequence(1, greatest(size(w) - 2, 1)), i -> struct(w[i] as word, xxhash64(w[i - 1], w[i + 1]) as ctx))) as x").select("part", "x.*").where("word <> ''")
+    frequent = spread.groupBy("word", "ctx").agg(F.max("part").alias("part")).groupBy("word").agg(F.count(F.lit(1)).alias("ctx_all"), F.sum("part").alias("ctx_part")).where(F.col("ctx_all") >= surroundings)
+    counts = listed.select("toxic", "part", F.explode(F.array_distinct("w")).alias("word")).groupBy("word").agg(
+        F.sum("toxic").alias("t_all"), F.sum(1 - F.col("toxic")).alias("c_all"), F.sum(F.col("toxic") * F.col("part")).alias("t_part"), F.sum((1 - F.col("toxic")) * F.col("part")).alias("c_part")
+    )
+    joined = materialise(counts.where((F.col("t_all") >= 2) & (F.length("word") >= 3)).join(frequent, "word"))
+    shares = train.agg(F.avg("toxic").alias("all"), F.avg(F.when(~F.col("rest"), F.col("toxic"))).alias("part")).first()
+    found = []
+    for name in ("all", "part"):
+        base, t, c = shares[name], F.col(f"t_{name}"), F.col(f"c_{name}")
+        if not base or base == 1:
+            found.append({})
+            continue
+        ratio = 2 * (t * F.log(t / (t + c) / base) + F.when(c > 0, c * F.log(c / (t + c) / (1 - base))).otherwise(0.0))
+        strong = joined.where((F.col(f"ctx_{name}") >= surroundings) & (t > 0)).where((t >= precision * (t + c)) & (ratio >= evidence))
+        rows = strong.select("word", t.alias("t"), c.alias("c")).orderBy(F.desc("t"), "word").limit(most_terms).collect()
+        found.append({r.word: float(np.log((r.t + 0.5) / (r.c + 0.5))) for r in rows})
+    return found[0], found[1]
 
 
 class Scorer:
@@ -141,7 +166,6 @@ class Scorer:
     def __init__(self, terms: dict[str, float], ordinary: frozenset[str] = frozenset()):
         self.terms, self.ordinary = terms, ordinary
         self.trie = FuzzyTrie(terms)
-        self.seen: dict[str, tuple[str, int] | None] = {}
 
     def hit(self, word: str) -> tuple[str, int] | None:
         found = self.trie.match(word) if 2 < len(word) < 60 else None
@@ -152,14 +176,13 @@ class Scorer:
         exact = fuzzy = quoted = 0.0
         hits = in_quotes = 0
         low = text.lower()
-        spans = [(m.group(), m.start(), m.end()) for m in re.finditer(r"[^\W_]+", low)]
-        for k, (w, a, b) in enumerate(spans):
-            if w not in words:
-                continue
-            found = self.hit(w)
+        either = "|".join(map(re.escape, sorted(words, key=len, reverse=True)))
+        for m in re.finditer(rf"(?<![^\W_])(?:{either})(?![^\W_])", low):
+            found = self.hit(m.group())
             if not found:
                 continue
-            near = {x for x, _, _ in spans[max(0, k - WINDOW) : k + WINDOW + 1]}
+            a, b = m.span()
+            near = {*WORD.findall(low[max(0, a - REACH) : a])[-WINDOW:], *WORD.findall(low[b : b + REACH])[:WINDOW]}
             weight = self.terms[found[0]] * (1.25 if near & ADDRESS else 1.0)
             hits += 1
             if (a and low[a - 1] in QUOTES and low[b : b + 1] and low[b] in QUOTES) or near & REPORTING:
@@ -183,6 +206,16 @@ class Scorer:
         return out
 
 
+def scorer_of(terms: dict[str, float], ordinary: frozenset[str] = frozenset()) -> Scorer:
+    """One for all tasks of a worker, so that the automaton's states are found once."""
+    state, key = worker_state("scorers"), (frozenset(terms.items()), ordinary)
+    if key not in state:
+        if len(state) > 2:
+            state.clear()
+        state[key] = Scorer(terms, ordinary)
+    return state[key]
+
+
 def features(rows) -> np.ndarray:
     return np.array([(1.0, np.log1p(e), np.log1p(f), np.log1p(q)) for e, f, q, *_ in rows]).reshape(-1, 4)
 
@@ -205,32 +238,49 @@ class ToxicityModel:
         self.terms, self.ordinary, self.weights = terms, ordinary, weights
 
 
-def fit(docs: DataFrame, labels: DataFrame, most_rows: int = 200_000) -> ToxicityModel:
-    """Learn from labelled rows outside the held-out fold, at most `most_rows` of them; without any, all scores are low."""
-    train = materialise(training_rows(docs, labels, most_rows))
-    terms = fit_lexicon(train)
+def ordinary_words(train: DataFrame, lexicons: tuple[dict[str, float], ...]) -> list[frozenset[str]]:
+    """For each lexicon, the words within its distance that clean training documents use; for the second, only those that are not `rest`."""
+    schema = "which int, word string"
 
     def variants(frames):
-        scorer = Scorer(terms)
+        scorers = [scorer_of(terms) for terms in lexicons]
         for frame in frames:
-            clean = frame["text"][frame["toxic"] == 0].tolist()
-            names = numbered(clean)[0] if clean else []
-            yield to_frame([(w,) for w in names if (h := scorer.hit(w)) and h[1]], "word string")
+            for which, scorer in enumerate(scorers):
+                own = frame[(frame["toxic"] == 0) & ~(frame["rest"] & (which == 1))]["text"].tolist() if scorer.terms else []
+                for a, b in batches(own, 4_000_000):
+                    yield to_frame([(which, w) for w in numbered(own[a:b])[0] if (h := scorer.hit(w)) and h[1]], schema)
+
+    rows = train.mapInPandas(variants, schema).distinct().collect()  # neighbours of the terms only
+    return [frozenset(r.word for r in rows if r.which == k) for k in range(len(lexicons))]
 
-    ordinary = frozenset(r.word for r in train.mapInPandas(variants, "word string").distinct().collect()) if terms else frozenset()  # neighbours of the terms only
+
+def calibrate(rows: DataFrame, terms: dict[str, float], ordinary: frozenset[str]) -> np.ndarray:
+    """Logistic weights of the three sums of evidence, on rows of the bounded sample that the terms were not learned from."""
+    schema = "e double, f double, q double, t long"
 
     def measure(frames):
-        scorer = Scorer(terms, ordinary)
+        scorer = scorer_of(terms, ordinary)
         for frame in frames:
-            rows = scorer.of_texts(frame["text"].tolist())
-            yield to_frame([(round(e, 6), round(f, 6), round(q, 6), int(t)) for (e, f, q, *_), t in zip(rows, frame["toxic"], strict=True)], "e double, f double, q double, t long")
+            texts = frame["text"].tolist()
+            found = [f for a, b in batches(texts, 4_000_000) for f in scorer.of_texts(texts[a:b])]
+            yield to_frame([(round(e, 2), round(f, 2), round(q, 2), int(t)) for (e, f, q, *_), t in zip(found, frame["toxic"], strict=True)], schema)
 
-    grouped = train.mapInPandas(measure, "e double, f double, q double, t long").groupBy("e", "f", "q", "t").count().collect()  # of a bounded sample
+    grouped = rows.mapInPandas(measure, schema).groupBy("e", "f", "q", "t").count().collect()
     if not grouped:
-        return ToxicityModel(terms, ordinary, PRIOR)
-    x = features([(r.e, r.f, r.q) for r in grouped])
+        return PRIOR
     n, y = np.array([r["count"] for r in grouped], float), np.array([r.t for r in grouped], float)
-    return ToxicityModel(terms, ordinary, fit_logistic(x, y, n))
+    return fit_logistic(features([(r.e, r.f, r.q) for r in grouped]), y, n)
+
+
+def fit(docs: DataFrame, labels: DataFrame, most_rows: int = 200_000) -> ToxicityModel:
+    """Learn from labelled rows outside the held-out fold, about `most_rows` of them at most; without any, all scores are low.
+
+    Weights are found with terms learned from seven tenths of the texts and measured on the rest; the terms are then
+    learned from all."""
+    train = materialise(training_rows(docs, labels, most_rows).withColumn("rest", F.pmod(F.xxhash64("text"), F.lit(10)) >= 7), wide=True)
+    every, part = fit_lexicons(train)
+    ordinary, ordinary_part = ordinary_words(train, (every, part))
+    return ToxicityModel(every, ordinary, calibrate(train.where("rest"), part, ordinary_part))
 
 
 def score(docs: DataFrame, model: ToxicityModel, keep: bool = False) -> DataFrame:
@@ -248,26 +298,26 @@ def score(docs: DataFrame, model: ToxicityModel, keep: bool = False) -> DataFram
 
         schema = StructType([*docs.schema.fields]).add("_score", DoubleType())
 
-        def extend(batches):
+        def extend(tables):
             import pyarrow as pa
 
-            scorer = Scorer(terms, ordinary)
-            for batch in batches:
+            scorer = scorer_of(terms, ordinary)
+            for batch in tables:
                 texts = [t or "" for t in batch.column(batch.schema.get_field_index("text")).to_pylist()]
-                p = probability(scorer.of_texts(texts)) if texts else np.zeros(0)
+                p = np.concatenate([np.zeros(0), *(probability(scorer.of_texts(texts[a:b])) for a, b in batches(texts, 4_000_000))])
                 yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(p, pa.float64())], names=[*batch.schema.names, "_score"])
 
-        return docs.mapInArrow(extend, schema)
+        return small_batches(docs).mapInArrow(extend, schema)
 
     def work(frames):
-        scorer = Scorer(terms, ordinary)
+        scorer = scorer_of(terms, ordinary)
         for frame in frames:
             texts, keys, held = frame["text"].tolist(), whole(frame["doc_id"]), frame["held_out"].tolist()
-            for a in range(0, len(texts), 2000):
-                rows = scorer.of_texts(texts[a : a + 2000])
-                yield to_frame([(k, h, float(p), n, q) for k, h, p, (*_, n, q) in zip(keys[a : a + 2000], held[a : a + 2000], probability(rows), rows, strict=True)], SCORES)
+            for a, b in batches(texts, 4_000_000):
+                rows = scorer.of_texts(texts[a:b])
+                yield to_frame([(k, h, float(p), n, q) for k, h, p, (*_, n, q) in zip(keys[a:b], held[a:b], probability(rows), rows, strict=True)], SCORES)
 
-    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"), held_out().alias("held_out"))
+    chosen = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"), held_out().alias("held_out"))
     return chosen.mapInPandas(work, SCORES)
 
 
