@@ -38,8 +38,10 @@ def choose_bands(threshold: float, recall: float, most_hashes: int = 128) -> tup
 
 
 def gram_sets(texts: list[str], n: int = 5) -> list[np.ndarray]:
-    """Sorted distinct 64-bit hashes of the word n-grams of each text; a text of fewer words is one gram, one without words has none."""
-    names, codes, bounds = numbered(texts, marks=True)
+    """Sorted distinct 64-bit hashes of the word n-grams of each text; a text of fewer words is one gram, one without words has none.
+
+    Words are runs of letters and digits in lower case, so copies that differ in case and punctuation are copies."""
+    names, codes, bounds = numbered(texts)
     words = hashed(names)[codes]
     odd = [np.uint64(2 * k * 0x9E3779B97F4A7C15 + 1 & (1 << 64) - 1) for k in range(1, n + 1)]
     total = max(0, len(words) - n + 1)

@@ -5,16 +5,14 @@ from __future__ import annotations
 import numpy as np
 
 
-def numbered(texts, marks: bool = False) -> tuple[list[str], np.ndarray, np.ndarray]:
+def numbered(texts) -> tuple[list[str], np.ndarray, np.ndarray]:
     """(distinct words, code of each word, bounds of each text in the codes) of lower-cased texts.
 
-    Words are runs of letters and digits, or with marks=True whatever stands between white space."""
+    Words are runs of letters and digits."""
     import pyarrow as pa
     import pyarrow.compute as pc
 
-    low = pc.utf8_lower(pa.array(texts, pa.large_string()))
-    if not marks:
-        low = pc.replace_substring_regex(low, r"[^\pL\pN]+", " ")
+    low = pc.replace_substring_regex(pc.utf8_lower(pa.array(texts, pa.large_string())), r"[^\pL\pN]+", " ")
     parts = pc.utf8_split_whitespace(low)
     coded = parts.values.dictionary_encode()
     names, codes, bounds = coded.dictionary.to_pylist(), coded.indices.to_numpy(), parts.offsets.to_numpy()

@@ -271,7 +271,7 @@ def test_url_rules_and_aliases(spark):
 def brute_jaccard(rows, n=5, least=0.8):
     sets = []
     for _, t in rows:
-        w = t.lower().split()
+        w = re.findall(r"[^\W_]+", t.lower())
         sets.append(frozenset(tuple(w[i : i + n]) for i in range(max(1, len(w) - n + 1))) if w else frozenset())
     parent = list(range(len(rows)))
 
