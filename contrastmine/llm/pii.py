@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, materialise
+from .shared import clean_text, stored
 from .spans import SPAN, length_sum, located, masked, written
 
 # The patterns are linear-time forms: a run is tried at its start only, and no repetition gives back what it took.
@@ -77,19 +77,22 @@ def revealing_terms(docs: DataFrame, least_texts: int = 3, surroundings: int = 3
     that hold the entity. Documents that hold a repeated entity are few; all documents count for a term's frequency."""
     found = with_base(docs).withColumn("entities", entities_of()).where(F.size("entities") > 0)
     rest = masked(F.col("text"), F.concat(*map(places, KINDS)), " ")
-    held = materialise(found.select(rest.alias("text"), F.xxhash64("text").alias("key"), F.explode("entities").alias("entity")))
-    pairs = held.select("entity", "key").groupBy("entity", "key").agg(F.count(F.lit(1)).alias("rows"))
-    repeated = materialise(pairs.groupBy("entity").agg(F.count(F.lit(1)).alias("texts"), F.sum("rows").alias("holding")).where(F.col("texts") >= least_texts))
+    holders = stored(found.select(rest.alias("text"), F.xxhash64("text").alias("key"), "entities"), "holders")
+    pairs = holders.select("key", F.explode("entities").alias("entity")).groupBy("entity", "key").agg(F.count(F.lit(1)).alias("rows"))
+    repeated = pairs.groupBy("entity").agg(F.count(F.lit(1)).alias("texts"), F.sum("rows").alias("holding")).where(F.col("texts") >= least_texts)
+    links = stored(pairs.join(repeated, "entity"), "links", wide=False)
     words = F.concat(F.array(F.lit("")), F.regexp_extract_all(F.lower("text"), F.lit(WORD), F.lit(0)), F.array(F.lit("")))
-    placed = held.join(repeated.select("entity"), "entity").select("entity", "key", words.alias("w"))
-    spread = placed.selectExpr("entity", "key", "explode(transform(sequence(1, greatest(size(w) - 2, 1)), i -> struct(w[i] as term, xxhash64(w[i - 1], w[i + 1]) as ctx))) as x").select("entity", "key", "x.*").where("term <> ''")
-    wide = spread.groupBy("entity", "term", "ctx").agg(F.count(F.lit(1)).alias("n")).groupBy("entity", "term").agg(F.count(F.lit(1)).alias("contexts")).where(F.col("contexts") >= surroundings)
-    together = spread.join(wide.select("entity", "term"), ["entity", "term"]).select("entity", "term", "key").distinct().join(pairs, ["entity", "key"]).groupBy("entity", "term").agg(F.sum("rows").alias("both"))
-    together = materialise(together)
+    texts = holders.join(links.select("key").distinct(), "key", "left_semi").groupBy("key").agg(F.first("text").alias("text")).select("key", words.alias("w"))
+    spread = texts.selectExpr("key", "explode(transform(sequence(1, greatest(size(w) - 2, 1)), i -> struct(w[i] as term, xxhash64(w[i - 1], w[i + 1]) as ctx))) as x").select("key", "x.*").where("term <> ''")
+    met = spread.join(links.select("entity", "key", "rows"), "key")
+    wide = met.groupBy("entity", "term", "ctx").agg(F.count(F.lit(1)).alias("n")).groupBy("entity", "term").agg(F.count(F.lit(1)).alias("contexts")).where(F.col("contexts") >= surroundings)
+    both = met.groupBy("entity", "term", "key").agg(F.first("rows").alias("rows")).groupBy("entity", "term").agg(F.sum("rows").alias("both"))
+    together = stored(wide.join(both, ["entity", "term"]), "together", wide=False)
+    holding = links.groupBy("entity").agg(F.first("holding").alias("holding"))
     total = docs.count()
-    terms = together.select("term").distinct()
-    used = docs.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower(clean_text()), F.lit(WORD), F.lit(0)))).alias("term")).join(terms, "term").groupBy("term").agg(F.count(F.lit(1)).alias("used"))
-    scored = together.join(used, "term").join(repeated.select("entity", "holding"), "entity")
+    words = F.explode(F.array_distinct(F.regexp_extract_all(F.lower(clean_text()), F.lit(WORD), F.lit(0))))
+    used = docs.select(words.alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("used"))  # combined before the shuffle, and joined as one row a term
+    scored = together.join(used, "term").join(holding, "entity")
     scored = scored.withColumn("bits", F.log2(F.lit(float(total)) * F.col("both") / (F.col("used") * F.col("holding")))).withColumn("share", F.col("both") / F.col("used"))
     return scored.where((F.col("bits") >= bits) & (F.col("share") >= share)).select("entity", "term", F.round("bits", 6).alias("bits"), F.round("share", 6).alias("share"))
 
@@ -99,12 +102,12 @@ def personal_spans(docs: DataFrame, **options) -> DataFrame:
 
     Null text is empty and has no span; null ids and repeated rows are treated row by row; an empty table gives none;
     other columns are ignored."""
-    terms = materialise(revealing_terms(docs, **options))
+    terms = stored(revealing_terms(docs, **options), "revealing", wide=False)
     base = with_base(docs).withColumn("key", F.xxhash64("text"))
     if not terms.limit(1).count():
         return base.drop("key").withColumn("term", F.array().cast(SPAN))
     found = base.select("key", F.explode(entities_of()).alias("entity")).join(terms.select("entity", "term"), "entity")
-    told = found.groupBy("key").agg(F.collect_set("term").alias("terms"))  # at most the distinct words of one text
+    told = stored(found.groupBy("key").agg(F.collect_set("term").alias("terms")), "told", wide=False)  # at most the distinct words of one text
     joined = base.join(told, "key", "left")
     base = F.concat(*map(places, KINDS))
     free = lambda s: F.array_contains("terms", F.lower(s.hit)) & F.forall(base, lambda b: (b.stop <= s.start) | (b.start >= s.stop))
