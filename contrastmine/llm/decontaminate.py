@@ -13,7 +13,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, materialise, small_batches, to_frame, whole
+from .shared import clean_text, materialise, small_batches, tidy, to_frame, whole
 from .tokens import batches
 from .words import mixed, numbered
 
@@ -148,7 +148,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, n: int = 4, share: float
                     if rows:
                         yield to_frame(rows, HITS)
 
-        hits = materialise(chosen.mapInPandas(find, HITS))
+        hits = materialise(chosen.mapInPandas(tidy(find), HITS))
         held = {r.seed: r.n for r in hits.select(F.explode("seeds").alias("seed")).groupBy("seed").agg(F.count(F.lit(1)).alias("n")).collect()}  # at most the block's n-grams
         weights = spark.sparkContext.broadcast({s: math.log(1 + total / min(k, total)) for s, k in held.items()})
         least = 0.5 * math.log(1 + total)
@@ -167,7 +167,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, n: int = 4, share: float
                 if rows:
                     yield to_frame(rows, FOUND)
 
-        parts.append(hits.mapInPandas(score, FOUND))
+        parts.append(hits.mapInPandas(tidy(score), FOUND))
     found = parts[0]
     for p in parts[1:]:
         found = found.unionByName(p)

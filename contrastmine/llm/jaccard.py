@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .shared import clean_text, materialise, small_batches, stored, to_frame, whole
+from .shared import clean_text, materialise, small_batches, stored, tidy, to_frame, whole
 from .tokens import batches
 from .words import hashed, mixed, numbered
 
@@ -101,7 +101,7 @@ def sign(docs: DataFrame, n: int, bands: int, rows: int) -> DataFrame:
                         group, size = [], 0
                 yield to_frame([(k, fingerprint(s), h or []) for k, s, h in zip(keys[a:b], sets, out, strict=True)], SIGNED)
 
-    return docs.mapInPandas(work, SIGNED)
+    return docs.mapInPandas(tidy(work), SIGNED)
 
 
 def overlap(left: list[np.ndarray], right: list[np.ndarray], width: int = 4096) -> np.ndarray:
@@ -179,7 +179,7 @@ def jaccard_classes(docs: DataFrame, n: int = 5, threshold: float = 0.8, recall:
 
     ids = active.select(F.coalesce("copy_id", F.lit(0)).alias("key"), F.col("copy_id").isNull().alias("none")).distinct()
     wanted = texts.withColumn("key", F.coalesce("doc_id", F.lit(0))).withColumn("none", F.col("doc_id").isNull()).join(ids, ["key", "none"], "left_semi")
-    sets = wanted.select("text").mapInPandas(reread, SETS).dropDuplicates(["fp"])
+    sets = wanted.select("text").mapInPandas(tidy(reread), SETS).dropDuplicates(["fp"])
     rowed = active.join(sets, "fp").withColumn("part", F.pmod(F.xxhash64("fp"), F.col("parts")).cast("int"))
     dealt = rowed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select(
         "grp", F.least("part", "other").alias("low"), F.greatest("part", "other").alias("high"), "part", "fp", "n_copies", "grams"

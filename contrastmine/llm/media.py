@@ -13,7 +13,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, file_system, small_batches, stored, to_frame, whole
+from .shared import clean_text, file_system, small_batches, stored, tidy, to_frame, whole
 
 MEDIA = "doc_id long, n_bytes long, media binary"
 HEADER = re.compile(rb"(P[1-6])(?:\s+(?:#[^\n]*\n\s*)*)(\d+)(?:\s+(?:#[^\n]*\n\s*)*)(\d+)")
@@ -153,7 +153,7 @@ def to_media(docs: DataFrame, width: int = 64, form: str = "pgm") -> DataFrame:
                 yield to_frame([(k, len(r), write(np.frombuffer(text_payload(r, width), np.uint8).reshape(-1, width))) for k, r in zip(keys[a : a + 500], raw[a : a + 500], strict=True)], MEDIA)
 
     chosen = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"))
-    return chosen.mapInPandas(make, MEDIA)
+    return chosen.mapInPandas(tidy(make), MEDIA)
 
 
 TILES = "doc_id long, path string, row long, dhash string"
@@ -172,7 +172,7 @@ def media_features(media: DataFrame) -> DataFrame:
                 rows.append((doc_id, n, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).hexdigest(), difference_hash(pixels), hashlib.sha256(npy_tile(pixels)).hexdigest()))
             yield to_frame(rows, FEATURES)
 
-    return media.mapInPandas(describe, FEATURES)
+    return media.mapInPandas(tidy(describe), FEATURES)
 
 
 def write_tiles(media: DataFrame, folder: str, side: int = 32, per_file: int = 4096) -> DataFrame:
@@ -203,7 +203,7 @@ def write_tiles(media: DataFrame, folder: str, side: int = 32, per_file: int = 4
         if keys:
             yield flush()
 
-    return media.select("doc_id", "media").mapInPandas(save, TILES)
+    return media.select("doc_id", "media").mapInPandas(tidy(save), TILES)
 
 
 def text_media(docs: DataFrame, width: int = 64, form: str = "pgm") -> DataFrame:

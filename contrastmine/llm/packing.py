@@ -14,7 +14,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, small_batches, to_frame, whole
+from .shared import clean_text, small_batches, tidy, to_frame, whole
 from .tokens import batches, encoder
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, loss_tokens long"
@@ -175,4 +175,4 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, end_id: int = 1, limits
         if rows:
             yield to_frame(rows, PIECES)
 
-    return chosen.mapInPandas(pack, PIECES)
+    return chosen.mapInPandas(tidy(pack), PIECES)

@@ -73,9 +73,30 @@ def stored(df: DataFrame, label: str, wide: bool = True) -> DataFrame:
 
 
 def worker_state(name: str) -> dict:
-    """A dictionary that lives as long as the Python worker, across its tasks."""
+    """A dictionary that lives as long as the Python worker, across its tasks; asking for one drops those of other names."""
     holder = sys.modules.setdefault("_contrastmine_worker_state", types.ModuleType("_contrastmine_worker_state"))
-    return holder.__dict__.setdefault(name, {})
+    kept = holder.__dict__.setdefault("kept", {})
+    if name not in kept:
+        kept.clear()
+        kept[name] = {}
+    return kept[name]
+
+
+def tidy(work):
+    """The same map over batches, that hands free memory back to the machine when its task ends."""
+
+    def run(frames):
+        yield from work(frames)
+        import ctypes
+
+        import pyarrow as pa
+
+        pa.default_memory_pool().release_unused()
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+        if trim:
+            trim(0)
+
+    return run
 
 
 def file_system(path: str):

@@ -20,7 +20,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, file_system, fresh_path, materialise, small_batches, to_frame, whole
+from .shared import clean_text, file_system, fresh_path, materialise, small_batches, tidy, to_frame, whole
 from .tokens import batches, encoder
 
 MAGIC = b"CMSSTAB1"
@@ -203,7 +203,7 @@ def write_shards(docs: DataFrame, folder: str, tokenizer_path: str, end_id: int
             path = name if "://" not in folder and not folder.startswith("file:") else folder.rstrip("/") + name[len(base) :]
             yield to_frame([(TaskContext.get().partitionId(), path, writer.entries, writer.total, first, writer.last, size)], MANIFEST)
 
-    return materialise(ordered.mapInPandas(write, MANIFEST))
+    return materialise(ordered.mapInPandas(tidy(write), MANIFEST))
 
 
 def open_shard(path: str) -> ShardReader:
@@ -233,7 +233,7 @@ def read_shards(manifest: DataFrame, per_batch: int = 2000) -> DataFrame:
                 if out:
                     yield to_frame(out, ENTRIES)
 
-    return files.mapInPandas(read, ENTRIES)
+    return files.mapInPandas(tidy(read), ENTRIES)
 
 
 def lookup(manifest: DataFrame, doc_ids: list[int | None]) -> dict[int | None, list[np.ndarray]]:

@@ -14,7 +14,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, drawn_share, held_out, materialise, small_batches, to_frame, whole, worker_state
+from .shared import clean_text, drawn_share, held_out, materialise, small_batches, tidy, to_frame, whole, worker_state
 from .tokens import batches
 from .words import numbered
 
@@ -250,7 +250,7 @@ def ordinary_words(train: DataFrame, lexicons: tuple[dict[str, float], ...]) ->
                 for a, b in batches(own, 4_000_000):
                     yield to_frame([(which, w) for w in numbered(own[a:b])[0] if (h := scorer.hit(w)) and h[1]], schema)
 
-    rows = train.mapInPandas(variants, schema).distinct().collect()  # neighbours of the terms only
+    rows = train.mapInPandas(tidy(variants), schema).distinct().collect()  # neighbours of the terms only
     return [frozenset(r.word for r in rows if r.which == k) for k in range(len(lexicons))]
 
 
@@ -265,7 +265,7 @@ def calibrate(rows: DataFrame, terms: dict[str, float], ordinary: frozenset[str]
             found = [f for a, b in batches(texts, 4_000_000) for f in scorer.of_texts(texts[a:b])]
             yield to_frame([(round(e, 2), round(f, 2), round(q, 2), int(t)) for (e, f, q, *_), t in zip(found, frame["toxic"], strict=True)], schema)
 
-    grouped = rows.mapInPandas(measure, schema).groupBy("e", "f", "q", "t").count().collect()
+    grouped = rows.mapInPandas(tidy(measure), schema).groupBy("e", "f", "q", "t").count().collect()
     if not grouped:
         return PRIOR
     n, y = np.array([r["count"] for r in grouped], float), np.array([r.t for r in grouped], float)
@@ -307,7 +307,7 @@ def score(docs: DataFrame, model: ToxicityModel, keep: bool = False) -> DataFram
                 p = np.concatenate([np.zeros(0), *(probability(scorer.of_texts(texts[a:b])) for a, b in batches(texts, 4_000_000))])
                 yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(p, pa.float64())], names=[*batch.schema.names, "_score"])
 
-        return small_batches(docs).mapInArrow(extend, schema)
+        return small_batches(docs).mapInArrow(tidy(extend), schema)
 
     def work(frames):
         scorer = scorer_of(terms, ordinary)
@@ -318,7 +318,7 @@ def score(docs: DataFrame, model: ToxicityModel, keep: bool = False) -> DataFram
                 yield to_frame([(k, h, float(p), n, q) for k, h, p, (*_, n, q) in zip(keys[a:b], held[a:b], probability(rows), rows, strict=True)], SCORES)
 
     chosen = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"), held_out().alias("held_out"))
-    return chosen.mapInPandas(work, SCORES)
+    return chosen.mapInPandas(tidy(work), SCORES)
 
 
 def classify(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:
