@@ -1,13 +1,15 @@
-"""Benchmark decontamination: rare n-gram seeds join documents to test items, then Smith-Waterman scores the copies.
+"""Benchmark decontamination: n-gram seeds join documents to test items, then Smith-Waterman scores the copies.
 
 Items come to the executors in blocks of a bounded number of words, whatever the size of the benchmark. Documents are read
-once per block; a document that shares an n-gram with an item sends the words around it. A seed weighs the logarithm of
-the number of documents over those that hold it, so a few rare seeds or many common ones make a candidate."""
+once per block. Every place where a document shares an n-gram with an item is aligned, however common the n-gram is; only
+places whose words cannot reach the least score are passed over, which changes no result. A copy that keeps no n-gram of
+an item has no seed and is not found."""
 
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections import Counter
+from collections.abc import Callable, Iterator
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -17,7 +19,6 @@ from .shared import clean_text, materialise, small_batches, tidy, to_frame, whol
 from .tokens import batches
 from .words import mixed, numbered
 
-HITS = "doc_id long, text_key long, item int, first_word long, codes binary, seeds array<long>"
 FOUND = "doc_id long, text_key long, item_id long, score double, matched long, first_word long, n_words long"
 
 
@@ -48,14 +49,17 @@ class ItemBlock:
                 h = mixed(h * np.uint64(3) + codes[k : k + total].astype(np.uint64) + np.uint64(k + 1))
         return h.view(np.int64)
 
-    def find(self, codes: np.ndarray) -> Iterator[tuple[int, int, np.ndarray, list[int]]]:
-        """(item, first word, words around, seeds) for each place of a document where an item's n-grams lie. codes: -1 for words of no item."""
+    def find(self, codes: np.ndarray, least: Callable[[int], float]) -> Iterator[tuple[int, int, np.ndarray]]:
+        """(item, first word, words around) for each place of a document where an item's n-grams lie. codes: -1 for words of no item.
+
+        least: the score that counts, by the words of an item. An alignment of that score takes in at most 2 * words - least
+        further words of the document, so the words around hold each one that goes through a seed whole."""
         n, total = self.n, len(codes) - self.n + 1
         known = codes >= 0
         if len(codes) < n:
             k = self.short.get(codes.astype(np.int32).tobytes()) if known.all() and len(codes) else None
             if k is not None:
-                yield k, 0, codes, []
+                yield k, 0, codes
             return
         run = np.cumsum(np.concatenate(([0], known)))
         places = np.flatnonzero(run[n:] - run[:-n] == n)[:total]
@@ -74,16 +78,17 @@ class ItemBlock:
         count = (high - low)[hit]
         index = np.repeat(low[hit] - (np.cumsum(count) - count), count) + np.arange(count.sum())
         where, owner = np.repeat(places[hit], count), self.owner[index]
-        begin, seed = where - self.at[index], self.keys[index]
+        begin = where - self.at[index]
         order = np.lexsort((begin, owner))
-        owner, begin, seed = owner[order], begin[order], seed[order]
+        owner, begin = owner[order], begin[order]
         sizes = np.array([len(c) for c in self.items])[owner]
         new = np.concatenate(([True], (owner[1:] != owner[:-1]) | (begin[1:] - begin[:-1] > sizes[1:] // 2 + 4)))
         for a, b in zip(np.flatnonzero(new), [*np.flatnonzero(new)[1:], len(owner)], strict=True):
             k, size = int(owner[a]), int(sizes[a])
-            first = max(0, int(begin[a]) - size // 4 - 2)
-            last = min(len(codes), int(begin[b - 1]) + size + size // 4 + 2)
-            yield k, first, codes[first:last], sorted(set(seed[a:b].tolist()))
+            more = max(0, math.ceil(2 * size - least(size)))
+            first = max(0, int(begin[a]) - more)
+            last = min(len(codes), int(begin[b - 1]) + size + more)
+            yield k, first, codes[first:last]
 
 
 def align(item: np.ndarray, window: np.ndarray, match: float = 2, mismatch: float = 1, gap: float = 1) -> tuple[float, int, int]:
@@ -122,19 +127,20 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, n: int = 4, share: float
     """(doc_id, text_key, item_id, score, matched, first_word, n_words): one row per document and item that it holds.
 
     score is the alignment's share of the greatest score of the item; a document counts from the given share on, or where
-    the alignment is worth the given number of matched words. An item of fewer than n words counts only where it is the
+    the alignment is worth the given number of matched words; first_word and n_words are where it lies. An item of fewer than n words counts only where it is the
     whole document. Null texts are empty and hold nothing; ids may be null or repeat; an empty table gives none; other
     columns are ignored. text_key is xxhash64 of the text, which tells rows with equal or null ids apart.
     """
     spark = docs.sparkSession
     chosen = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text")).withColumn("text_key", F.xxhash64("text"))
-    total = chosen.count()
     parts = [spark.createDataFrame([], FOUND)]
+    least = lambda size: min(2 * share * size, 2 * words)
     for items in item_blocks(benchmark, block_words):
         block = spark.sparkContext.broadcast(items)
 
         def find(frames, block=block):
             known = ItemBlock(block.value, n)
+            counts = [Counter(c.tolist()) for c in known.items]
             for frame in frames:
                 texts = frame["text"].tolist()
                 keys, marks = whole(frame["doc_id"]), whole(frame["text_key"])
@@ -143,31 +149,18 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, n: int = 4, share: float
                     own = np.array([known.words.get(w, -1) for w in names], np.int32)[codes] if names else np.zeros(0, np.int32)
                     rows = []
                     for i, (x, y) in enumerate(zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)):
-                        for k, first, around, seeds in known.find(own[x:y]):
-                            rows.append((keys[a + i], marks[a + i], k, first, around.astype(np.int32).tobytes(), seeds))
+                        for k, first, window in known.find(own[x:y], least):
+                            item = known.items[k]
+                            if 2 * (counts[k] & Counter(window.tolist())).total() < least(len(item)):  # no alignment matches more words
+                                continue
+                            best, row, last = align(item, window)
+                            if best >= least(len(item)):
+                                ahead = last - align(item[row::-1], window[last::-1])[2]
+                                rows.append((keys[a + i], marks[a + i], known.ids[k], best / (2 * len(item)), int(best // 2), first + ahead, last - ahead + 1))
                     if rows:
-                        yield to_frame(rows, HITS)
-
-        hits = materialise(chosen.mapInPandas(tidy(find), HITS))
-        held = {r.seed: r.n for r in hits.select(F.explode("seeds").alias("seed")).groupBy("seed").agg(F.count(F.lit(1)).alias("n")).collect()}  # at most the block's n-grams
-        weights = spark.sparkContext.broadcast({s: math.log(1 + total / min(k, total)) for s, k in held.items()})
-        least = 0.5 * math.log(1 + total)
+                        yield to_frame(rows, FOUND)
 
-        def score(frames, block=block, weights=weights, least=least):
-            known, weight = ItemBlock(block.value, n), weights.value
-            for frame in frames:
-                rows = []
-                for doc_id, mark, k, first, raw, seeds in zip(whole(frame["doc_id"]), whole(frame["text_key"]), frame["item"], frame["first_word"], frame["codes"], frame["seeds"], strict=True):
-                    item, window = known.items[k], np.frombuffer(raw, np.int32)
-                    if len(item) >= known.n and sum(weight[s] for s in seeds) < least:
-                        continue
-                    best, _, last = align(item, window)
-                    if best >= 2 * share * len(item) or best >= 2 * words:
-                        rows.append((doc_id, mark, known.ids[k], best / (2 * len(item)), int(best // 2), int(first), int(last + 1)))
-                if rows:
-                    yield to_frame(rows, FOUND)
-
-        parts.append(hits.mapInPandas(tidy(score), FOUND))
+        parts.append(chosen.mapInPandas(tidy(find), FOUND))
     found = parts[0]
     for p in parts[1:]:
         found = found.unionByName(p)

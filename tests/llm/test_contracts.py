@@ -346,6 +346,17 @@ def test_decontamination(spark, nasty):
     assert left.columns == df.columns and order(r.doc_id for r in left.collect()) == order([3, 4, 6, None, 7])
 
 
+def test_decontamination_of_a_common_item(spark):
+    item = [f"w{k}" for k in range(20)]
+    edited = [f"x{k}" if k in (4, 8, 12, 16) else w for k, w in enumerate(item)]  # one 4-gram is left
+    spread = item[:9] + [f"g{k}" for k in range(15)] + item[10:19]  # neither part is half of the item
+    rows = [(i, f"a{i} b{i} " + " ".join(item) + f" c{i}") for i in range(100)] + [(i, f"a{i} b{i} c{i} w1 w2 w3") for i in range(100, 300)] + [(300, "before " + " ".join(edited) + " after"), (301, " ".join(spread))]
+    bench = spark.createDataFrame([(7, " ".join(item))], "item_id long, text string")
+    got = {r.doc_id: r for r in decontaminate.contaminated(spark.createDataFrame(rows, "doc_id long, text string"), bench).collect()}
+    assert set(got) == {*range(100), 300, 301} and got[300].score == 28 / 40 and got[301].score == 21 / 40  # 18 matches, a mismatch, 14 gaps
+    assert (got[5].first_word, got[5].n_words) == (2, 20) and (got[300].first_word, got[300].n_words) == (1, 20)
+
+
 def test_alignment_against_plain_table():
     rng = np.random.default_rng(2)
     for _ in range(60):
