@@ -1,9 +1,10 @@
 """Secrets: credential patterns, and character Markov models of random strings and of ordinary identifiers.
 
-Two bigram models over character classes of single letters are trained from labelled samples: random strings (drawn by a
-hash, and the values the patterns find) and identifiers (words of a bounded sample of documents, and joined words). A
-long token is a secret if its log-likelihood ratio per character is beyond a threshold. DataFrame functions only: the
-models are small literal arrays in the plan."""
+Two bigram models over single letters are trained from labelled samples: random strings (drawn by a hash, and the values
+the patterns find in a bounded sample of documents) and identifiers (words of that sample, joined words, numbers and runs
+of one character). Every token of 8 characters outside the patterns' spans is scored, whatever its characters: it is a
+secret if the sum of its log-likelihood ratios is beyond a threshold that grows with its length. DataFrame functions only:
+the models are small literal arrays in the plan."""
 
 from __future__ import annotations
 
@@ -13,16 +14,17 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .shared import clean_text, drawn_share
-from .spans import located, masked
+from .spans import let, located, masked
 
 ASSIGN = r"""(?i:(password|passwd|secret|token|api_?key))["']? *[:=] *["']?([A-Za-z0-9+/_.=-]++)"""
 ASSIGN_GUARD = r"(?i)password|passwd|secret|token|api_?key"
 ACCESS = r"AKIA[A-Z0-9]++"
 HEX = r"[0-9a-f]++"
 HEX_GUARD = r"[0-9a-f]{24}"
-TOKEN = r"[A-Za-z0-9+/_=-]{16,}+"
+TOKEN = r"[A-Za-z0-9+/_=-]{8,}+"
 KINDS = ("assign", "access", "hex")
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-"
+LEAST = 12.0
 SAMPLE_DOCS = 2000
 SAMPLE_STRINGS = 4000
 
@@ -38,17 +40,20 @@ def base_spans(text: Column) -> dict[str, Column]:
 def labelled_samples(docs: DataFrame, strings: int = SAMPLE_STRINGS, sample_docs: int = SAMPLE_DOCS) -> DataFrame:
     """(token, random): hash-drawn strings in mixed alphabets against words and joined words of documents.
 
-    The sample is bounded: so many strings, and the words of about so many documents, drawn by a hash of id and text at
+    The sample is bounded: so many strings, and the words and pattern values of about so many documents, drawn by a hash of id and text at
     the share that their number asks for; no rows are gathered for it."""
     spark = docs.sparkSession
     drawn = spark.range(strings).select(F.explode(F.array(F.base64(F.unhex(F.substring(F.sha2(F.col("id").cast("string"), 256), 1, 48))), F.substring(F.translate(F.base64(F.unhex(F.sha2(F.concat(F.lit("s"), F.col("id").cast("string")), 256))), "+/=", "xyz"), 1, 32))).alias("token"), F.lit(1).alias("random"))
     share = min(1.0, sample_docs / max(1, docs.count()))
     chosen = docs.select(clean_text().alias("text")).where(drawn_share(share, "text"))
-    words = chosen.select(F.filter(F.regexp_extract_all("text", F.lit(r"[A-Za-z0-9_]{3,}+"), F.lit(0)), lambda w: ~w.rlike(r"[0-9a-f]{12}|AKIA|[0-9].*[A-Za-z].*[0-9]")).alias("w"))
+    words = chosen.select(F.filter(F.regexp_extract_all("text", F.lit(r"[A-Za-z0-9+/_=-]{3,}+"), F.lit(0)), lambda w: ~w.rlike(r"[0-9a-f]{12}|AKIA|[0-9].*[A-Za-z].*[0-9]")).alias("w"))
     plain = words.select(F.explode("w").alias("token"))
-    pair = words.selectExpr("explode(transform(sequence(1, greatest(size(w) - 1, 1)), i -> concat_ws('_', get(w, i - 1), get(w, i)))) as token")
+    pair = words.selectExpr("explode(transform(sequence(1, greatest(size(w) - 1, 1)), i -> concat_ws(substring('_-/=', 1 + i % 4, 1), get(w, i - 1), get(w, i)))) as token")
+    held = chosen.select(F.explode(F.concat(*(F.transform(c, lambda s: s.part) for c in base_spans(F.col("text")).values()))).alias("token"), F.lit(1).alias("random"))
+    numbers = spark.range(strings // 4).select(F.substring(F.conv(F.substring(F.sha2(F.concat(F.lit("n"), F.col("id").cast("string")), 256), 1, 15), 16, 10), -12, 12).alias("token"))
+    runs = spark.createDataFrame([(c * 32,) for c in ALPHABET for _ in range(4)], "token string")
     fixed = spark.createDataFrame([(a + s + b,) for a in ("get", "set", "user", "max", "default", "config", "data", "file", "http", "value") for b in ("Name", "Value", "Count", "Index", "Handler", "Timeout", "Request", "Buffer", "Version", "Manager") for s in ("", "_", "Item", "Local")], "token string")
-    return drawn.unionByName(plain.unionByName(pair).unionByName(fixed).select("token", F.lit(0).alias("random")))
+    return drawn.unionByName(held).unionByName(plain.unionByName(pair).unionByName(fixed).unionByName(numbers).unionByName(runs).select("token", F.lit(0).alias("random")))
 
 
 def bigram_counts(samples: DataFrame) -> DataFrame:
@@ -68,30 +73,47 @@ def log_ratios(samples: DataFrame, smooth: float = 0.5) -> list[float]:
     return [round(math.log(counts[1][k] / sums[1][k // n]) - math.log(counts[0][k] / sums[0][k // n]), 4) for k in range(n * n)]
 
 
-def mean_ratio(token: Column, ratios: list[float]) -> Column:
-    """Mean log-likelihood ratio per bigram of a token over the alphabet."""
+def total_ratio(token: Column, ratios: list[float]) -> Column:
+    """Log-likelihood ratio of a token over the alphabet: the sum over its bigrams."""
     n = len(ALPHABET)
     table = F.expr("array(" + ",".join(f"{r!r}D" for r in ratios) + ")")
-    place = lambda i: F.instr(F.lit(ALPHABET), F.substring(token, i, F.lit(1))) - 1
-    steps = F.sequence(F.lit(1), F.greatest(F.length(token) - 1, F.lit(1)))
-    total = F.aggregate(steps, F.lit(0.0), lambda s, i: s + F.coalesce(F.get(table, place(i) * n + place(i + 1)), F.lit(0.0)))
-    return total / F.greatest(F.length(token) - 1, F.lit(1))
+    codes = F.transform(F.split(token, ""), lambda c: F.instr(F.lit(ALPHABET), c) - 1)
+    steps = F.sequence(F.lit(0), F.greatest(F.length(token) - 2, F.lit(0)))
+    return let(codes, lambda at: F.aggregate(steps, F.lit(0.0), lambda s, i: s + F.coalesce(F.get(table, F.get(at, i) * n + F.get(at, i + 1)), F.lit(0.0))))
 
 
-def secret_spans(docs: DataFrame, threshold: float = 0.8, keep: bool = False) -> DataFrame:
+def blanked(text: Column, spans: Column) -> Column:
+    """The text with a space for every character that spans cover. spans: array of (start, stop)."""
+    first = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
+
+    def fold(acc: Column, s: Column) -> Column:
+        start = F.greatest(acc.at, s.start)
+        out = F.concat(acc.out, F.substring(text, acc.at + 1, start - acc.at), F.repeat(F.lit(" "), F.greatest(s.stop - start, F.lit(0))))
+        return F.struct(F.greatest(acc.at, s.stop).alias("at"), out.alias("out"))
+
+    done = F.aggregate(F.array_sort(spans), first, fold, lambda acc: F.concat(acc.out, F.substring(text, acc.at + 1, F.length(text))))
+    return F.when(F.size(spans) > 0, done).otherwise(text)
+
+
+def bounds(kind: str) -> Column:
+    return F.transform(f"_{kind}", lambda s: F.struct(s.start.alias("start"), s.stop.alias("stop")))
+
+
+def secret_spans(docs: DataFrame, least: float = LEAST, threshold: float = 0.8, keep: bool = False) -> DataFrame:
     """doc_id, text, the three arrays of base spans and `markov`, the spans of other random-looking tokens; keep=True keeps all columns.
 
-    A token must have 16 characters, with letters and digits, and lie in no base span. Null text is empty; null ids and
-    repeated rows are treated row by row; an empty table gives none; other columns are ignored or, if kept, untouched."""
+    Tokens are runs of 8 characters of the alphabet or more outside base spans, so that what a span leaves of a longer run
+    is scored too. The sum of log-likelihood ratios must reach `least`, the evidence against chance that a short token
+    needs, and `threshold` for each bigram, which long tokens need. Null text is empty; null ids and repeated rows are
+    treated row by row; an empty table gives none; other columns are ignored or, if kept, untouched."""
     ratios = log_ratios(labelled_samples(docs))
     chosen = docs.withColumn("_text", clean_text()) if keep else docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("_text"))
-    text = F.col("_text")
     names = {k: f"_{k}" for k in (*KINDS, "markov")}
-    with_base = chosen.withColumns({names[k]: c for k, c in base_spans(text).items()})
-    mixed = lambda s: s.hit.rlike("[0-9]") & s.hit.rlike("[A-Za-z]")
-    apart = lambda s: F.forall(F.concat(*(F.col(names[k]) for k in KINDS)), lambda b: (b.stop <= s.start) | (b.start >= s.stop))
-    random = F.filter(located(text, TOKEN, guard=text.rlike(r"[A-Za-z0-9+/_=-]{16}")), lambda s: F.when(mixed(s) & apart(s), mean_ratio(s.hit, ratios) >= threshold).otherwise(False))
-    return with_base.withColumn(names["markov"], random)
+    with_base = chosen.withColumns({names[k]: c for k, c in base_spans(F.col("_text")).items()})
+    rest = blanked(F.col("_text"), F.concat(*map(bounds, KINDS)))
+    random = lambda t: total_ratio(t, ratios) >= F.greatest(F.lit(least), threshold * (F.length(t) - 1))
+    found = lambda t: F.filter(located(t, TOKEN, guard=F.exists(F.regexp_extract_all(t, F.lit(TOKEN), F.lit(0)), random)), lambda s: random(s.hit))
+    return with_base.withColumn(names["markov"], let(rest, found))
 
 
 def secret_digest(docs: DataFrame, **options) -> DataFrame:
@@ -113,8 +135,7 @@ def secret_digest(docs: DataFrame, **options) -> DataFrame:
 def redact(docs: DataFrame, mark: str = "[SECRET]", **options) -> DataFrame:
     """All documents with all their columns; secrets in the text are replaced by the mark, and n_chars, if there, counts the new text."""
     rows = secret_spans(docs, keep=True, **options)
-    pick = lambda k: F.transform(f"_{k}", lambda s: F.struct(s.start.alias("start"), s.stop.alias("stop")))
-    spans = F.concat(*(pick(k) for k in (*KINDS, "markov")))
+    spans = F.concat(*map(bounds, (*KINDS, "markov")))
     clear = rows.withColumn("text", F.when(F.col("text").isNotNull(), masked(F.col("_text"), spans, mark)))
     if "n_chars" in docs.columns:
         touched = F.size(F.col("_assign")) + F.size(F.col("_access")) + F.size(F.col("_hex")) + F.size(F.col("_markov")) > 0

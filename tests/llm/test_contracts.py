@@ -108,6 +108,17 @@ def test_secret_models_and_redaction(spark, nasty, docs):
     assert "hunter22" not in by[13].text and by[3].text == NASTY[2][1]
 
 
+def test_secrets_without_digits_short_and_beside_patterns(spark, docs):
+    hidden = ["qXwVzKjRbTgHnMpL", "zKq9XwvB", "Zx9Kq2Lm8Rt5Vw1Y", "XqVkZjWpGxQvHzKr"]
+    plain = ["internationalization", "get_user_name_value", "well-known-facts", "--------------------------------", "2024-01-15/2025-01-15", "123456789012"]
+    planted = [(90001, f"see {hidden[0]} or {hidden[1]} there"), (90002, f"{hidden[2]}-{'0123456789ab' * 3}-{hidden[3]} end"), (90003, " ".join(plain))]
+    df = docs.select("doc_id", "text").unionByName(spark.createDataFrame(planted, "doc_id long, text string"))
+    by = {r.doc_id: r.text for r in secret_scan.redact(df).where("doc_id > 90000").collect()}
+    assert by[90001] == "see [SECRET] or [SECRET] there" and not any(h in by[90002] for h in hidden) and by[90003] == planted[2][1]
+    samples = secret_scan.labelled_samples(spark.createDataFrame([(1, "password=Tr0ub4dor_x9")], "doc_id long, text string"))
+    assert samples.where("random = 1 and token = 'Tr0ub4dor_x9'").count() == 1
+
+
 def test_pii_terms_and_sanitising(spark):
     rows = [(i, f"w{chr(97 + i)}one zephyrine q{chr(97 + i)}two bob@mail.com filler{chr(97 + i)}x") for i in range(6)] + [(100 + i, f"plain words {chr(97 + i % 26)}aa bbb common text") for i in range(600)]
     df = spark.createDataFrame(rows, "doc_id long, text string")
