@@ -58,7 +58,10 @@ def popcount_and(a, b) -> Column:
 
 
 def register_table_function(spark: SparkSession) -> None:
-    """mine_patterns(TABLE(t), ...): minimal patterns of a table (items array<int>, label int), searched in one task per partition of the table."""
+    """mine_patterns(TABLE(t), min_pos, max_neg, theta, min_score, n_items, max_len, negation): minimal patterns of a table
+    (items array<int>, label int) with a chi-square of at least min_score, searched in one task per partition of the table.
+
+    A negative max_len is no cap; a partition with more than two million distinct item sets is refused."""
     from pyspark.sql.functions import udtf
 
     @udtf(returnType="pattern array<int>, sup_pos bigint, sup_neg bigint")
@@ -67,22 +70,25 @@ def register_table_function(spark: SparkSession) -> None:
             self.rows = {}
             self.options = None
 
-        def eval(self, row, min_pos: int, max_neg: int, theta: float, n_items: int, max_len: int, negation: bool):
-            self.options = min_pos, max_neg, theta, n_items, max_len, negation
+        def eval(self, row, min_pos: int, max_neg: int, theta: float, min_score: float, n_items: int, max_len: int, negation: bool):
+            self.options = min_pos, max_neg, theta, min_score, n_items, max_len, negation
             cell = self.rows.setdefault(tuple(row["items"]), [0, 0])
             cell[0 if row["label"] == 1 else 1] += 1
+            if len(self.rows) > 2_000_000:
+                raise ValueError("too many distinct rows for one task; use mine_minimal")
 
         def terminate(self):
-            from contrastmine.operators.constraints import Contrast, GrowthRate
+            from contrastmine.operators.constraints import ChiSquare, Contrast, GrowthRate
             from contrastmine.operators.kernel import Search, Side
             from contrastmine.operators.minimal import minimal_by_trie
 
             if self.options is None:
                 return
-            min_pos, max_neg, theta, n, max_len, negation = self.options
+            min_pos, max_neg, theta, min_score, n, max_len, negation = self.options
             sets, p, q = list(self.rows), [c[0] for c in self.rows.values()], [c[1] for c in self.rows.values()]
-            c = (Contrast(min_pos, max_neg) & GrowthRate(theta)).bind(sum(p), sum(q))
-            got = {g[0]: g for g in Search(c, n, negation, max_len=max_len).run(Side(sets, p, n, negation), Side(sets, q, n, negation))}
+            c = Contrast(min_pos, max_neg) & GrowthRate(theta)
+            c = (c if min_score <= 0 else c & ChiSquare(min_score)).bind(sum(p), sum(q))
+            got = {g[0]: g for g in Search(c, n, negation, max_len=None if max_len < 0 else max_len).run(Side(sets, p, n, negation), Side(sets, q, n, negation))}
             for k in minimal_by_trie(list(got)):
                 yield list(k), got[k][1], got[k][2]
 

@@ -111,6 +111,10 @@ class Constraint:
         """Testing immediate subsets suffices for minimality."""
         return False
 
+    def least_positive(self) -> int:
+        """Positive rows that every member has."""
+        return 0
+
 
 @dataclass
 class Contrast(Constraint):
@@ -135,6 +139,9 @@ class Contrast(Constraint):
     def convex(self):
         return True
 
+    def least_positive(self):
+        return max(0, self.min_pos)
+
 
 def Jumping(min_pos: int = 1) -> Contrast:
     return Contrast(min_pos, 0)
@@ -233,3 +240,6 @@ class Both(Constraint):
 
     def convex(self):
         return self.a.convex() and self.b.convex()
+
+    def least_positive(self):
+        return max(self.a.least_positive(), self.b.least_positive())

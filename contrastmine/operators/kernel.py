@@ -94,6 +94,16 @@ class Side:
         return out
 
 
+def static_rank(order: str, ids: np.ndarray, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Position of each literal in a static order, from its supports; indexed by literal."""
+    with np.errstate(divide="ignore", invalid="ignore"):
+        rate = np.where(y > 0, x / np.where(y > 0, y, 1), np.where(x > 0, np.inf, 0))
+    keys = {"id": ids, "neg_asc": y, "neg_desc": -y, "total_asc": x + y, "growth_desc": -rate}[order.partition(":")[2]]
+    out = np.zeros(int(ids.max(initial=-1)) + 1, int)
+    out[ids[np.lexsort((ids, keys))]] = np.arange(len(ids))
+    return out
+
+
 @dataclass
 class Search:
     constraint: Constraint
@@ -105,25 +115,21 @@ class Search:
     timeout_s: float | None = None
     trace: list | None = None
     counters: Counters = field(default_factory=Counters)
+    allowed: tuple[int, ...] | None = None  # the literals of patterns; None: all
 
     def literals(self) -> np.ndarray:
-        return np.arange(self.n_items * (1 + self.negation))
-
-    def rank(self, pos: Side, neg: Side) -> np.ndarray:
-        """Position of each literal in a static order."""
-        x, y, ids = pos.weigh(pos.columns), neg.weigh(neg.columns), self.literals()
-        with np.errstate(divide="ignore", invalid="ignore"):
-            rate = np.where(y > 0, x / np.where(y > 0, y, 1), np.where(x > 0, np.inf, 0))
-        keys = {"id": ids, "neg_asc": y, "neg_desc": -y, "total_asc": x + y, "growth_desc": -rate}[self.order.partition(":")[2]]
-        out = np.empty(len(ids), int)
-        out[np.lexsort((ids, keys))] = ids
-        return out
+        return np.arange(self.n_items * (1 + self.negation)) if self.allowed is None else np.array(self.allowed, int)
+
+    def rank(self, pos: Side, neg: Side) -> np.ndarray | None:
+        """Position of each literal in a static order; none in the dynamic one."""
+        ids = self.literals()
+        return None if self.order == "dynamic" else static_rank(self.order, ids, pos.weigh(pos.columns[ids]), neg.weigh(neg.columns[ids]))
 
     def run(self, pos: Side, neg: Side, prefix=(), among=None, rank=None, limit: int | None = None):
         """Candidates (pattern, x, y) of the subtree of a prefix, whose rows are those given; every member that no cut hides, or with rules.stop the path-minimal ones."""
         c, rules, n, count = self.constraint, self.rules, self.n_items, self.counters
         nc = rules.use_nc(c)
-        if rank is None and self.order != "dynamic":
+        if rank is None:
             rank = self.rank(pos, neg)
         begin = time.monotonic()
         out: list[tuple[tuple[int, ...], int, int]] = []
@@ -187,31 +193,39 @@ class Search:
                 todo.append((tuple(sorted((*pattern, i))), after, part_pos[k], part_neg[k], (int(xs[k]), int(ys[k]))))
         return out
 
-    def count_jumping(self, pos: Side, neg: Side, min_pos: int) -> int:
-        """How many patterns without negative rows have at least min_pos positive ones, without listing them: literals that all remaining positive rows share double the count of a branch."""
-        n = self.n_items
-        total = 0
-        todo = [(self.literals(), pos.full, neg.full, 0)]
+    def count_jumping(self, pos: Side, neg: Side, min_pos: int, among=None) -> int:
+        """How many patterns over the literals without negative rows have at least min_pos positive ones, without listing them: literals that all remaining positive rows share double the count of a branch."""
+        n, total, begin = self.n_items, 0, time.monotonic()
+        todo = [(self.literals() if among is None else np.asarray(among, int), pos.full, neg.full, 1)]
         while todo:
-            rest, mask_pos, mask_neg, _ = todo.pop()
+            rest, mask_pos, mask_neg, times = todo.pop()
+            if self.timeout_s is not None and time.monotonic() - begin > self.timeout_s:
+                self.counters.timeout = True
+                break
             self.counters.nodes += 1
             x = int(pos.weigh(mask_pos[None])[0])
             if x < min_pos:
                 continue
             xs = pos.weigh(pos.columns[rest] & mask_pos) if len(rest) else np.zeros(0, np.int64)
             if not mask_neg.any():
-                total += self._supersets(pos, rest, xs, mask_pos, x, min_pos)
+                total += times * self._supersets(pos, rest, xs, mask_pos, x, min_pos)
                 continue
-            keep = xs >= min_pos
-            rest = rest[keep]
-            ys = neg.weigh(neg.columns[rest] & mask_neg)
-            rest = rest[np.lexsort((rest, ys))]
-            for k in range(len(rest)):
+            y = int(neg.weigh(mask_neg[None])[0])
+            part = neg.columns[rest] & mask_neg
+            ys = neg.weigh(part)
+            times <<= int(((xs == x) & (ys == y)).sum())  # in all rows left: with or without, the rows are the same
+            live = (xs >= min_pos) & ((xs < x) | (ys < y))
+            rest, ys, part = rest[live], ys[live], part[live]
+            by = np.lexsort((rest, ys))
+            rest, part = rest[by], part[by]
+            left = np.bitwise_and.accumulate(part[::-1], axis=0)[::-1].any(axis=1) if len(rest) else np.zeros(0, bool)
+            end = int(np.flatnonzero(left)[0]) if left.any() else len(rest)  # from there on, a negative row holds all that follows
+            for k in range(end):
                 i = int(rest[k])
                 after = rest[k + 1 :]
                 if self.negation:
                     after = after[after != (i + n if i < n else i - n)]
-                todo.append((after, mask_pos & pos.columns[i], mask_neg & neg.columns[i], 0))
+                todo.append((after, mask_pos & pos.columns[i], mask_neg & neg.columns[i], times))
         return total
 
     def _supersets(self, pos: Side, rest, xs, mask, x: int, min_pos: int) -> int:

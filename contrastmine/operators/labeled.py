@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterable
 from dataclasses import dataclass, replace
 
@@ -34,13 +35,22 @@ class LabeledDB:
     rows: DataFrame
     names: tuple[str, ...]
     negation: bool = False
+    negated: tuple[int, ...] | None = None  # the items whose negation is a literal; None: all
 
     @property
     def n_items(self) -> int:
         return len(self.names)
 
-    def with_negation(self, on: bool = True) -> LabeledDB:
-        return replace(self, negation=on)
+    def with_negation(self, on: bool = True, only: Iterable[str] | None = None) -> LabeledDB:
+        """only: names of items, or of attributes (what stands before `=`, `:`, `<` or `>`), whose negation counts."""
+        wanted = None if only is None else set(only)
+        some = None if wanted is None else tuple(k for k, n in enumerate(self.names) if n in wanted or re.split(r"[=:<>]", n, maxsplit=1)[0] in wanted)
+        return replace(self, negation=on, negated=some)
+
+    def literals(self) -> list[int]:
+        """Ids of all literals of patterns."""
+        n = self.n_items
+        return [*range(n), *(i + n for i in (range(n) if self.negated is None else self.negated))] if self.negation else list(range(n))
 
     def literal_name(self, literal: int) -> str:
         return self.names[literal] if literal < self.n_items else "!" + self.names[literal - self.n_items]
@@ -48,9 +58,13 @@ class LabeledDB:
     def text(self, pattern: Iterable[int]) -> str:
         return " & ".join(map(self.literal_name, sorted(pattern)))
 
+    def measure(self) -> tuple[int, int, int]:
+        """Positive rows, negative rows, distinct rows, in one aggregate."""
+        r = self.rows.agg(F.coalesce(F.sum("w_pos"), F.lit(0)).alias("p"), F.coalesce(F.sum("w_neg"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("k")).first()
+        return int(r.p), int(r.n), int(r.k)
+
     def sizes(self) -> tuple[int, int]:
-        r = self.rows.agg(F.coalesce(F.sum("w_pos"), F.lit(0)).alias("p"), F.coalesce(F.sum("w_neg"), F.lit(0)).alias("n")).first()
-        return int(r.p), int(r.n)
+        return self.measure()[:2]
 
     def persist(self) -> LabeledDB:
         return replace(self, rows=self.rows.persist())
@@ -77,6 +91,19 @@ def item_ranges(attribute: str, cuts: list[float], column: Column | None = None,
     return out
 
 
+def bin_width(df: DataFrame, attribute: str, k: int) -> list[float]:
+    """Cut points of k bins of equal width between the least and the greatest value; none where all values are equal or null."""
+    r = df.agg(F.min(attribute).cast("double").alias("a"), F.max(attribute).cast("double").alias("b")).first()
+    return [] if r.a is None or r.a == r.b else [r.a + (r.b - r.a) * j / k for j in range(1, k)]
+
+
+def bin_quantile(df: DataFrame, attribute: str, k: int, exact: bool = False, accuracy: int = 10_000) -> list[float]:
+    """Cut points of k bins of about equal size, without repeats. exact: sorts all values, for small tables; else a sketch."""
+    shares = [j / k for j in range(1, k)]
+    found = df.agg((F.percentile(F.col(attribute).cast("double"), shares) if exact else F.percentile_approx(F.col(attribute).cast("double"), shares, accuracy)).alias("q")).first().q
+    return sorted(set(found or []))
+
+
 def item_null(attribute: str) -> Item:
     return Item(f"{attribute} is null", F.col(attribute).isNull())
 
@@ -94,6 +121,12 @@ def item_json(column: str, key: str, values: Iterable) -> list[Item]:
     return [Item(f"{key}={v}", got == F.lit(str(v))) for v in values]
 
 
+def item_variant(column: str, path: str, kind: str, values: Iterable) -> list[Item]:
+    """Items of a JSON column read as a variant: the value at the path, as the given type."""
+    got = F.try_variant_get(F.try_parse_json(column), path, kind)
+    return [Item(f"{path.removeprefix('$.')}={v}", got == F.lit(v)) for v in values]
+
+
 def top_vocabulary(df: DataFrame, words: Column, k: int, min_df: int = 1) -> DataFrame:
     """(word, df): the k words in most rows, ties by the word."""
     return df.select(F.explode(F.array_distinct(words)).alias("word")).groupBy("word").agg(F.count(F.lit(1)).alias("df")).where(F.col("df") >= min_df).orderBy(F.desc("df"), "word").limit(k)
@@ -148,7 +181,7 @@ def merge_twins(db: LabeledDB) -> tuple[LabeledDB, dict[int, list[int]]]:
     new = {g[0]: k for k, g in enumerate(kept)}
     table = F.create_map(*(F.lit(v) for kv in new.items() for v in kv))
     rows = db.rows.select(F.array_sort(F.array_compact(F.transform("items", lambda i: table[i]))).alias("items"), "w_pos", "w_neg")
-    return LabeledDB(rows.groupBy("items").agg(F.sum("w_pos").alias("w_pos"), F.sum("w_neg").alias("w_neg")), tuple("=".join(db.names[i] for i in g) for g in kept), db.negation), {k: g for k, g in enumerate(kept)}
+    return LabeledDB(rows.groupBy("items").agg(F.sum("w_pos").alias("w_pos"), F.sum("w_neg").alias("w_neg")), tuple("=".join(db.names[i] for i in g) for g in kept), db.negation), dict(enumerate(kept))
 
 
 def occurs(items: Column, pattern: Iterable[int], n_items: int) -> Column:
@@ -215,8 +248,16 @@ def supports(db: LabeledDB, patterns: Iterable[Pattern]) -> DataFrame:
     return table.select("pattern").distinct().join(hit, F.col("pattern") == F.col("hit"), "left").select("pattern", F.coalesce("sup_pos", F.lit(0)).alias("sup_pos"), F.coalesce("sup_neg", F.lit(0)).alias("sup_neg"))
 
 
+def rows_by_literal(db: LabeledDB) -> DataFrame:
+    """(literal, items, w_pos, w_neg): every row at each literal that it holds."""
+    n = db.n_items
+    literals = F.array(*map(F.lit, db.literals())) if db.literals() else F.array().cast("array<int>")
+    holds = lambda i: F.when(i < n, F.array_contains("items", i)).otherwise(~F.array_contains("items", i - n))
+    return db.rows.select(F.explode(F.filter(literals, holds)).alias("literal"), "items", "w_pos", "w_neg")
+
+
 def literal_supports(db: LabeledDB) -> DataFrame:
-    return supports(db, [(i,) for i in range(db.n_items * (1 + db.negation))])
+    return supports(db, [(i,) for i in db.literals()])
 
 
 def occurrence_delivery(db: LabeledDB) -> DataFrame:
@@ -224,12 +265,38 @@ def occurrence_delivery(db: LabeledDB) -> DataFrame:
     return db.rows.select(F.explode("items").alias("item"), "w_pos", "w_neg").groupBy("item").agg(F.sum("w_pos").alias("sup_pos"), F.sum("w_neg").alias("sup_neg"))
 
 
+def literal_bitmaps(db: LabeledDB) -> DataFrame:
+    """(item, bucket, rows): the rows of each item as bitmaps, by Spark's bitmap aggregates; a row's number is a rank of its item set.
+
+    Bitmaps of one bucket can be united and intersected with bitmap_or_agg and bitmap_and_agg; see bitmap_support."""
+    return numbered_rows(db).select(F.explode("items").alias("item"), "row").groupBy("item", F.bitmap_bucket_number("row").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("row")).alias("rows"))
+
+
+def numbered_rows(db: LabeledDB) -> DataFrame:
+    """Distinct rows with a number from 0: the rows before a range of hashes, and the rank within it, so no single window sees all rows."""
+    from pyspark.sql import Window
+
+    hashed = db.rows.withColumn("_h", F.xxhash64("items")).withColumn("_r", F.call_function("shiftright", F.col("_h"), F.lit(50)))
+    before = hashed.groupBy("_r").agg(F.count(F.lit(1)).alias("_n")).withColumn("_b", F.sum("_n").over(Window.orderBy("_r")) - F.col("_n")).drop("_n")  # 16,384 ranges at most
+    ranked = hashed.join(F.broadcast(before), "_r").withColumn("row", F.row_number().over(Window.partitionBy("_r").orderBy("_h", F.concat_ws(",", "items"))) - 1 + F.col("_b"))
+    return ranked.drop("_h", "_r", "_b")
+
+
+def bitmap_support(bitmaps: DataFrame, items: Iterable[int], union: bool = False) -> DataFrame:
+    """(n_rows): distinct rows that hold all of the items, or any of them."""
+    wanted = sorted(set(items))
+    merge = F.bitmap_or_agg if union else F.bitmap_and_agg
+    merged = bitmaps.where(F.col("item").isin(wanted)).groupBy("bucket").agg(merge("rows").alias("rows"), F.count(F.lit(1)).alias("held"))
+    return merged.where(F.lit(union) | (F.col("held") == len(wanted))).agg(F.coalesce(F.sum(F.bitmap_count("rows")), F.lit(0)).alias("n_rows"))
+
+
 def profile(db: LabeledDB) -> DataFrame:
     """Items, rows, classes, distinct rows and density."""
-    n = db.n_items
-    size = F.lit(float(n)) if db.negation else F.size("items").cast("double")
+    n, literals = db.n_items, db.literals()
+    away = F.array(*(F.lit(i - n) for i in literals if i >= n)).cast("array<int>")
+    size = (F.size("items") + F.size(F.array_except(away, "items"))).cast("double")
     w = F.col("w_pos") + F.col("w_neg")
-    return db.rows.agg(F.lit(n * (1 + db.negation)).alias("n_literals"), F.sum(w).alias("n_rows"), F.sum("w_pos").alias("n_pos"), F.sum("w_neg").alias("n_neg"), F.count(F.lit(1)).alias("n_distinct"), F.round(F.sum(size * w) / F.sum(w) / (n * (1 + db.negation)), 6).alias("density"))
+    return db.rows.agg(F.lit(len(literals)).alias("n_literals"), F.sum(w).alias("n_rows"), F.sum("w_pos").alias("n_pos"), F.sum("w_neg").alias("n_neg"), F.count(F.lit(1)).alias("n_distinct"), F.round(F.sum(size * w) / F.sum(w) / max(1, len(literals)), 6).alias("density"))
 
 
 def class_overlap(db: LabeledDB) -> DataFrame:

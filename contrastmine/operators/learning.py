@@ -10,6 +10,7 @@ from typing import Any
 
 import numpy as np
 import pandas as pd
+from pyspark.ml import Estimator, Model
 from pyspark.ml.classification import DecisionTreeClassifier, LogisticRegression, LogisticRegressionModel, RandomForestClassifier
 from pyspark.ml.feature import StandardScaler, VectorAssembler
 from pyspark.ml.functions import array_to_vector
@@ -18,7 +19,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .constraints import Constraint, Jumping
-from .labeled import Item, LabeledDB, compress, encode, item_ranges, item_sql
+from .labeled import Item, LabeledDB, compress, encode, item_ranges, item_sql, mask_words, pattern_masks
 from .mining import mine_minimal
 
 CUTS = "feature int, cuts array<double>"
@@ -28,12 +29,18 @@ def mdl_cuts(values: np.ndarray, n_pos: np.ndarray, n_neg: np.ndarray, max_cuts:
     """Cut points of one feature from its sorted distinct values and their class counts.
 
     The best cut has the least weighted class entropy; it is taken if its gain is beyond the description length of the
-    cut, and both sides go on. Values that tie are never parted."""
+    cut, and both sides go on until no cut is worth its description. Values that tie are never parted. max_cuts, off by
+    default, stops earlier, with the cuts of the widest intervals."""
 
     def entropy(p, q):
         n = p + q
         return -sum((k / n) * math.log2(k / n) for k in (p, q) if k > 0) if n else 0.0
 
+    def entropies(p, q):
+        n = np.maximum(p + q, 1)
+        part = lambda k: np.where(k > 0, -(k / n) * np.log2(np.where(k > 0, k / n, 1)), 0.0)
+        return part(p) + part(q)
+
     classes = lambda p, q: (p > 0) + (q > 0)
     out: list[float] = []
     todo = [(0, len(values))]
@@ -45,16 +52,13 @@ def mdl_cuts(values: np.ndarray, n_pos: np.ndarray, n_neg: np.ndarray, max_cuts:
         if b - a < 2 or n < 2 or classes(total_p, total_q) < 2:
             continue
         lp, lq = np.cumsum(p)[:-1], np.cumsum(q)[:-1]
-        best, at = None, None
-        for k in range(b - a - 1):
-            if p[k] * q[k + 1] == q[k] * p[k + 1] and not (p[k] and q[k]):
-                continue  # the same pure class on both sides
-            x, y = int(lp[k]), int(lq[k])
-            e = ((x + y) * entropy(x, y) + (n - x - y) * entropy(total_p - x, total_q - y)) / n
-            if best is None or e < best - 1e-12:
-                best, at = e, k
-        if best is None:
+        pure = (p[:-1] * q[1:] == q[:-1] * p[1:]) & ~((p[:-1] > 0) & (q[:-1] > 0))  # the same pure class on both sides
+        if pure.all():
             continue
+        e = ((lp + lq) * entropies(lp, lq) + (n - lp - lq) * entropies(total_p - lp, total_q - lq)) / n
+        e = np.where(pure, np.inf, e)
+        best = float(e.min())
+        at = int(np.flatnonzero(e <= best + 1e-12)[0])
         x, y = int(lp[at]), int(lq[at])
         whole, left, right = entropy(total_p, total_q), entropy(x, y), entropy(total_p - x, total_q - y)
         c, c1, c2 = classes(total_p, total_q), classes(x, y), classes(total_p - x, total_q - y)
@@ -101,28 +105,35 @@ class MdlDiscretizer:
         """A feature without cuts says nothing and gives no items. sql: the features as SQL, for items that are to be saved."""
         return [i for n, c in features.items() if self.cuts[n] for i in item_ranges(n, self.cuts[n], c, (sql or {}).get(n))]
 
-    def save(self, path: str) -> None:
-        with open(path, "w") as f:
-            json.dump({"max_cuts": self.max_cuts, "prebins": self.prebins, "cuts": self.cuts}, f)
+    def save(self, spark, path: str) -> None:
+        """One JSON row, on any file system that Spark writes."""
+        told = json.dumps({"max_cuts": self.max_cuts, "prebins": self.prebins, "cuts": self.cuts})
+        spark.createDataFrame([(told,)], "told string").coalesce(1).write.mode("overwrite").text(path)
 
     @staticmethod
-    def load(path: str) -> MdlDiscretizer:
-        with open(path) as f:
-            return MdlDiscretizer(**json.load(f))
+    def load(spark, path: str) -> MdlDiscretizer:
+        return MdlDiscretizer(**json.loads(spark.read.text(path).first().value))
 
 
 def pattern_features(df: DataFrame, items: list[Item], patterns: list[tuple[int, ...]], keep: list[str]) -> DataFrame:
-    """The kept columns and `features`, a vector of 0/1 indicators; the patterns are literals in the plan."""
+    """The kept columns and `features`, a vector of 0/1 indicators.
+
+    A row's items become mask words; the patterns' masks are a few literal arrays, so the plan does not grow with them."""
     own = F.array_compact(F.array(*(F.when(F.coalesce(i.predicate, F.lit(False)), F.lit(k)) for k, i in enumerate(items)))) if items else F.array().cast("array<int>")
-    n = len(items)
-    with_items = df.select(*keep, own.alias("_items"))
-    tests = []
-    for p in patterns:
-        t = F.lit(True)
-        for i in p:
-            t = t & (F.array_contains("_items", i) if i < n else ~F.array_contains("_items", i - n))
-        tests.append(F.when(t, 1.0).otherwise(0.0))
-    return with_items.select(*keep, array_to_vector(F.array(*tests) if tests else F.array(F.lit(0.0))).alias("features"))
+    words = range(len(range(0, max(1, len(items)), 62)))
+    masked = df.select(*keep, own.alias("_items")).select(*keep, *(c.alias(f"_m{w}") for w, c in enumerate(mask_words(F.col("_items"), len(items)))))
+    masks = pattern_masks(patterns, len(items))
+    column = lambda k: F.lit([m[k] for m in masks]).cast("array<bigint>")
+
+    def held(k: Column) -> Column:
+        test = F.lit(True)
+        for w in words:
+            need, lack = F.get(column(1 + w), k), F.get(column(1 + len(words) + w), k)
+            test = test & (F.col(f"_m{w}").bitwiseAND(need) == need) & (F.col(f"_m{w}").bitwiseAND(lack) == 0)
+        return F.when(test, 1.0).otherwise(0.0)
+
+    flags = F.transform(F.sequence(F.lit(0), F.lit(len(patterns) - 1)), held) if patterns else F.array(F.lit(0.0))
+    return masked.select(*keep, array_to_vector(flags).alias("features"))
 
 
 @dataclass
@@ -136,7 +147,7 @@ class PatternClassifier:
     negation: bool = True
     family: str = "logistic"
     reg: float = 0.01
-    max_cuts: int | None = 3
+    max_cuts: int | None = None
     items: list[Item] | None = None
     patterns: list[tuple[int, ...]] = field(default_factory=list)
     texts: list[str] = field(default_factory=list)
@@ -183,6 +194,27 @@ class PatternClassifier:
         return {"weights": len(used), "mean_length": sum(map(len, used)) / len(used) if used else 0.0}
 
 
+class PatternEstimator(Estimator):
+    """The pattern classifier as an estimator for pyspark.ml pipelines: named items, a label column and options; its model adds `prediction`."""
+
+    def __init__(self, constraint: Constraint, features: dict[str, Column], label: str, items: list[Item] | None = None, **options):
+        super().__init__()
+        self.settings = constraint, features, label, items, options
+
+    def _fit(self, dataset: DataFrame) -> PatternModel:
+        constraint, features, label, items, options = self.settings
+        return PatternModel(PatternClassifier(constraint, **options).fit(dataset, features, label, items))
+
+
+class PatternModel(Model):
+    def __init__(self, fitted: PatternClassifier):
+        super().__init__()
+        self.fitted = fitted
+
+    def _transform(self, dataset: DataFrame) -> DataFrame:
+        return self.fitted.transform(dataset, dataset.columns)
+
+
 def folds(df: DataFrame, label: str, key: str, k: int = 5, seed: int = 0) -> DataFrame:
     """A stratified fold number for each row, by the rank of a hash of its key within its class.
 
@@ -238,31 +270,43 @@ def ml_baseline(kind: str, **options):
     return run
 
 
-def pattern_model(constraint_of, negation: bool = True, items: list[Item] | None = None, **options):
-    """The same kind of function for the pattern classifier; constraint_of(n_pos) gives the constraint."""
+def pattern_model(constraint_of, negation: bool = True, items: list[Item] | None = None, sizes: list | None = None, **options):
+    """The same kind of function for the pattern classifier; constraint_of(n_pos) gives the constraint. sizes: a list that takes each fitted model's size."""
 
     def run(train: DataFrame, test: DataFrame, features: dict[str, Column], label: str, keep: list[str]) -> DataFrame:
         n_pos = train.where(F.col(label) == 1).count()
-        return PatternClassifier(constraint_of(n_pos), negation=negation, **options).fit(train, features, label, items).transform(test, keep)
+        fitted = PatternClassifier(constraint_of(n_pos), negation=negation, **options).fit(train, features, label, items)
+        if sizes is not None:
+            sizes.append(fitted.size())
+        return fitted.transform(test, keep)
 
     return run
 
 
-def cross_validate(df: DataFrame, key: str, label: str, features: dict[str, Column], model, k: int = 5, seed: int = 0) -> DataFrame:
-    """(fold, tp, fp, fn, tn, precision, recall, f1, accuracy); items and patterns are learned in the training part only."""
+def predictions(df: DataFrame, key: str, label: str, features: dict[str, Column], model, k: int = 5, seed: int = 0, keep: tuple[str, ...] = ()) -> DataFrame:
+    """(fold, label, prediction, kept columns) of every row, each by the model that was fitted on the other folds."""
     own = folds(df, label, key, k, seed).persist()
     out = None
     for fold in range(k):
-        part = model(own.where(F.col("fold") != fold), own.where(F.col("fold") == fold), features, label, ["fold", label])
+        part = model(own.where(F.col("fold") != fold), own.where(F.col("fold") == fold), features, label, ["fold", label, *keep])
         out = part if out is None else out.unionByName(part)
-    return f_value(confusion(out, label, "prediction", ["fold"]))
+    return out
+
+
+def cross_validate(df: DataFrame, key: str, label: str, features: dict[str, Column], model, k: int = 5, seed: int = 0) -> DataFrame:
+    """(fold, tp, fp, fn, tn, precision, recall, f1, accuracy); items and patterns are learned in the training part only."""
+    return f_value(confusion(predictions(df, key, label, features, model, k, seed), label, "prediction", ["fold"]))
 
 
 def tune(make_model, space: dict[str, list], df: DataFrame, key: str, label: str, features: dict[str, Column], n_trials: int = 5, inner_folds: int = 3, seed: int = 0) -> tuple[dict, float]:
-    """Seeded random search: the options with the best mean F-value over inner folds."""
+    """Seeded random search without repeats: the options with the best mean F-value over inner folds, the first drawn on ties."""
     draw, best, score = random.Random(seed), {}, -1.0
+    tried: set[tuple] = set()
     for _ in range(n_trials):
         options = {n: draw.choice(v) for n, v in space.items()}
+        if (mark := tuple(map(repr, options.values()))) in tried:
+            continue
+        tried.add(mark)
         got = cross_validate(df, key, label, features, make_model(**options), inner_folds, seed).agg(F.avg("f1")).first()[0] or 0.0
         if got > score:
             best, score = options, got

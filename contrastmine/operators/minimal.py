@@ -15,25 +15,35 @@ def key_of(pattern):
     return F.concat_ws(",", pattern)
 
 
-def extract_minimal(candidates: DataFrame, method: str = "subset_join") -> DataFrame:
-    """candidates: a column `pattern` (sorted array<int>), and any others. Methods: subset_join, set_trie, zdd, levelwise."""
-    if method == "subset_join":
-        return by_subset_join(candidates)
+MOST_LOCAL = 1_000_000
+LONGEST_EXPLODED = 12
+
+
+def extract_minimal(candidates: DataFrame, method: str = "subset_join", most_local: int = MOST_LOCAL) -> DataFrame:
+    """candidates: a column `pattern` (sorted array<int>), and any others. Methods: subset_join, rarest, levelwise, set_trie, zdd.
+
+    All give the same answer. set_trie and zdd work on the driver; with more than `most_local` candidates, and subset_join
+    with patterns whose subsets would be too many, the join on the rarest literal takes their place."""
     if method == "levelwise":
         return by_level(candidates)
     if method == "rarest":
         return by_rarest_literal(candidates)
+    if method == "subset_join":
+        longest = candidates.agg(F.max(F.size("pattern")).alias("n")).first().n or 0
+        return by_subset_join(candidates) if longest <= LONGEST_EXPLODED else by_rarest_literal(candidates)
     pick = {"set_trie": minimal_by_trie, "zdd": zdd_minimal}[method]
-    spark = candidates.sparkSession
-    keep = pick([tuple(r.pattern) for r in candidates.select("pattern").distinct().limit(1_000_001).collect()])
-    kept = spark.createDataFrame([(list(p),) for p in keep], "pattern array<int>")
+    rows = candidates.select("pattern").distinct().limit(most_local + 1).collect()
+    if len(rows) > most_local:
+        return by_rarest_literal(candidates)
+    kept = candidates.sparkSession.createDataFrame([(list(p),) for p in pick([tuple(r.pattern) for r in rows])], "pattern array<int>")
     return candidates.join(kept, "pattern", "left_semi")
 
 
 def proper_subsets(pattern):
-    """All proper subsets of an array column, the empty one included, as an array of arrays; for patterns of at most 20 literals."""
+    """All proper subsets of an array column of at most 20 literals, the empty one included, as an array of arrays; an error beyond."""
     places = F.sequence(F.lit(0), F.call_function("shiftleft", F.lit(1), F.size(pattern)) - 2)
-    return F.when(F.size(pattern) > 0, F.transform(places, lambda m: F.filter(pattern, lambda x, i: F.call_function("shiftright", m, i).bitwiseAND(F.lit(1)) == 1)))
+    subsets = F.transform(places, lambda m: F.filter(pattern, lambda x, i: F.call_function("shiftright", m, i).bitwiseAND(F.lit(1)) == 1))
+    return F.when(F.size(pattern) > 20, F.raise_error(F.lit("too many subsets")).cast("array<array<int>>")).when(F.size(pattern) > 0, subsets)
 
 
 def by_subset_join(candidates: DataFrame) -> DataFrame:
@@ -44,34 +54,41 @@ def by_subset_join(candidates: DataFrame) -> DataFrame:
     return keyed.join(hit, "_key", "left_anti").drop("_key")
 
 
+def pairs_within(small: DataFrame, big: DataFrame) -> DataFrame:
+    """(small_key, big_key) where a pattern of `small` is a proper subset of one of `big`: hash joins only.
+
+    A small pattern is filed under the literal that the big ones use least, the empty one under -1; every big one asks at
+    its own literals and at -1."""
+    asks = big.select(key_of("pattern").alias("big_key"), F.col("pattern").alias("big"), F.explode(F.array_append("pattern", F.lit(-1))).alias("lit"))
+    uses = asks.groupBy("lit").agg(F.count(F.lit(1)).alias("n"))
+    own = F.when(F.size("pattern") > 0, F.col("pattern")).otherwise(F.array(F.lit(-1)))
+    spread = small.select(key_of("pattern").alias("small_key"), F.col("pattern").alias("small"), F.explode(own).alias("lit")).join(uses, "lit")
+    filed = spread.groupBy("small_key").agg(F.min_by("lit", F.struct("n", "lit")).alias("lit"), F.first("small").alias("small"))
+    return asks.join(filed, "lit").where((F.size("small") < F.size("big")) & (F.size(F.array_except("small", "big")) == 0)).select("small_key", "big_key")
+
+
 def by_rarest_literal(candidates: DataFrame) -> DataFrame:
-    """For long patterns: a pattern is filed under its rarest literal, and every other pattern asks at its own literals."""
-    if candidates.where(F.size("pattern") == 0).limit(1).count():
-        return candidates.where(F.size("pattern") == 0)
-    own = candidates.withColumn("_key", key_of("pattern"))
-    uses = own.select(F.explode("pattern").alias("lit")).groupBy("lit").agg(F.count(F.lit(1)).alias("n"))
-    filed = own.select("_key", "pattern", F.explode("pattern").alias("lit")).join(uses, "lit").groupBy("_key").agg(F.min_by("lit", F.struct("n", "lit")).alias("lit"), F.first("pattern").alias("small"))
-    asks = own.select(F.col("_key").alias("_big"), F.col("pattern").alias("big"), F.explode("pattern").alias("lit"))
-    hit = asks.join(filed, "lit").where((F.size("small") < F.size("big")) & (F.size(F.array_except("small", "big")) == 0)).select(F.col("_big").alias("_key")).distinct()
-    return own.join(hit, "_key", "left_anti").drop("_key")
+    """For long patterns, whose subsets cannot be listed."""
+    hit = pairs_within(candidates, candidates).select(F.col("big_key").alias("_key")).distinct()
+    return candidates.withColumn("_key", key_of("pattern")).join(hit, "_key", "left_anti").drop("_key")
 
 
 def by_level(candidates: DataFrame) -> DataFrame:
     """Sizes in ascending order; larger patterns that hold an accepted one go."""
-    sizes = sorted(r[0] for r in candidates.select(F.size("pattern")).distinct().collect())
+    sizes = sorted(r[0] for r in candidates.select(F.size("pattern")).distinct().collect())  # at most the number of literals
     out = None
     for n in sizes:
         level = candidates.where(F.size("pattern") == n)
         if out is not None:
-            small = out.select(F.col("pattern").alias("_small"))
-            level = level.join(small, F.size(F.array_except("_small", "pattern")) == 0, "left_anti")
+            hit = pairs_within(out, level).select(F.col("big_key").alias("_key")).distinct()
+            level = level.withColumn("_key", key_of("pattern")).join(hit, "_key", "left_anti").drop("_key")
         out = level if out is None else out.unionByName(level)
     return candidates if out is None else out
 
 
 def extract_maximal(candidates: DataFrame) -> DataFrame:
-    other = candidates.select(F.col("pattern").alias("_big"))
-    return candidates.join(other, (F.size("_big") > F.size("pattern")) & (F.size(F.array_except("pattern", "_big")) == 0), "left_anti")
+    hit = pairs_within(candidates, candidates).select(F.col("small_key").alias("_key")).distinct()
+    return candidates.withColumn("_key", key_of("pattern")).join(hit, "_key", "left_anti").drop("_key")
 
 
 def minimal_by_trie(patterns: list[tuple[int, ...]]) -> list[tuple[int, ...]]:
@@ -101,12 +118,15 @@ class Zdd:
         self.nodes: list[tuple[int, int, int]] = [(1 << 60, 0, 0), (1 << 60, 1, 1)]
         self.unique: dict[tuple[int, int, int], int] = {}
         self.memo: dict[tuple, int] = {}
+        self.timer = None  # asked whenever a node is made
 
     def node(self, literal: int, without: int, with_: int) -> int:
         if with_ == 0:
             return without
         key = (literal, without, with_)
         if key not in self.unique:
+            if self.timer is not None and not len(self.nodes) % 256:
+                self.timer.check()
             self.unique[key] = len(self.nodes)
             self.nodes.append(key)
         return self.unique[key]
@@ -170,6 +190,18 @@ class Zdd:
 
         return self._memo("m", a, 0, make)
 
+    def transversals(self, a: int) -> int:
+        """Minimal sets that share a literal with every member of a."""
+        if a < 2:
+            return 1 - a  # no member: the empty set hits all; an empty member is never hit
+
+        def make():
+            x, a0, a1 = self.nodes[a]
+            without, with_ = self.transversals(self.union(a0, a1)), self.transversals(a0)
+            return self.node(x, without, self.without_supersets(with_, without))
+
+        return self._memo("t", a, 0, make)
+
     def sets(self, a: int):
         todo = [(a, ())]
         while todo:

@@ -3,28 +3,36 @@
 from __future__ import annotations
 
 import json
-from dataclasses import dataclass
+import time
+from dataclasses import dataclass, replace
+from typing import Any
 
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.measures import chi2_column, growth_rate_column
-from .constraints import Both, ChiSquare, Constraint, Contrast, GrowthRate, Jumping, Score
+from ..functions.measures import chi2_column, growth_rate_column, score_column
+from ..functions.scratch import settled, stored
+from .constraints import SCORES, Both, ChiSquare, Constraint, Contrast, GrowthRate, Jumping, Score
 from .frontier import FOUND, search_handed, search_levels, search_one_task
 from .kernel import Counters, Rules, Search, Side
-from .labeled import LabeledDB, arrays_of, supports
+from .labeled import LabeledDB, arrays_of, rows_by_literal, supports
 from .minimal import extract_maximal, extract_minimal
 
-__all__ = ["Both", "ChiSquare", "Constraint", "Contrast", "GrowthRate", "Jumping", "Rules", "Score", "mine_minimal", "mine_all", "mine_sjeps", "mine_jeps", "mine_eps", "mine_contrast", "mine_chi2", "mine_score", "mine_maximal", "mine_topk"]
+__all__ = ["Both", "ChiSquare", "Constraint", "Contrast", "GrowthRate", "IncompleteSearch", "Jumping", "Rules", "Score", "mine_minimal", "mine_all", "mine_sjeps", "mine_jeps", "mine_eps", "mine_contrast", "mine_chi2", "mine_score", "mine_maximal", "mine_topk"]
 
 LOCAL_BYTES = 256 << 20
 HAND_OVER = 200_000
+CANDIDATES = "pattern array<int>, sup_pos long, sup_neg long"
+
+
+class IncompleteSearch(RuntimeError):
+    """The time limit ended a search: its candidates are some of the members, and no answer."""
 
 
 @dataclass
 class Mined:
-    """candidates: pattern, sup_pos, sup_neg; patterns: the answer in the result schema; counters and engine of the run."""
+    """candidates: pattern, sup_pos, sup_neg; patterns: the answer in the result schema, an error if the search did not end; counters and engine of the run."""
 
     db: LabeledDB
     candidates: DataFrame
@@ -34,57 +42,102 @@ class Mined:
     engine: str
     nc_used: bool
     trace: list
+    sizes: tuple[int, int]
+
+    @property
+    def complete(self) -> bool:
+        return not self.counters.timeout
 
     @property
     def patterns(self) -> DataFrame:
+        if not self.complete:
+            raise IncompleteSearch("the search ran out of time; its candidates are not an answer")
         kept = extract_minimal(self.candidates, self.extraction) if self.minimal else self.candidates
-        return finish(self.db, kept)
+        return finish(self.db, kept, self.sizes)
 
 
-def finish(db: LabeledDB, found: DataFrame) -> DataFrame:
+def finish(db: LabeledDB, found: DataFrame, sizes: tuple[int, int]) -> DataFrame:
     """The result schema of every miner."""
-    n_pos, n_neg = db.sizes()
     names = F.array(*(F.lit(db.literal_name(i)) for i in range(db.n_items * (1 + db.negation)))) if db.n_items else F.array().cast("array<string>")
     text = F.concat_ws(" & ", F.transform("pattern", lambda i: F.get(names, i)))
     negated = F.size(F.filter("pattern", lambda i: i >= db.n_items))
     return found.select(
         "pattern", text.alias("pattern_text"), F.size("pattern").alias("size"), (F.size("pattern") - negated).alias("n_pos_literals"), negated.alias("n_neg_literals"),
-        "sup_pos", "sup_neg", growth_rate_column("sup_pos", "sup_neg").alias("growth_rate"), (F.col("sup_neg") == 0).alias("is_jumping"), chi2_column("sup_pos", "sup_neg", n_pos, n_neg).alias("chi2"),
+        "sup_pos", "sup_neg", growth_rate_column("sup_pos", "sup_neg").alias("growth_rate"), (F.col("sup_neg") == 0).alias("is_jumping"), chi2_column("sup_pos", "sup_neg", *sizes).alias("chi2"),
     )
 
 
-def choose_engine(db: LabeledDB) -> str:
+def choose_engine(db: LabeledDB, n_distinct: int) -> str:
     """One task while the bitmaps of all distinct rows stay within a bound, else the cluster with hand-over."""
-    rows = db.rows.count()
-    return "local" if rows * db.n_items * (1 + db.negation) / 8 <= LOCAL_BYTES else "hybrid"
+    return "local" if n_distinct * db.n_items * (1 + db.negation) / 8 <= LOCAL_BYTES else "hybrid"
+
+
+class Findings:
+    """Candidates as they come: on the driver up to a bound, beyond it in tables of the shared folder; and the tasks' reports."""
+
+    def __init__(self, db: LabeledDB, search: Search, most: int = 50_000):
+        self.spark, self.search, self.most = db.rows.sparkSession, search, most
+        self.rows: list[tuple] = []
+        self.tables: list[DataFrame] = []
 
+    def add(self, rows: list[tuple]) -> None:
+        self.rows += rows
+        if len(self.rows) > self.most:
+            self.tables.append(stored(self.spark.createDataFrame(self.rows, CANDIDATES), "candidates"))
+            self.rows = []
 
-def run(db: LabeledDB, constraint: Constraint, order: str = "dynamic", rules: Rules | None = None, max_len: int | None = None, engine: str = "auto", minimal: bool = True, extraction: str = "subset_join", timeout_s: float | None = None, trace: bool = False, hand_over: int | None = None) -> Mined:
+    def add_tasks(self, found: DataFrame) -> None:
+        held = found.persist()
+        for r in held.where("report is not null").select("report").collect():  # one row per task
+            told = json.loads(r.report)
+            self.search.counters.add(Counters(**told["counters"]))
+            if self.search.trace is not None:
+                self.search.trace += [tuple(t) for t in told["trace"] or []]
+        self.tables.append(settled(held.where("report is null").drop("report"), "candidates", self.most))
+        held.unpersist()
+
+    def frame(self) -> DataFrame:
+        parts = ([self.spark.createDataFrame(self.rows, CANDIDATES)] if self.rows or not self.tables else []) + self.tables
+        out = parts[0]
+        for p in parts[1:]:
+            out = out.unionByName(p)
+        return out
+
+
+def run(db: LabeledDB, constraint: Constraint, order: str = "dynamic", rules: Rules | None = None, max_len: int | None = None, engine: str = "auto", minimal: bool = True, extraction: str = "subset_join", timeout_s: float | None = None, trace: bool = False, hand_over: int | None = None, limit: int | None = None) -> Mined:
+    """Search now, and return candidates, counters and a lazy answer. The source is read once.
+
+    engine: local (one task), frontier, hybrid, matrix:linked, matrix:bitset (one task on reducible matrices), or auto.
+    timeout_s: seconds for the whole search; beyond them, candidates stay readable and `patterns` is an error.
+    limit: stop after so many members; only where every member is asked for."""
+    if limit is not None and minimal:
+        raise ValueError("a limit would make minimality wrong; ask for all members")
     rules = rules or Rules()
-    spark = db.rows.sparkSession
-    n_pos, n_neg = db.sizes()
+    begin = time.monotonic()
+    cached = db.rows.storageLevel.useMemory or db.rows.storageLevel.useDisk
+    held = db if cached else db.persist()
+    n_pos, n_neg, n_distinct = held.measure()
     constraint.bind(n_pos, n_neg)
-    search = Search(constraint, db.n_items, db.negation, order, rules, max_len, timeout_s, [] if trace else None)
-    engine = choose_engine(db) if engine == "auto" else engine
-    counters, steps = search.counters, []
-    if engine == "local" and n_pos + n_neg:
-        found = search_one_task(db, search).persist()
-        parts = [found]
+    search = Search(constraint, db.n_items, db.negation, order, rules, max_len, timeout_s, [] if trace else None, allowed=tuple(db.literals()))
+    engine = choose_engine(db, n_distinct) if engine == "auto" else engine
+    found = Findings(db, search)
+    if engine in ("local", "matrix:linked", "matrix:bitset"):
+        if n_distinct:
+            found.add_tasks(search_one_task(held, search, limit, engine.partition(":")[2] or None))
+        elif bool(constraint.member(0, 0)):
+            found.add([([], 0, 0)])
     else:
+
+        def hand(nodes, rank):
+            left = None if timeout_s is None else max(0.0, timeout_s - (time.monotonic() - begin))
+            found.add_tasks(search_handed(held, replace(search, timeout_s=left), nodes, rank))
+
         few = 0 if engine == "frontier" else HAND_OVER if hand_over is None else hand_over
-        rows, handed, steps = search_levels(db, search, hand_over=few)
-        parts = [spark.createDataFrame([(p, x, y, None) for p, x, y in rows], FOUND)]
-        for a in range(0, len(handed), 2000):
-            parts.append(search_handed(db, search, handed[a : a + 2000]).persist())
-    for part in parts[0 if engine == "local" else 1 :]:
-        for r in part.where("report is not null").select("report").collect():  # one row per task
-            told = json.loads(r.report)
-            counters.add(Counters(**told["counters"]))
-            steps += [tuple(t) for t in told["trace"] or []]
-    candidates = parts[0]
-    for part in parts[1:]:
-        candidates = candidates.unionByName(part)
-    return Mined(db, candidates.where("report is null").drop("report"), minimal, extraction, counters, engine, rules.use_nc(constraint), steps)
+        search_levels(held, search, (n_pos, n_neg), found.add, hand, hand_over=few)
+    if not cached:
+        held.rows.unpersist()
+    candidates = found.frame() if limit is None else found.frame().limit(limit)
+    return Mined(db, candidates, minimal, extraction, search.counters, engine, rules.use_nc(constraint), search.trace or [], (n_pos, n_neg))
 
 
 def mine_minimal(db: LabeledDB, constraint: Constraint, **options) -> DataFrame:
@@ -102,7 +155,7 @@ def mine_all(db: LabeledDB, constraint: Constraint, **options) -> DataFrame:
 
 def mine_maximal(db: LabeledDB, constraint: Constraint, **options) -> DataFrame:
     found = run(db, constraint, rules=all_rules(constraint), minimal=False, **options)
-    return finish(db, extract_maximal(found.candidates))
+    return finish(db, extract_maximal(found.patterns.select("pattern", "sup_pos", "sup_neg")), found.sizes)
 
 
 def mine_jeps(db: LabeledDB, min_pos: int = 1, **options) -> DataFrame:
@@ -130,28 +183,38 @@ def mine_chi2(db: LabeledDB, min_score: float, min_pos: int = 0, **options) -> D
 
 
 def count_jeps(db: LabeledDB, min_pos: int = 1) -> DataFrame:
-    """The number of jumping patterns, as one row of decimal(38,0); whole sub-lattices are counted at once. One task: for few distinct rows."""
-    n, negation = db.n_items, db.negation
+    """The number of jumping patterns, as one row of decimal(38,0); whole sub-lattices are counted at once.
+
+    Each non-empty pattern is counted in the task of its first literal, which has the rows that hold it."""
+    n, negation, literals = db.n_items, db.negation, db.literals()
+    n_pos, n_neg = db.sizes()
 
-    def task(frame: pd.DataFrame) -> pd.DataFrame:
+    def task(key: tuple[Any, ...], frame: pd.DataFrame) -> pd.DataFrame:
         from decimal import Decimal
 
+        first = key[0]
+        later = [i for i in literals if i > first and i % n != first % n]
         sets, p, q = arrays_of(frame)
-        total = Search(Jumping(min_pos), n, negation).count_jumping(Side(sets, p, n, negation), Side(sets, q, n, negation), min_pos)
-        return pd.DataFrame({"n_jeps": [Decimal(total)]})
+        total = Search(Jumping(min_pos), n, negation).count_jumping(Side(sets, p, n, negation), Side(sets, q, n, negation), min_pos, later)
+        return pd.DataFrame({"n": [Decimal(total)]})
 
-    return db.rows.groupBy(F.lit(0).alias("g")).applyInPandas(task, "n_jeps decimal(38,0)")
+    counted = rows_by_literal(db).groupBy("literal").applyInPandas(task, "n decimal(38,0)")
+    empty = int(n_neg == 0 and n_pos >= min_pos)
+    return counted.agg((F.coalesce(F.sum("n"), F.lit(0)) + F.lit(empty)).cast("decimal(38,0)").alias("n_jeps"))
 
 
-def mine_topk(db: LabeledDB, k: int, score: str = "chi2", max_len: int = 3, start: float | None = None, **options) -> DataFrame:
-    """The k best patterns by a score, with a threshold that is lowered until k members are found."""
+def mine_topk(db: LabeledDB, k: int, score: str = "chi2", max_len: int | None = None, start: float | None = None, **options) -> DataFrame:
+    """The k best patterns with a positive row by any score, ties by size and text: a threshold falls from the greatest value that counts can give until k members are found."""
     n_pos, n_neg = db.sizes()
-    least = start if start is not None else float(n_pos + n_neg) / 4
+    corners = [float(SCORES[score](x, y, n_pos, n_neg)) for x in (0, n_pos) for y in (0, n_neg)] if n_pos and n_neg else [0.0]
+    top = max(corners)
+    least = start if start is not None else top / 4 if top > 0 else float("-inf")
     while True:
         found = run(db, Contrast(1, 1 << 62) & Score(score, least), rules=all_rules(None), minimal=False, max_len=max_len, **options)
-        if least < 1e-9 or found.candidates.count() >= k:
-            return finish(db, found.candidates).orderBy(F.desc("chi2"), "size", "pattern_text").limit(k)
-        least = least / 4 if least > 1e-6 else 0.0
+        if least == float("-inf") or found.candidates.count() >= k:
+            ranked = found.patterns.withColumn("_score", score_column(score, "sup_pos", "sup_neg", n_pos, n_neg))
+            return ranked.orderBy(F.desc("_score"), "size", "pattern_text").limit(k).drop("_score")
+        least = least / 4 if least > 1e-9 * top else float("-inf")
 
 
 def dry_run(db: LabeledDB, constraint_of, share: float = 0.001, least_rows: int = 2000, **options) -> dict:
@@ -159,9 +222,9 @@ def dry_run(db: LabeledDB, constraint_of, share: float = 0.001, least_rows: int
 
     constraint_of(scale) gives the constraint with its counts scaled down. Says how many nodes and candidates to expect;
     answers of a full run never depend on it."""
-    rows = db.rows.count()
+    rows = db.measure()[2]
     part = min(1.0, max(share, least_rows / max(1, rows)))
-    drawn = LabeledDB(db.rows.where(F.pmod(F.xxhash64("items", F.lit("dry run")), F.lit(1 << 30)) < int(part * (1 << 30))), db.names, db.negation)
+    drawn = LabeledDB(db.rows.where(F.pmod(F.xxhash64("items", F.lit("dry run")), F.lit(1 << 30)) < int(part * (1 << 30))), db.names, db.negation, db.negated)
     got = run(drawn, constraint_of(part), engine="local", **options)
     return {"share": part, "distinct_rows": rows, "nodes": got.counters.nodes, "candidates": got.counters.candidates, "timeout": got.counters.timeout}
 

@@ -5,12 +5,19 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-BROADCAST_ROWS = 1_000_000
+BROADCAST_ROWS, BROADCAST_BYTES = 1_000_000, 64 << 20
 
 
-def small(df: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
-    """Mark for broadcast after counting at most one row more than the bound; beyond it, leave the choice to Spark."""
-    return F.broadcast(df) if df.limit(most + 1).count() <= most else df
+def small(df: DataFrame, most: int = BROADCAST_ROWS, most_bytes: int = BROADCAST_BYTES) -> DataFrame:
+    """Mark for broadcast where both the number of rows and the bytes of their values are within bounds; beyond them, leave the choice to Spark.
+
+    At most one row more than the bound is read; strings and binaries count by length, other values as 16 bytes."""
+    wide = [c for c, t in df.dtypes if t in ("string", "binary")]
+    nested = [c for c, t in df.dtypes if "<" in t]
+    size = sum((F.coalesce(F.octet_length(c), F.lit(0)) for c in wide), F.lit(16 * len(df.columns)))
+    size = sum((F.coalesce(F.octet_length(F.to_json(F.struct(c))), F.lit(0)) for c in nested), size)
+    r = df.limit(most + 1).agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(size), F.lit(0)).alias("b")).first()
+    return F.broadcast(df) if r.n <= most and r.b <= most_bytes else df
 
 
 def join_dim(df: DataFrame, dim: DataFrame, on) -> DataFrame:
@@ -153,22 +160,62 @@ def json_props(df: DataFrame, column: str, key: str) -> DataFrame:
     return df.withColumn(key, F.get_json_object(column, f"$.{key}").cast("long"))
 
 
+def _run_of_words(k: int):
+    return lambda i: F.xxhash64(F.array_join(F.slice("w", i, F.lit(k)), " "))
+
+
+def _run_of_characters(k: int):
+    return lambda i: F.xxhash64(F.substring(F.col("text"), i, F.lit(k)))
+
+
 def contains_passage(docs: DataFrame, passages: DataFrame, n: int = 5) -> DataFrame:
-    """(doc_id, item_id) of documents that hold a whole passage: hash join on the passage's first n words, then the exact check.
-
-    Passages of fewer words than n are joined by their own number of words."""
-    words = lambda c: F.split(F.trim(F.regexp_replace(F.lower(c), r"\s+", " ")), " ")
-    items = passages.where(F.length("text") > 0).select("item_id", F.col("text").alias("passage"), words("text").alias("w")).withColumn("k", F.least(F.size("w"), F.lit(n)))
-    keyed = items.select("item_id", "passage", "k", F.xxhash64(F.concat_ws(" ", F.slice("w", 1, F.col("k")))).alias("h"))
-    lengths = sorted(r.k for r in keyed.select("k").distinct().collect())
-    own = docs.select("doc_id", "text", words("text").alias("w"))
-    out = None
-    for k in lengths:
-        grams = own.where(F.size("w") >= k).select("doc_id", "text", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - k + 1), _gram(k)))).alias("h"))
-        part = grams.join(keyed.where(F.col("k") == k), "h").where(F.contains("text", F.col("passage"))).select("doc_id", "item_id")
-        out = part if out is None else out.unionByName(part)
-    return out.distinct()
-
-
-def _gram(k: int):
-    return lambda i: F.xxhash64(F.concat_ws(" ", F.slice("w", i, F.lit(k))))
+    """(doc_id, item_id) of documents whose text holds a whole passage, character for character.
+
+    Words inside a passage are words of the text as they stand, while its first and last may be parts of longer ones. So a
+    passage is keyed by a hash of up to n inner words, and a text asks with its runs of as many words; a passage without
+    inner words is keyed by its first characters, and a text asks with its runs of characters. What meets is checked on
+    the full strings. Texts are not carried through the joins; an empty passage is in every text that is not null."""
+    words = lambda c: F.regexp_extract_all(c, F.lit(r"([\p{L}\p{N}]+)"), F.lit(1))
+    told = passages.where("text is not null").select("item_id", F.col("text").alias("passage"), words("text").alias("w"))
+    items = told.where("passage <> ''").withColumn("by_word", F.size("w") > 2).withColumn("k", F.when(F.size("w") > 2, F.least(F.size("w") - 2, F.lit(n))).otherwise(F.least(F.length("passage"), F.lit(8))))
+    key = F.when(F.col("by_word"), F.xxhash64(F.array_join(F.expr("slice(w, 2, k)"), " "))).otherwise(F.xxhash64(F.expr("substring(passage, 1, k)")))
+    keyed = items.select("item_id", "by_word", "k", key.alias("h"))
+    own = docs.where("text is not null").select("doc_id", "text", words("text").alias("w"))
+    met = None
+    for by_word, k in sorted((r.by_word, r.k) for r in keyed.select("by_word", "k").distinct().collect()):  # at most n + 8 kinds
+        size = F.size("w") if by_word else F.length("text")
+        gram = _run_of_words(k) if by_word else _run_of_characters(k)
+        grams = own.where(size >= k).select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), size - k + 1), gram))).alias("h"))
+        part = grams.join(keyed.where((F.col("by_word") == by_word) & (F.col("k") == k)).select("item_id", "h"), "h").select("doc_id", "item_id")
+        met = part if met is None else met.unionByName(part)
+    everywhere = docs.where("text is not null").select("doc_id", F.lit(1).alias("one")).join(told.where("passage = ''").select("item_id", F.lit(1).alias("one")), "one").select("doc_id", "item_id")
+    if met is None:
+        return everywhere.distinct()
+    checked = met.distinct().join(told.select("item_id", "passage"), "item_id").join(docs.select("doc_id", "text"), "doc_id").where(F.contains("text", F.col("passage")))
+    return checked.select("doc_id", "item_id").unionByName(everywhere).distinct()
+
+
+def sketch_profile(df: DataFrame, columns) -> DataFrame:
+    """(n_<column>) by HyperLogLog sketches that can be stored and united: about 2 % off, in constant memory."""
+    return df.agg(*(F.hll_sketch_estimate(F.hll_sketch_agg(c)).alias(f"n_{c}") for c in columns))
+
+
+def sketches_by(df: DataFrame, by: str, column: str) -> DataFrame:
+    """(by, sketch): one sketch a group, to be united later."""
+    return df.groupBy(by).agg(F.hll_sketch_agg(column).alias("sketch"))
+
+
+def united_count(sketches: DataFrame) -> DataFrame:
+    """(n): distinct values over all groups, from their sketches alone."""
+    return sketches.agg(F.hll_sketch_estimate(F.hll_union_agg("sketch")).alias("n"))
+
+
+def quantile_sketch(df: DataFrame, column: str, shares: list[float]) -> DataFrame:
+    """(share, value) from a KLL sketch of doubles."""
+    drawn = df.agg(F.kll_sketch_agg_double(F.col(column).cast("double")).alias("s"))
+    return drawn.select(F.explode(F.array(*(F.struct(F.lit(q).alias("share"), F.kll_sketch_get_quantile_double("s", F.lit(q)).alias("value")) for q in shares))).alias("x")).select("x.*")
+
+
+def variant_props(df: DataFrame, column: str, path: str, kind: str, name: str) -> DataFrame:
+    """A field of a JSON column, read as a variant; null where the text is no JSON or the field no such type."""
+    return df.withColumn(name, F.try_variant_get(F.try_parse_json(column), path, kind))

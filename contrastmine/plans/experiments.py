@@ -1,134 +1,287 @@
-"""The experiments: ablation of rules and orders, competitors, dataset statistics, accuracy, scale-out."""
+"""The experiments: ablation of rules and orders, competitors, dataset statistics, accuracy, scale-out.
+
+The first two compare single-threaded searches, as their figures are CPU seconds: every setting of the grid is one task
+over the same rows, which are broadcast within a checked bound, and tells its own CPU seconds and counters."""
 
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 from itertools import combinations
 
-from pyspark.sql import DataFrame, SparkSession
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..operators import baselines, learning, mining
+from ..operators.branching import search_matrices
 from ..operators.constraints import Contrast, GrowthRate, Jumping
-from ..operators.kernel import STATIC, Rules
+from ..operators.kernel import STATIC, Rules, Search, Side
 from ..operators.labeled import Item, LabeledDB, profile
 from ..operators.matrix import BACK_ENDS
-from ..sources.workloads import WORKLOADS, _bind, build, dialect, min_support
+from ..operators.minimal import minimal_by_trie
+from ..sources.workloads import WORKLOADS, _bind, build, dialect, min_support, read
+from .meters import Meter
 
 ANY = 1 << 40
+SHARES = (0.02, 0.05, 0.1, 0.2)
+ORDERS = ("dynamic", *(f"static:{s}" for s in STATIC))
 CELLS = {"lb+nc": Rules(), "lb": Rules(nc="off"), "nc": Rules(lb=False), "none": Rules.none()}
-REPORT = "workload string, engine string, order string, rules string, nc_used boolean, min_pos long, theta double, nodes long, cut_stop long, cut_lb long, dropped_nc long, cut_pos long, count_calls long, words long, candidates long, minimal long, seconds double, status string"
 
 
-def ablation(spark: SparkSession, sf_dir: str, workloads: list[str], negation: bool = False, theta: float = 9.0, shares=(0.05,), orders=("dynamic", *(f"static:{s}" for s in STATIC)), cells=tuple(CELLS), max_len: int | None = None, engine: str = "local", timeout_s: float = 3600.0) -> DataFrame:
+def by_setting(db: LabeledDB, settings: list[tuple], work: Callable, schema: str, most_bytes: int = mining.LOCAL_BYTES) -> DataFrame:
+    """work(rows, setting) -> result rows, for each setting in a task of its own. The distinct rows go to all tasks by broadcast; an error beyond the bound."""
+    spark = db.rows.sparkSession
+    n_distinct = db.measure()[2]
+    if n_distinct * (db.n_items * (1 + db.negation) // 8 + 64) > most_bytes:
+        raise ValueError("too many distinct rows for single tasks; use mine_minimal with engine='hybrid'")
+    rows = [([int(i) for i in r["items"]], int(r.w_pos), int(r.w_neg)) for r in db.rows.collect()]
+    held = spark.sparkContext.broadcast(tuple(zip(*rows, strict=True)) if rows else ([], [], []))
+
+    def task(frames):
+        for frame in frames:
+            for k in frame["setting"]:
+                out = work(held.value, settings[int(k)])
+                yield pd.DataFrame(out, columns=[c.split()[0] for c in schema.split(", ")])
+
+    return spark.createDataFrame([(k,) for k in range(len(settings))], "setting int").repartition(max(1, len(settings))).mapInPandas(task, schema)
+
+
+ABLATION = "workload string, share double, order string, rules string, nc_used boolean, min_pos long, theta double, nodes long, cut_stop long, cut_lb long, dropped_nc long, cut_pos long, count_calls long, words long, candidates long, minimal long, cpu_s double, status string"
+
+
+def ablation(spark: SparkSession, sf_dir: str, name: str, negation: bool = False, theta: float = 9.0, shares=SHARES, orders=ORDERS, cells=tuple(CELLS), max_len: int | None = None, timeout_s: float = 3600.0) -> DataFrame:
     """Minimal patterns of growth rate theta: every order with every set of rules, for each support share. One row per run; a run beyond its time is a row too."""
-    rows = []
-    for name in workloads:
-        db = build(spark, sf_dir, name, negation).persist()
-        for share in shares:
-            least = min_support(db, share, 2)
-            for order in orders:
-                for cell in cells:
-                    begin = time.monotonic()
-                    got = mining.run(db, Contrast(least, ANY) & GrowthRate(theta), order=order, rules=CELLS[cell], max_len=max_len, engine=engine, timeout_s=timeout_s)
-                    n = got.patterns.count()
-                    c = got.counters
-                    rows.append((name, got.engine, order, cell, got.nc_used, least, theta, c.nodes, c.stop, c.lb, c.nc, c.pos, c.count_calls, c.words, c.candidates, n, round(time.monotonic() - begin, 3), "timeout" if c.timeout else "ok"))
-        db.rows.unpersist()
-    return spark.createDataFrame(rows, REPORT)
+    db = build(spark, sf_dir, name, negation).persist()
+    n, literals, sizes = db.n_items, tuple(db.literals()), db.sizes()
 
+    def work(rows, setting):
+        share, least, order, cell = setting
+        begin = time.process_time()
+        c = (Contrast(least, ANY) & GrowthRate(theta)).bind(*sizes)
+        s = Search(c, n, negation, order, CELLS[cell], max_len, timeout_s, allowed=literals)
+        sets, p, q = rows
+        found = s.run(Side(sets, p, n, negation), Side(sets, q, n, negation))
+        k = s.counters
+        kept = None if k.timeout else len(minimal_by_trie([f[0] for f in found]))
+        return [(name, share, order, cell, CELLS[cell].use_nc(c), least, theta, k.nodes, k.stop, k.lb, k.nc, k.pos, k.count_calls, k.words, k.candidates, kept, round(time.process_time() - begin, 4), "timeout" if k.timeout else "ok")]
 
-def competitors(spark: SparkSession, sf_dir: str, workloads: list[str], negation: bool = False, shares=(0.05,), max_len: int | None = None) -> DataFrame:
-    """Jumping and minimal jumping patterns by every method, from the same weighted rows: patterns and seconds."""
-    rows = []
+    settings = [(s, min_support(db, s, 2), o, c) for s in shares for o in orders for c in cells]
+    out = by_setting(db, settings, work, ABLATION)
+    db.rows.unpersist()
+    return out
+
+
+COMPETITORS = "workload string, share double, min_pos long, task string, method string, patterns string, cpu_s double, status string"
+
+
+def _ours(rows, n, negation, literals, least, timeout_s):
+    s = Search(Jumping(least).bind(sum(rows[1]), sum(rows[2])), n, negation, timeout_s=timeout_s, allowed=literals)
+    found = s.run(Side(rows[0], rows[1], n, negation), Side(rows[0], rows[2], n, negation))
+    return None if s.counters.timeout else len(minimal_by_trie([f[0] for f in found]))
+
+
+def _ours_matrix(rows, n, negation, literals, least, timeout_s):
+    s = Search(Jumping(least).bind(sum(rows[1]), sum(rows[2])), n, negation, timeout_s=timeout_s, allowed=literals)
+    found = search_matrices(s, *rows, "linked")
+    return None if s.counters.timeout else len(minimal_by_trie([f[0] for f in found]))
+
+
+def _ours_all(rows, n, negation, literals, least, timeout_s):
+    s = Search(Jumping(least).bind(sum(rows[1]), sum(rows[2])), n, negation, timeout_s=timeout_s, allowed=literals)
+    found = s.count_jumping(Side(rows[0], rows[1], n, negation), Side(rows[0], rows[2], n, negation), least)
+    return None if s.counters.timeout else found
+
+
+def _places(occ, literals) -> dict[int, int]:
+    order = sorted(literals, key=lambda i: (len(occ.at[i]), i))
+    return {i: k for k, i in enumerate(order)}
+
+
+def _depth_first_all(rows, n, negation, literals, least, timeout_s):
+    occ = baselines.Occurrences(*rows, n, literals)
+    x, y = sum(rows[1]), sum(rows[2])
+    return int(y == 0 and x >= least) + baselines.weighted_patterns(occ, _places(occ, literals), least, None, None, baselines.Timer(timeout_s), False)
+
+
+def _prefix_tree(rows, n, negation, literals, least, timeout_s):
+    timer = baselines.Timer(timeout_s)
+    occ = baselines.Occurrences(*rows, n, literals)
+    told = {i: occ.support(occ.at[i]) for i in literals}
+    by_rank = baselines.ratio_places({i: v[0] for i, v in told.items()}, {i: v[1] for i, v in told.items()})
+    rank, tree = {i: k for k, i in enumerate(by_rank)}, baselines.TreeNode()
+    for row, p, q in zip(occ.rows, rows[1], rows[2], strict=True):
+        tree.n_pos += p
+        tree.n_neg += q
+        tree.insert(sorted(rank[i] for i in row), p, q)
+    return len(minimal_by_trie([f[0] for f in baselines.tree_patterns(tree, (), by_rank, least, None, timer)]))
+
+
+def _diagram(rows, n, negation, literals, least, timeout_s):
+    return len(baselines.diagram_patterns(*rows, n, negation, literals, least, baselines.Timer(timeout_s)))
+
+
+METHODS = {
+    ("minimal", "ours"): _ours, ("minimal", "ours on matrices"): _ours_matrix, ("minimal", "prefix tree"): _prefix_tree, ("minimal", "decision diagram"): _diagram,
+    ("all", "ours"): _ours_all, ("all", "depth-first, weighted"): _depth_first_all,
+}
+
+
+def competitors(spark: SparkSession, sf_dir: str, workloads: list[str], negation: bool = False, shares=SHARES, timeout_s: float = 3600.0) -> DataFrame:
+    """Minimal jumping patterns, and the number of all, by every method from the same weighted rows: patterns, CPU seconds, status, and the ratio to ours on the minimal ones.
+
+    A method beyond its time is a row with status timeout, whose ratio is a lower bound."""
+    out = None
     for name in workloads:
         db = build(spark, sf_dir, name, negation).persist()
-        for share in shares:
-            least = min_support(db, share, 2)
-            runs = {
-                "ours, minimal": lambda: mining.mine_sjeps(db, least, max_len=max_len),  # noqa: B023
-                "ours, all": lambda: mining.mine_jeps(db, least, max_len=max_len),  # noqa: B023
-                "closed depth-first, all": lambda: baselines.closed_jeps(db, least, max_len),  # noqa: B023
-                "prefix tree, minimal": lambda: baselines.prefix_tree_sjeps(db, least, max_len),  # noqa: B023
-                "decision diagram, minimal": lambda: baselines.zdd_sjeps(db, least, max_len),  # noqa: B023
-            }
-            for method, run in runs.items():
-                begin = time.monotonic()
-                n = run().count()
-                rows.append((name, method, least, n, round(time.monotonic() - begin, 3)))
+        n, literals = db.n_items, tuple(db.literals())
+
+        def work(rows, setting, name=name, n=n, literals=literals):
+            share, least, key = setting
+            begin = time.process_time()
+            try:
+                got = METHODS[key](rows, n, negation, literals, least, timeout_s)
+            except TimeoutError:
+                got = None
+            return [(name, share, least, *key, None if got is None else str(got), round(time.process_time() - begin, 4), "timeout" if got is None else "ok")]
+
+        part = by_setting(db, [(s, min_support(db, s, 2), k) for s in shares for k in METHODS], work, COMPETITORS)
         db.rows.unpersist()
-    return spark.createDataFrame(rows, "workload string, method string, min_pos long, patterns long, seconds double")
+        out = part if out is None else out.unionByName(part)
+    ours = F.max(F.when((F.col("task") == "minimal") & (F.col("method") == "ours"), F.col("cpu_s"))).over(Window.partitionBy("workload", "share"))
+    return out.withColumn("ratio_to_ours", F.round(F.col("cpu_s") / F.greatest(ours, F.lit(0.001)), 3))
 
 
-def dataset_statistics(spark: SparkSession, sf_dir: str, workloads: list[str], negation: bool = False, share: float = 0.02) -> DataFrame:
+def dataset_statistics(spark: SparkSession, sf_dir: str, workloads: list[str], negation: bool = False, share: float = 0.02, max_len: int | None = None) -> DataFrame:
     """Size, density, numbers of jumping and minimal jumping patterns, and their ratio, as decimal strings where numbers can be very large."""
     out = None
     for name in workloads:
         db = build(spark, sf_dir, name, negation).persist()
         least = min_support(db, share, 1)
-        jeps = mining.count_jeps(db, least).first()
-        sjeps = mining.mine_sjeps(db, least).count()
-        total = int(jeps.n_jeps) if jeps else 0
+        total = int(mining.count_jeps(db, least).first().n_jeps)
+        sjeps = mining.mine_sjeps(db, least, max_len=max_len).count()
         row = profile(db).select(F.lit(name).alias("workload"), "*", F.lit(least).alias("min_pos"), F.lit(str(total)).alias("n_jeps"), F.lit(sjeps).alias("n_sjeps"), F.lit(total / sjeps if sjeps else None).cast("double").alias("reduction"))
         out = row if out is None else out.unionByName(row)
     return out
 
 
+RAW = {
+    "planted": {"quantity": "l_quantity", "price": "l_extendedprice", "discount": "l_discount", "tax": "l_tax", "line": "l_linenumber", "status": "case when l_linestatus = 'O' then 1 else 0 end"},
+    "customers": {"orders": "n_orders", "spent": "spent", "nation": "c_nationkey", "region": "n_regionkey"},
+    "embeddings": {f"d{k}": f"element_at(embedding, {k + 1})" for k in range(64)},
+}
+
+
 def labelled_rows(spark: SparkSession, sf_dir: str, name: str):
-    """A workload's rows with a key and the label, its items, and numeric features for the raw baselines."""
+    """A workload's rows with a key and the label, its items (None where they are cut from real values), and numeric features for the raw baselines."""
     w = WORKLOADS[name]
+    family = "embeddings" if name.startswith("embeddings") else name
     df = spark.sql(f"select *, cast({dialect(w.label, True)} as int) y from {_bind(spark, sf_dir, w)}").where("y is not null")
-    key = next(c for c in ("doc_id", "vec_id", "c_custkey", "page_id") if c in df.columns)
+    key = next((F.col(c) for c in ("doc_id", "vec_id", "c_custkey", "page_id") if c in df.columns), F.xxhash64(*df.columns))
     items = [Item(n, F.expr(dialect(s, True))) for n, s in w.items]
-    if name.startswith("embeddings"):
-        features = {f"d{k}": F.get("embedding", F.lit(k)) for k in range(12)}
+    if family in RAW:
+        features = {n: F.expr(e).cast("double") for n, e in RAW[family].items()}
     else:
-        features = {n: F.coalesce(i.predicate, F.lit(False)).cast("double") for n, i in zip((i.name for i in items), items, strict=True)}
-    return df.withColumn("key", F.col(key)), items, features
+        features = {i.name: F.coalesce(i.predicate, F.lit(False)).cast("double") for i in items}
+    return df.withColumn("key", key), None if family in ("planted", "embeddings") else items, features
 
 
-def accuracy(spark: SparkSession, sf_dir: str, name: str, kinds: list[str], folds: int = 5, theta: float = 3.0, share: float = 0.05, max_len: int = 5) -> DataFrame:
-    """F-value by cross-validation of the pattern models and the baselines: (workload, model, fold, f1, precision, recall)."""
+SPACES = {
+    "with_negation": {"reg": [0.001, 0.01, 0.03], "theta": [2.0, 3.0, 6.0], "share": [0.02, 0.05, 0.1]},
+    "tree": {"maxDepth": [3, 5, 8], "minInstancesPerNode": [1, 5]},
+    "logistic": {"regParam": [0.0, 0.01, 0.1], "elasticNetParam": [0.0, 1.0]},
+    "forest": {"numTrees": [10, 20, 40], "maxDepth": [5, 8]},
+}
+SPACES["positive_only"] = SPACES["with_negation"]
+MODELS = ("with_negation", "positive_only", "tree", "logistic", "forest")
+
+
+def model_maker(kind: str, items: list[Item] | None, max_len: int = 5, sizes: list | None = None):
+    if kind in ("tree", "logistic", "forest"):
+        return lambda **options: learning.ml_baseline(kind, **options)
+    return lambda reg=0.01, theta=3.0, share=0.05: learning.pattern_model(lambda n_pos: Contrast(max(2, int(share * n_pos)), ANY) & GrowthRate(theta, True), kind == "with_negation", items, sizes, max_len=max_len, reg=reg)
+
+
+PREDICTED = "workload string, model string, fold int, y int, prediction int"
+
+
+def predicted(spark: SparkSession, sf_dir: str, name: str, kinds=MODELS, folds: int = 5, trials: int = 2, inner_folds: int = 2, max_len: int = 5, threads: int = 8) -> tuple[DataFrame, DataFrame]:
+    """(predictions, models): every row predicted by models fitted on the other folds, and for each fold its options and size.
+
+    For every fold, `trials` random settings are compared on inner folds of the training part, for our models and the
+    baselines alike; trials=0 takes the defaults. Growth rates are normalised by the class sizes here, as the shares of
+    the positive class range from a tenth to a half."""
     df, items, features = labelled_rows(spark, sf_dir, name)
-    df = df.persist()
-    real = name.startswith("embeddings")
-    constraint = lambda n_pos: Contrast(max(2, int(share * n_pos)), ANY) & GrowthRate(theta)
-    models = {
-        "with_negation": learning.pattern_model(constraint, True, None if real else items, max_len=max_len),
-        "positive_only": learning.pattern_model(constraint, False, None if real else items, max_len=max_len),
-        "tree": learning.ml_baseline("tree"), "logistic": learning.ml_baseline("logistic"), "forest": learning.ml_baseline("forest"),
-    }
+    dealt = learning.folds(df.select("*", *(c.alias(f"_f{k}") for k, c in enumerate(features.values()))), "y", "key", folds).persist()
+    own = dealt.coalesce(max(1, dealt.count() // 20_000)).persist()  # models of a small fold run side by side, in one task each
+    own.count()
+    dealt.unpersist()
+    columns = {n: F.col(f"_f{k}") for k, n in enumerate(features)}
+
+    def one(job):
+        kind, fold = job
+        train, test, sizes = own.where(F.col("fold") != fold), own.where(F.col("fold") == fold), []
+        make = model_maker(kind, items, max_len, sizes)
+        options = learning.tune(make, SPACES[kind], train.drop("fold"), "key", "y", columns, trials, inner_folds, fold)[0] if trials else {}
+        got = [(name, kind, fold, int(r.y), int(r.prediction)) for r in make(**options)(train, test, columns, "y", ["y"]).collect()]  # the rows of an experiment's fold
+        size = sizes[-1] if sizes else {"weights": None, "mean_length": None}
+        return got, (name, kind, fold, str(sorted(options.items())), size["weights"], size["mean_length"])
+
+    with ThreadPoolExecutor(threads) as pool:
+        done = list(pool.map(one, [(k, f) for k in kinds for f in range(folds)]))
+    own.unpersist()
+    rows = [r for got, _ in done for r in got]
+    return spark.createDataFrame(rows, PREDICTED), spark.createDataFrame([m for _, m in done], "workload string, model string, fold int, options string, weights int, mean_length double")
+
+
+def accuracy(spark: SparkSession, sf_dir: str, names: list[str], kinds=MODELS, **options) -> DataFrame:
+    """F-value of the pattern models and the baselines by target, model and fold, with the model's size and options."""
     out = None
-    for kind in kinds:
-        got = learning.cross_validate(df, "key", "y", features, models[kind], folds).select(F.lit(name).alias("workload"), F.lit(kind).alias("model"), "fold", F.round("f1", 6).alias("f1"), F.round("precision", 6).alias("precision"), F.round("recall", 6).alias("recall"))
-        out = got if out is None else out.unionByName(got)
+    for name in names:
+        rows, models = predicted(spark, sf_dir, name, kinds, **options)
+        told = learning.f_value(learning.confusion(rows, "y", "prediction", ["workload", "model", "fold"]))
+        part = told.select("workload", "model", "fold", "tp", "fp", "fn", "tn", *(F.round(c, 6).alias(c) for c in ("precision", "recall", "f1", "accuracy"))).join(models, ["workload", "model", "fold"])
+        out = part if out is None else out.unionByName(part)
     return out
 
 
-def scale_out(spark: SparkSession, sf_dir: str, name: str, max_len: int = 3) -> DataFrame:
-    """The three engines on one workload: same answers, nodes and seconds."""
-    db = build(spark, sf_dir, name).persist()
+def win_counts(scores: DataFrame) -> DataFrame:
+    """(model, mean_f1, wins, targets): means over targets of the mean over folds; a win is the best mean of a target, ties count for all."""
+    mean = scores.groupBy("workload", "model").agg(F.avg("f1").alias("f"))
+    best = mean.withColumn("best", F.max("f").over(Window.partitionBy("workload")))
+    return best.groupBy("model").agg(F.round(F.avg("f"), 6).alias("mean_f1"), F.count_if(F.col("f") >= F.col("best") - 1e-9).alias("wins"), F.count(F.lit(1)).alias("targets"))
+
+
+SCALE = "workload string, engine string, nodes long, patterns long, seconds double, cpu_s double, jobs long, stages long, shuffle_bytes long, spill_bytes long, broadcast_bytes long"
+
+
+def scale_out(spark: SparkSession, sf_dir: str, names: list[str], negation: bool = False, max_len: int | None = None, engines=(("local", None), ("frontier", 0), ("hybrid", 100), ("matrix:linked", None), ("matrix:bitset", None))) -> DataFrame:
+    """The engines on each workload: same answers, nodes, and what they cost Spark."""
     rows = []
-    for engine, few in (("local", None), ("frontier", 0), ("hybrid", 100)):
-        begin = time.monotonic()
-        got = mining.run(db, Jumping(2), max_len=max_len, engine=engine, hand_over=few)
-        n = got.patterns.count()
-        rows.append((name, engine, got.counters.nodes, n, round(time.monotonic() - begin, 3)))
-    return spark.createDataFrame(rows, "workload string, engine string, nodes long, patterns long, seconds double")
+    for name in names:
+        db = build(spark, sf_dir, name, negation).persist()
+        least = min_support(db, 0.05, 2)
+        for engine, few in engines:
+            with Meter(spark) as m:
+                got = mining.run(db, Jumping(least), max_len=max_len, engine=engine, hand_over=few)
+                n = got.patterns.count()
+            c = m.cost
+            rows.append((name, engine, got.counters.nodes, n, c.seconds, c.cpu_s, c.jobs, c.stages, c.shuffle_bytes, c.spill_bytes, c.broadcast_bytes))
+        db.rows.unpersist()
+    return spark.createDataFrame(rows, SCALE)
 
 
 def matrix_supports(db: LabeledDB) -> DataFrame:
-    """Supports of all single items and pairs from both matrix back ends, in one task that fails if they differ."""
+    """Supports of all single items and pairs from both matrix back ends, in one task that fails if they differ. For few distinct rows."""
     n, names = db.n_items, db.names
 
     def task(frame):
-        import pandas as pd
-
         out = {}
         for back_end in BACK_ENDS.values():
             own = {}
             for side in ("w_pos", "w_neg"):
-                m = back_end.create([i for i, w in zip(frame["items"], frame[side], strict=True) for _ in range(int(w))], range(n))
+                m = back_end.create(frame["items"].tolist(), range(n), frame[side].tolist())
                 for p in [*((i,) for i in range(n)), *combinations(range(n), 2)]:
                     own.setdefault(p, []).append(m.count_rows(p))
             if out and own != out:
@@ -139,5 +292,17 @@ def matrix_supports(db: LabeledDB) -> DataFrame:
     return db.rows.groupBy(F.lit(0).alias("g")).applyInPandas(task, "pattern_text string, sup_pos long, sup_neg long")
 
 
-def agree(a: DataFrame, b: DataFrame) -> bool:
-    return not a.exceptAll(b).limit(1).count() and not b.exceptAll(a).limit(1).count()
+def one_vs_rest_patterns(spark: SparkSession, sf_dir: str, names: list[str], constraint_of, **options) -> DataFrame:
+    """(workload, pattern_text, sup_pos, sup_neg): minimal patterns of each class against the rest."""
+    out = None
+    for name in names:
+        part = mining.mine_minimal(build(spark, sf_dir, name), constraint_of(), **options).select(F.lit(name).alias("workload"), "pattern_text", "sup_pos", "sup_neg")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def label_values(spark: SparkSession, sf_dir: str, table: str, label: str) -> list:
+    """The classes of a table, each in turn the positive one."""
+    from ..sources.workloads import one_vs_rest
+
+    return one_vs_rest(read(spark, sf_dir, table), label)

@@ -6,24 +6,30 @@ from ..operators.constraints import Constraint, score_sql
 from ..sources.workloads import WORKLOADS, Workload, dialect
 
 
+def kind(w: Workload) -> str:
+    """The type of a mask."""
+    return "bigint" if len(w.items) <= 62 else "hugeint"
+
+
 def rows_cte(w: Workload) -> str:
-    mask = " + ".join(f"(case when {dialect(sql, False)} then {1 << k}::bigint else 0::bigint end)" for k, (_, sql) in enumerate(w.items))
-    return f"""flagged as (select ({dialect(w.label, False)})::bigint y, ({mask})::bigint m from {dialect(w.source, False)}),
+    t = kind(w)
+    mask = " + ".join(f"(case when {dialect(sql, False)} then {1 << k}::{t} else 0::{t} end)" for k, (_, sql) in enumerate(w.items))
+    return f"""flagged as (select ({dialect(w.label, False)})::bigint y, ({mask})::{t} m from {dialect(w.source, False)}),
 r as (select m, sum(y)::bigint wp, sum(1 - y)::bigint wn from flagged where y is not null group by m),
 tot as (select coalesce(sum(wp), 0)::bigint np, coalesce(sum(wn), 0)::bigint nn from r)"""
 
 
-def literals_cte(w: Workload, negation: bool) -> str:
-    n = len(w.items)
+def literals_cte(w: Workload, negation: bool, only=None) -> str:
+    n, u = len(w.items), kind(w)
     rows = [(k, 1 << k, 0, name) for k, (name, _) in enumerate(w.items)]
     if negation:
-        rows += [(k + n, 0, 1 << k, "!" + name) for k, (name, _) in enumerate(w.items)]
-    body = ", ".join("({}, {}::bigint, {}::bigint, '{}')".format(i, p, q, t.replace("'", "''")) for i, p, q, t in rows)
+        rows += [(k + n, 0, 1 << k, "!" + name) for k, (name, _) in enumerate(w.items) if only is None or name in only]
+    body = ", ".join("({}, {}::{}, {}::{}, '{}')".format(i, p, u, q, u, t.replace("'", "''")) for i, p, q, t in rows)
     return f"lits(id, pm, nm, name) as (values {body})"
 
 
-def patterns_cte(max_len: int) -> str:
-    levels = ["p0 as (select -1 last, 0::bigint pm, 0::bigint nm, 0 size, '' t)"]
+def patterns_cte(max_len: int, u: str = "bigint") -> str:
+    levels = [f"p0 as (select -1 last, 0::{u} pm, 0::{u} nm, 0 size, '' t)"]
     for k in range(1, max_len + 1):
         text = "b.name" if k == 1 else "a.t || ' & ' || b.name"
         levels.append(f"p{k} as (select b.id last, a.pm | b.pm pm, a.nm | b.nm nm, {k} size, {text} t from p{k - 1} a join lits b on b.id > a.last where ((a.pm | b.pm) & (a.nm | b.nm)) = 0)")
@@ -36,9 +42,24 @@ MINIMAL = "where not exists (select 1 from sat t where t.size < s.size and (t.pm
 MAXIMAL = "where not exists (select 1 from sat t where t.size > s.size and (t.pm & s.pm) = s.pm and (t.nm & s.nm) = s.nm)"
 
 
-def supported(workload: str, negation: bool, max_len: int) -> str:
+def supported(workload: str, negation: bool, max_len: int, only=None) -> str:
     w = WORKLOADS[workload]
-    return f"with {rows_cte(w)},\n{literals_cte(w, negation)},\n{patterns_cte(max_len)},\n{SUPPORTS}"
+    return f"with {rows_cte(w)},\n{literals_cte(w, negation, only)},\n{patterns_cte(max_len, kind(w))},\n{SUPPORTS}"
+
+
+def frequent(workload: str, negation: bool, min_pos: int, only=None, max_len: int | None = None) -> str:
+    """Patterns of any length with at least so many positive rows (1 or more): a recursion that extends only those."""
+    w = WORKLOADS[workload]
+    u = kind(w)
+    cap = "" if max_len is None else f" and s.size < {max_len}"
+    text = "case when s.size = 0 then b.name else s.t || ' & ' || b.name end"
+    step = f"select b.id, s.pm | b.pm, s.nm | b.nm, s.size + 1, {text}, sum(r.wp)::bigint, sum(r.wn)::bigint from sup s join lits b on b.id > s.last and ((s.pm | b.pm) & (s.nm | b.nm)) = 0{cap} join r on (r.m & (s.pm | b.pm)) = (s.pm | b.pm) and (r.m & (s.nm | b.nm)) = 0 group by b.id, s.pm | b.pm, s.nm | b.nm, s.size + 1, {text} having sum(r.wp) >= {min_pos}"
+    return f"with recursive {rows_cte(w)},\n{literals_cte(w, negation, only)},\nsup(last, pm, nm, size, t, x, y) as (select -1, 0::{u}, 0::{u}, 0, '', np, nn from tot where np >= {min_pos}\nunion all {step})"
+
+
+def unbounded(workload: str, negation: bool, constraint: Constraint, min_pos: int, keep: str = MINIMAL, columns: str = "s.t pattern_text, s.x sup_pos, s.y sup_neg", only=None, max_len: int | None = None) -> str:
+    """Members of any length, by the constraint's own bound on the positive support."""
+    return f"{frequent(workload, negation, min_pos, only, max_len)},\nsat as (select s.*, np, nn from sup s, tot where {constraint.sql()})\nselect {columns} from sat s {keep}"
 
 
 def members(workload: str, negation: bool, constraint: Constraint, max_len: int, keep: str = MINIMAL, columns: str = "s.t pattern_text, s.x sup_pos, s.y sup_neg") -> str:

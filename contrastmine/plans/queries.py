@@ -14,7 +14,7 @@ from ..operators.kernel import STATIC, Rules
 from ..sources.workloads import PLANT, WORKLOADS, build, read
 from ..streaming import events as stream_events
 from . import experiments
-from .oracles import MAXIMAL, members, jep_count, rows_of, scored_pairs, supported
+from .oracles import MAXIMAL, MINIMAL, frequent, jep_count, members, rows_of, scored_pairs, supported, unbounded
 
 ANY = 1 << 40
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -36,16 +36,16 @@ def answer(df: DataFrame) -> DataFrame:
     return df.select("pattern_text", F.col("sup_pos").cast("long").alias("sup_pos"), F.col("sup_neg").cast("long").alias("sup_neg"))
 
 
-def mined(name: str, workload: str, constraint: Callable[[], Constraint], max_len: int = 3, negation: bool = False, minimal: bool = True, **options) -> None:
-    """A miner's answer set and its twin."""
+def mined(name: str, workload: str, constraint: Callable[[], Constraint], max_len: int | None = None, negation: bool = False, minimal: bool = True, only: tuple[str, ...] | None = None, **options) -> None:
+    """A miner's answer set, of any length unless capped, and its twin."""
 
     def run(spark, sf_dir):
-        db = build(spark, sf_dir, workload, negation)
+        db = build(spark, sf_dir, workload, negation, only)
         mine = mining.mine_minimal if minimal else mining.mine_all
         return answer(mine(db, constraint(), max_len=max_len, **options))
 
     QUERIES[name] = run
-    ORACLE_SQL[name] = members(workload, negation, constraint(), max_len, *([] if minimal else [""]))
+    ORACLE_SQL[name] = unbounded(workload, negation or only is not None, constraint(), constraint().least_positive(), *([] if minimal else [""]), only=only, max_len=max_len)
 
 
 # model
@@ -144,43 +144,50 @@ def descendant_bounds_orders(spark, sf_dir):
 mined("contrast_all_docs", "docs_flags", lambda: Contrast(5, 3), minimal=False)
 mined("jep_all_docs", "docs_flags", lambda: Jumping(5), minimal=False)
 mined("ep_all_orders", "orders", lambda: Contrast(10, ANY) & GrowthRate(2.0), minimal=False)
-mined("chi2_all_orders", "orders", lambda: Contrast(10, ANY) & ChiSquare(12.03), max_len=2, minimal=False)
+mined("chi2_all_orders", "orders", lambda: Contrast(30, ANY) & ChiSquare(9.03), minimal=False)
 mined("composite_all_lineitem", "lineitem", lambda: Contrast(200, ANY) & GrowthRate(0.6) & ChiSquare(1.01), minimal=False)
 query("jep_count_docs", jep_count("docs_flags", 5))(lambda spark, sf_dir: mining.count_jeps(build(spark, sf_dir, "docs_flags"), 5).select(F.col("n_jeps").cast("long").alias("n_jeps")))
 
 # minimal members
 mined("contrast_min_docs", "docs", lambda: Contrast(5, 3))
 mined("sjep_docs", "docs", lambda: Jumping(2))
+mined("sjep_words_docs", "docs_words", lambda: Jumping(5), max_len=3)
 mined("ep_min_theta9_docs", "docs", lambda: Contrast(3, ANY) & GrowthRate(9.0))
 mined("ep_min_orders", "orders", lambda: Contrast(10, ANY) & GrowthRate(2.0))
-mined("chi2_min_orders", "orders", lambda: Contrast(10, ANY) & ChiSquare(8.03), max_len=2)
-mined("chi2_growth_min_orders", "orders", lambda: Contrast(10, ANY) & GrowthRate(0.5) & ChiSquare(10.01))
+mined("chi2_min_orders", "orders", lambda: Contrast(30, ANY) & ChiSquare(8.03))
+mined("chi2_growth_min_orders", "orders", lambda: Contrast(10, ANY) & GrowthRate(0.5) & ChiSquare(10.01), max_len=4)
 mined("composite_min_lineitem", "lineitem", lambda: Contrast(200, ANY) & GrowthRate(0.6) & ChiSquare(1.01))
-mined("infogain_min_lineitem", "lineitem", lambda: Contrast(100, ANY) & Score("info_gain", 0.000151), max_len=2)
+mined("infogain_min_lineitem", "lineitem", lambda: Contrast(300, ANY) & Score("info_gain", 0.0000801))
 mined("ginigain_min_docs", "docs_flags", lambda: Contrast(3, ANY) & Score("gini_gain", 0.01003))
 mined("wracc_min_docs", "docs_flags", lambda: Contrast(3, ANY) & Score("wracc", 0.0151))
 mined("supportdiff_min_docs", "docs_flags", lambda: Contrast(3, ANY) & Score("support_diff", 0.2003))
 mined("onesided_chi2_min_docs", "docs_flags", lambda: Contrast(3, ANY) & Score("chi2_one_sided", 15.03))
 mined("sjep_neg_docs", "docs_flags", lambda: Jumping(2), negation=True)
+mined("sjep_some_negated_docs", "docs_flags", lambda: Jumping(2), only=("lang:en", "digits", "at"))
+mined("length_cap_docs", "docs_flags", lambda: Contrast(2, ANY) & GrowthRate(9.0), max_len=2, negation=True)
 mined("ep_neg_min_lineitem", "planted", lambda: Contrast(500, ANY) & GrowthRate(9.0), negation=True)
 mined("planted_rules_lineitem", "planted", lambda: Jumping(500), negation=True)
 mined("planted_noisy_lineitem", "planted_noisy", lambda: Contrast(500, ANY) & GrowthRate(9.0), negation=True)
 mined("planted_noisy_jep", "planted_noisy", lambda: Jumping(500), negation=True)
-mined("toxic_control", "toxic", lambda: Contrast(5, ANY) & GrowthRate(3.0))
+mined("toxic_control", "toxic", lambda: Contrast(5, ANY) & GrowthRate(3.0), max_len=3)
 mined("trivial_empty_pattern", "pages", lambda: Contrast(1, ANY) & GrowthRate(1.0))
 mined("normalized_ep_min_docs", "docs_flags", lambda: Contrast(5, ANY) & GrowthRate(4.0, True))
 
 # tables not yet touched
 mined("contam_patterns", "contam", lambda: Contrast(2, ANY) & GrowthRate(0.05))
 mined("conversation_role_patterns", "conversations", lambda: Contrast(10, ANY) & GrowthRate(5.0))
-mined("embedding_sign_patterns", "embeddings", lambda: Contrast(10, ANY) & GrowthRate(0.2), max_len=2, negation=True)
-mined("embedding_planted_patterns", "embeddings_planted", lambda: Jumping(20), negation=True)
+mined("embedding_sign_patterns", "embeddings", lambda: Contrast(12, ANY) & GrowthRate(0.33), max_len=3)
+mined("embedding_planted_patterns", "embeddings_planted", lambda: Jumping(20), max_len=3, negation=True)
 mined("customer_balance_patterns", "customers", lambda: Contrast(4, ANY) & GrowthRate(0.5))
 mined("part_promo_patterns", "parts", lambda: Contrast(5, ANY) & GrowthRate(0.8))
 mined("supplier_region_patterns", "suppliers", lambda: Contrast(1, ANY) & GrowthRate(0.3))
 mined("event_purchase_patterns", "events", lambda: Contrast(20, ANY) & GrowthRate(2.0))
 mined("page_language_patterns", "pages", lambda: Contrast(3, ANY) & GrowthRate(3.0))
 
+LABELS = [f"embeddings_{k}" for k in range(10)]
+RARE = lambda: Contrast(14, ANY) & GrowthRate(0.2)
+query("one_vs_rest_embeddings", " union all ".join(f"select '{n}' workload, * from ({unbounded(n, False, RARE(), 14, max_len=2)}) q{n[-1]}" for n in LABELS))(lambda spark, sf_dir: experiments.one_vs_rest_patterns(spark, sf_dir, LABELS, RARE, max_len=2))
+
 # extraction variants, orders, rules, engines, back ends: one answer each
 for _method in ("subset_join", "set_trie", "zdd", "levelwise", "rarest"):
     mined(f"minimal_by_{_method}", "docs", lambda: Contrast(3, 3), extraction=_method)
@@ -191,11 +198,14 @@ for _label, _rules in (("lb_nc", Rules()), ("lb", Rules(nc="off")), ("nc", Rules
 mined("engine_local", "docs_flags", lambda: Contrast(5, 3), negation=True, engine="local")
 mined("engine_frontier", "docs_flags", lambda: Contrast(5, 3), negation=True, engine="frontier")
 mined("engine_hybrid", "docs_flags", lambda: Contrast(5, 3), negation=True, engine="hybrid", hand_over=60)
+mined("engine_hybrid_static", "docs_flags", lambda: Contrast(5, 3), negation=True, engine="hybrid", hand_over=60, order="static:growth_desc")
+mined("engine_matrix_linked", "docs_flags", lambda: Contrast(5, 3), negation=True, engine="matrix:linked")
+mined("engine_matrix_bitset", "docs_flags", lambda: Contrast(5, 3), negation=True, engine="matrix:bitset")
 
 
-@query("maximal_patterns", members("docs_flags", False, Contrast(5, 3), 3, MAXIMAL))
+@query("maximal_patterns", unbounded("docs_flags", False, Contrast(5, 3), 5, MAXIMAL))
 def maximal_patterns(spark, sf_dir):
-    return answer(mining.mine_maximal(build(spark, sf_dir, "docs_flags"), Contrast(5, 3), max_len=3))
+    return answer(mining.mine_maximal(build(spark, sf_dir, "docs_flags"), Contrast(5, 3)))
 
 
 @query("matrix_linked_vs_bitset", supported("docs_flags", False, 2) + "\nselect t pattern_text, x sup_pos, y sup_neg from sup where size > 0")
@@ -203,26 +213,71 @@ def matrix_linked_vs_bitset(spark, sf_dir):
     return experiments.matrix_supports(build(spark, sf_dir, "docs_flags"))
 
 
+@query("bitmap_supports_lineitem", rows_of("lineitem", "select k, count(*) n_rows from r, (values ('and', 1 | 4), ('or', 1 | 4)) v(k, p) where case when k = 'and' then (m & p) = p else (m & p) <> 0 end group by k"))
+def bitmap_supports_lineitem(spark, sf_dir):
+    maps = labeled.literal_bitmaps(build(spark, sf_dir, "lineitem"))
+    part = lambda k: labeled.bitmap_support(maps, (0, 2), k == "or").select(F.lit(k).alias("k"), "n_rows")
+    return part("and").unionByName(part("or"))
+
+
 # baselines
 def baseline(name: str, workload: str, negation: bool, min_pos: int, run, keep: str | None) -> None:
     QUERIES[name] = lambda spark, sf_dir: named_supports(db := build(spark, sf_dir, workload, negation), run(db))
-    ORACLE_SQL[name] = members(workload, negation, Jumping(min_pos), 3, *([] if keep is None else [keep]))
-
-
-baseline("closed_dfs_jep", "docs_flags", False, 5, lambda db: baselines.closed_jeps(db, 5, 3), "")
-baseline("prefix_tree_sjep", "docs_flags", False, 3, lambda db: baselines.prefix_tree_sjeps(db, 3, 3), None)
-baseline("prefix_tree_sjep_neg", "docs_flags", True, 3, lambda db: baselines.prefix_tree_sjeps(db, 3, 3), None)
-baseline("fpgrowth_contrast", "docs_flags", False, 5, lambda db: baselines.fpgrowth_contrast(db, 5, 0, 3).where(F.size("pattern") > 0), "")
-baseline("zdd_sjep", "docs_flags", True, 3, lambda db: baselines.zdd_sjeps(db, 3, 3), None)
-baseline("brute_force_min", "docs_flags", True, 3, lambda db: baselines.brute_force(db, Jumping(3), 3), None)
-query("jep_count_closed_sets", jep_count("docs_flags", 5))(lambda spark, sf_dir: spark.createDataFrame([(baselines.count_jeps_closed(build(spark, sf_dir, "docs_flags"), 5),)], "n_jeps long"))
-
-# search measures
-query("ablation_counters")(lambda spark, sf_dir: experiments.ablation(spark, sf_dir, ["docs_flags"], negation=True))
-query("ablation_counters_orders")(lambda spark, sf_dir: experiments.ablation(spark, sf_dir, ["orders"], max_len=3, orders=("dynamic", "static:id")))
-query("competitor_times")(lambda spark, sf_dir: experiments.competitors(spark, sf_dir, ["docs_flags"], negation=True, max_len=4))
-query("dataset_statistics")(lambda spark, sf_dir: experiments.dataset_statistics(spark, sf_dir, ["docs_flags", "planted", "events", "conversations"]))
-query("scale_out")(lambda spark, sf_dir: experiments.scale_out(spark, sf_dir, "docs_flags"))
+    ORACLE_SQL[name] = unbounded(workload, negation, Jumping(min_pos), min_pos, *([] if keep is None else [keep]))
+
+
+baseline("closed_dfs_jep", "docs_flags", False, 5, lambda db: baselines.closed_jeps(db, 5), "")
+baseline("closed_dfs_jep_neg", "docs_flags", True, 5, lambda db: baselines.closed_jeps(db, 5), "")
+baseline("prefix_tree_sjep", "docs_flags", False, 3, lambda db: baselines.prefix_tree_sjeps(db, 3), None)
+baseline("prefix_tree_sjep_neg", "docs_flags", True, 3, lambda db: baselines.prefix_tree_sjeps(db, 3), None)
+baseline("fpgrowth_contrast", "docs_flags", False, 5, lambda db: baselines.fpgrowth_contrast(db, 5, 0).where(F.size("pattern") > 0), "")
+baseline("zdd_sjep", "docs_flags", True, 3, lambda db: baselines.zdd_sjeps(db, 3), None)
+QUERIES["brute_force_min"] = lambda spark, sf_dir: named_supports(db := build(spark, sf_dir, "docs_flags", True), baselines.brute_force(db, Jumping(3), 3))
+ORACLE_SQL["brute_force_min"] = members("docs_flags", True, Jumping(3), 3)
+query("jep_count_closed_sets", jep_count("docs_flags", 5))(lambda spark, sf_dir: baselines.count_jeps_closed(build(spark, sf_dir, "docs_flags"), 5).select(F.col("n_jeps").cast("long").alias("n_jeps")))
+CLOSED = "where s.size > 0 and not exists (select 1 from sat t where t.size = s.size + 1 and (t.pm & s.pm) = s.pm and (t.nm & s.nm) = s.nm and t.x = s.x and t.y = s.y)"
+for _name, _negation in (("closed_sets_docs", False), ("closed_sets_neg_docs", True)):
+    query(_name, unbounded("docs_flags", _negation, Contrast(5, ANY), 5, CLOSED))(lambda spark, sf_dir, on=_negation: named_supports(db := build(spark, sf_dir, "docs_flags", on), baselines.closed_sets(db, 5)))
+
+# experiments: one query a workload, all shares, orders and rules; runs beyond the limit are rows with status timeout
+LIMIT_S = 5.0
+for _name, _workload, _negation in (("ablation_orders", "orders", False), ("ablation_lineitem", "lineitem", False), ("ablation_docs", "docs", False), ("ablation_docs_negated", "docs_flags", True), ("ablation_embeddings", "embeddings", False)):
+    query(_name)(lambda spark, sf_dir, w=_workload, on=_negation: experiments.ablation(spark, sf_dir, w, on, timeout_s=LIMIT_S))
+query("ablation_docs_words")(lambda spark, sf_dir: experiments.ablation(spark, sf_dir, "docs_words", timeout_s=LIMIT_S, max_len=3))
+for _name, _workloads, _negation in (("competitor_times", ["docs_flags", "planted"], True), ("competitor_times_sparse", ["orders", "lineitem", "docs", "events"], False), ("competitor_times_dense", ["docs_words"], False)):
+    query(_name)(lambda spark, sf_dir, w=_workloads, on=_negation: experiments.competitors(spark, sf_dir, w, on, timeout_s=LIMIT_S))
+
+
+def _answers(negation: bool, workload: str, constraint: Constraint) -> str:
+    """Number of minimal members by support share."""
+    parts = []
+    for s in experiments.SHARES:
+        body = unbounded(workload, negation, constraint, 2, "", "s.*")
+        keep = MINIMAL.replace("sat t", "own t")
+        parts.append(f"select {s}::double share, count(*) n_minimal from (with base as ({body}), own as (select * from base where x >= greatest(2, ceil({s} * np - 1e-9))) select 1 from own s {keep}) q")
+    return " union all ".join(parts)
+
+
+@query("ablation_answers", _answers(True, "docs_flags", Contrast(2, ANY) & GrowthRate(9.0)))
+def ablation_answers(spark, sf_dir):
+    """Every order and rule set finds the same number of minimal patterns."""
+    runs = experiments.ablation(spark, sf_dir, "docs_flags", True)
+    told = runs.groupBy("share").agg(F.min("minimal").alias("least"), F.max("minimal").alias("n_minimal"), F.count_if(F.col("status") != "ok").alias("late"))
+    return told.select("share", F.when((F.col("late") == 0) & (F.col("least") == F.col("n_minimal")), F.col("n_minimal")).alias("n_minimal"))
+
+
+@query("competitor_answers", _answers(True, "docs_flags", Jumping(2)))
+def competitor_answers(spark, sf_dir):
+    """Every method finds the same number of minimal jumping patterns."""
+    runs = experiments.competitors(spark, sf_dir, ["docs_flags"], True).where("task = 'minimal'")
+    told = runs.groupBy("share").agg(F.min(F.col("patterns").cast("long")).alias("least"), F.max(F.col("patterns").cast("long")).alias("n_minimal"), F.count_if(F.col("status") != "ok").alias("late"))
+    return told.select("share", F.when((F.col("late") == 0) & (F.col("least") == F.col("n_minimal")), F.col("n_minimal")).alias("n_minimal"))
+
+
+STATISTICS = ["orders", "lineitem", "planted", "docs_flags", "docs", "events", "pages", "conversations", "contam", "customers", "parts", "suppliers"]
+query("dataset_statistics")(lambda spark, sf_dir: experiments.dataset_statistics(spark, sf_dir, STATISTICS))
+query("dataset_statistics_negated")(lambda spark, sf_dir: experiments.dataset_statistics(spark, sf_dir, ["docs_flags", "planted", "conversations"], True))
+query("scale_out")(lambda spark, sf_dir: experiments.scale_out(spark, sf_dir, ["docs_flags", "planted"], True))
 
 
 @query("search_tree_trace")
@@ -230,14 +285,16 @@ def search_tree_trace(spark, sf_dir):
     return mining.search_tree(mining.run(build(spark, sf_dir, "docs_flags", True), Jumping(5), trace=True))
 
 
-@query("candidate_vs_minimal", members("docs_flags", True, Jumping(2), 3, columns="count(*) n_minimal"))
+@query("candidate_vs_minimal", unbounded("docs_flags", True, Jumping(2), 2, columns="count(*) n_minimal"))
 def candidate_vs_minimal(spark, sf_dir):
-    return mining.run(build(spark, sf_dir, "docs_flags", True), Jumping(2), max_len=3).patterns.agg(F.count(F.lit(1)).alias("n_minimal"))
+    return mining.run(build(spark, sf_dir, "docs_flags", True), Jumping(2)).patterns.agg(F.count(F.lit(1)).alias("n_minimal"))
 
 
-@query("topk_chi2_docs", f"{supported('docs_flags', False, 3)}\nselect t pattern_text, x sup_pos, y sup_neg from sup, tot where x >= 1 order by {score_sql('chi2')} desc, size, t limit 7")
-def topk_chi2_docs(spark, sf_dir):
-    return answer(mining.mine_topk(build(spark, sf_dir, "docs_flags"), 7))
+query("candidate_counts")(lambda spark, sf_dir: spark.createDataFrame([(o, (got := mining.run(build(spark, sf_dir, "docs_flags", True), Jumping(2), order=o)).counters.candidates, got.patterns.count()) for o in experiments.ORDERS], "order string, candidates long, minimal long"))
+for _score in ("chi2", "wracc", "info_gain"):
+    query(f"topk_{_score}_docs", f"{frequent('docs_flags', False, 1)}\nselect t pattern_text, x sup_pos, y sup_neg from sup, tot where x >= 1 order by {score_sql(_score)} desc, size, t limit 7")(
+        lambda spark, sf_dir, s=_score: answer(mining.mine_topk(build(spark, sf_dir, "docs_flags"), 7, s))
+    )
 
 
 # learning
@@ -252,13 +309,13 @@ def planted_reals(spark, sf_dir):
 @query("mdl_cuts_lineitem")
 def mdl_cuts_lineitem(spark, sf_dir):
     df, features = planted_reals(spark, sf_dir)
-    return learning.MdlDiscretizer(3).cut_points(df, features, F.col("y"))
+    return learning.MdlDiscretizer().cut_points(df, features, F.col("y"))
 
 
 @query("mdl_cuts_embeddings")
 def mdl_cuts_embeddings(spark, sf_dir):
     df = read(spark, sf_dir, "embeddings").withColumn("y", F.when(F.expr("element_at(embedding, 1) > 0 and not element_at(embedding, 2) > 0"), 1).otherwise(0))
-    return learning.MdlDiscretizer().cut_points(df, {f"d{k}": F.get("embedding", F.lit(k)) for k in range(8)}, F.col("y"))
+    return learning.MdlDiscretizer().cut_points(df, {f"d{k}": F.get("embedding", F.lit(k)) for k in range(64)}, F.col("y"))
 
 
 @query("value_histogram_lineitem", "select l_quantity \"value\", sum(case when l_returnflag = 'R' then 1 else 0 end)::bigint n_pos, sum(case when l_returnflag = 'R' then 0 else 1 end)::bigint n_neg from lineitem group by l_quantity")
@@ -288,11 +345,15 @@ def auc_docs(spark, sf_dir):
     return learning.auc(df, "n_chars", "y").select(F.round("auc", 6).alias("auc"))
 
 
-for _kind in ("with_negation", "positive_only", "tree", "logistic", "forest"):
+for _kind in experiments.MODELS:
     query({"with_negation": "classifier_planted", "positive_only": "classifier_planted_positive", "tree": "tree_baseline", "logistic": "logreg_baseline", "forest": "forest_baseline"}[_kind])(
-        lambda spark, sf_dir, kind=_kind: experiments.accuracy(spark, sf_dir, "embeddings_planted", [kind], folds=3)
+        lambda spark, sf_dir, kind=_kind: experiments.accuracy(spark, sf_dir, ["embeddings_planted"], [kind])
     )
-query("classifier_docs")(lambda spark, sf_dir: experiments.accuracy(spark, sf_dir, "docs_flags", ["with_negation", "positive_only"], folds=3))
+query("classifier_docs")(lambda spark, sf_dir: experiments.accuracy(spark, sf_dir, ["docs_flags"]))
+query("classifier_lineitem")(lambda spark, sf_dir: experiments.accuracy(spark, sf_dir, ["planted"]))
+query("classifier_customers")(lambda spark, sf_dir: experiments.accuracy(spark, sf_dir, ["customers"]))
+query("classifier_embeddings")(lambda spark, sf_dir: experiments.accuracy(spark, sf_dir, LABELS, trials=0))
+query("accuracy_wins")(lambda spark, sf_dir: experiments.win_counts(experiments.accuracy(spark, sf_dir, ["docs_flags", "embeddings_planted"], trials=0)))
 
 # surrounding operators
 
@@ -302,9 +363,9 @@ def join_semi(spark, sf_dir):
     return relational.join_semi(read(spark, sf_dir, "orders").withColumnRenamed("o_custkey", "c_custkey"), read(spark, sf_dir, "customer").where("c_acctbal < 0"), "c_custkey").select("o_orderkey")
 
 
-@query("join_anti", "select c_custkey from customer where c_custkey not in (select o_custkey from orders)")
+@query("join_anti", "select c_custkey from customer where c_custkey not in (select o_custkey from orders where o_totalprice > 300000)")
 def join_anti(spark, sf_dir):
-    return relational.join_anti(read(spark, sf_dir, "customer"), read(spark, sf_dir, "orders").withColumnRenamed("o_custkey", "c_custkey"), "c_custkey").select("c_custkey")
+    return relational.join_anti(read(spark, sf_dir, "customer"), read(spark, sf_dir, "orders").where("o_totalprice > 300000").withColumnRenamed("o_custkey", "c_custkey"), "c_custkey").select("c_custkey")
 
 
 @query("join_outer", "select c_custkey, o_orderkey from customer full join (select * from orders where o_totalprice > 400000) on c_custkey = o_custkey")
@@ -373,7 +434,7 @@ query("rank_patterns_lineitem", supported("lineitem", False, 2) + "\nselect t pa
 @query("except_variants", "select 0::bigint n_different")
 def except_variants(spark, sf_dir):
     db = build(spark, sf_dir, "docs_flags", True)
-    a, b = (answer(mining.mine_minimal(db, Jumping(2), max_len=3, order=o)) for o in ("dynamic", "static:id"))
+    a, b = (answer(mining.mine_minimal(db, Jumping(2), order=o)) for o in ("dynamic", "static:id"))
     return relational.set_except(a, b, True).unionByName(relational.set_except(b, a, True)).agg(F.count(F.lit(1)).alias("n_different"))
 
 
@@ -386,6 +447,21 @@ query("unpivot_lineitem", "select name, round(sum(v), 2) total from (select 'l_t
     lambda spark, sf_dir: relational.unpivot_report(read(spark, sf_dir, "lineitem").select("l_orderkey", "l_tax", "l_discount"), ["l_orderkey"], ["l_tax", "l_discount"]).groupBy("name").agg(F.round(F.sum("value"), 2).alias("total"))
 )
 query("json_props_items", "select event_id, json_extract_string(props, '$.k')::bigint k from events")(lambda spark, sf_dir: relational.json_props(read(spark, sf_dir, "events"), "props", "k").select("event_id", "k"))
+query("json_variant_props", "select event_id, json_extract_string(props, '$.k')::bigint k from events")(lambda spark, sf_dir: relational.variant_props(read(spark, sf_dir, "events"), "props", "$.k", "bigint", "k").select("event_id", "k"))
+query("bins_width_lineitem", "with b as (select min(l_extendedprice) a, max(l_extendedprice) z from lineitem) select bin, count(*) n from (select greatest(0, case when l_extendedprice <= a + (z - a) * 1 / 4 then 0 when l_extendedprice <= a + (z - a) * 2 / 4 then 1 when l_extendedprice <= a + (z - a) * 3 / 4 then 2 else 3 end)::int bin from lineitem, b) group by bin")(
+    lambda spark, sf_dir: binned(df := read(spark, sf_dir, "lineitem"), "l_extendedprice", labeled.bin_width(df, "l_extendedprice", 4))
+)
+query("bins_quantile_lineitem", "with b as (select quantile_cont(l_extendedprice, [0.25, 0.5, 0.75]) q from lineitem) select (l_extendedprice > q[1])::int + (l_extendedprice > q[2])::int + (l_extendedprice > q[3])::int bin, count(*) n from lineitem, b group by 1")(
+    lambda spark, sf_dir: binned(df := read(spark, sf_dir, "lineitem"), "l_extendedprice", labeled.bin_quantile(df, "l_extendedprice", 4, exact=True))
+)
+
+
+def binned(df, column, cuts):
+    return df.select(sum((F.col(column) > c).cast("int") for c in cuts).alias("bin")).groupBy("bin").agg(F.count(F.lit(1)).alias("n"))
+
+
+query("sketch_counts_orders")(lambda spark, sf_dir: relational.united_count(relational.sketches_by(read(spark, sf_dir, "orders"), "o_orderpriority", "o_custkey")))
+query("sketch_quantiles_orders")(lambda spark, sf_dir: relational.quantile_sketch(read(spark, sf_dir, "orders"), "o_totalprice", [0.25, 0.5, 0.75]))
 query("token_vocab", "with w as (select distinct doc_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) word from documents) select word, count(*) df from w group by word having count(*) >= 2 order by df desc, word limit 40")(
     lambda spark, sf_dir: labeled.top_vocabulary(read(spark, sf_dir, "documents"), F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)), 40, 2)
 )

@@ -95,8 +95,8 @@ def test_models_are_saved_and_loaded(spark, tmp_path, family):
     df = spark.createDataFrame([(k, *map(float, r), int(r[0] > 0.2 and r[1] < 0.5)) for k, r in enumerate(x)], "id long, p double, q double, y int")
     features = {n: F.col(n) for n in "pq"}
     cuts = K.MdlDiscretizer().fit(df, features, F.col("y"))
-    cuts.save(str(tmp_path / "cuts.json"))
-    again = K.MdlDiscretizer.load(str(tmp_path / "cuts.json"))
+    cuts.save(spark, str(tmp_path / "cuts.json"))
+    again = K.MdlDiscretizer.load(spark, str(tmp_path / "cuts.json"))
     items = again.items(features, {"p": "p", "q": "q"})
     assert again == cuts and items and all(i.sql for i in items)
     model = K.PatternClassifier(Contrast(5, ANY) & GrowthRate(2.0), family=family).fit(df, features, "y", items)
@@ -107,3 +107,43 @@ def test_models_are_saved_and_loaded(spark, tmp_path, family):
     with pytest.raises(ValueError):
         K.PatternClassifier(Contrast(5, ANY), family=family).fit(df, features, "y", [item_flag("p", F.col("p") > 0)]).save(spark, str(tmp_path / "no"))
     assert item_sql("a", "p > 0").sql == "p > 0"
+
+
+def test_f_values_from_stored_predictions(spark, tmp_path):
+    """What the experiment reports is what SQL says about its predictions."""
+    import duckdb
+
+    from contrastmine.plans import experiments as X
+
+    rows, models = X.predicted(spark, "/root/testdata/sf0.01", "docs_flags", ("with_negation", "tree"), trials=1)
+    rows.write.parquet(str(tmp_path / "predictions"))
+    told = K.f_value(K.confusion(rows, "y", "prediction", ["workload", "model", "fold"]))
+    want = duckdb.sql(f"select model, fold, 2.0 * count(*) filter (where y = 1 and prediction = 1) / nullif(count(*) filter (where y = 1) + count(*) filter (where prediction = 1), 0) from '{tmp_path}/predictions/*.parquet' group by 1, 2").fetchall()
+    assert {(r.model, r.fold): round(r.f1, 9) for r in told.collect()} == {(m, f): round(v or 0.0, 9) for m, f, v in want} and rows.count() == 2 * 399
+    assert models.count() == 10 and models.where("model = 'with_negation' and weights > 0 and mean_length >= 1").count() == 5
+    wins = {r.model: r for r in X.win_counts(told).collect()}
+    assert sum(r.wins for r in wins.values()) >= 1 and all(r.targets == 1 for r in wins.values())
+
+
+def test_thousands_of_patterns_as_features(spark):
+    from itertools import combinations
+
+    from pyspark.ml.functions import vector_to_array
+
+    items = [item_flag(f"i{k}", F.col("a").bitwiseAND(1 << k) > 0) for k in range(9)] + [item_flag(f"j{k}", F.col("a") == k) for k in range(60)]
+    patterns = [p for p in combinations(range(9), 4)] + [(k, 69 + k) for k in range(9)] + [(0, 60 + 5), (68,)]
+    df = spark.range(64).withColumnRenamed("id", "a")
+    got = {r.a: r.v for r in K.pattern_features(df, items, patterns * 12, ["a"]).select("a", vector_to_array("features").alias("v")).collect()}
+    has = lambda a, i: bool(a >> i & 1) if i < 9 else a == i - 9
+    want = lambda a, p: all(has(a, i) if i < 69 else not has(a, i - 69) for i in p)
+    assert all(got[a] == [float(want(a, p)) for p in patterns] * 12 for a in range(64))
+
+
+def test_estimator_in_a_pipeline(spark):
+    from pyspark.ml import Pipeline
+
+    df = spark.range(200).selectExpr("id", "cast(id % 4 = 0 or id % 7 = 0 as int) y", "id % 4 = 0 a", "id % 7 = 0 b")
+    items = [item_flag("a", F.col("a")), item_flag("b", F.col("b"))]
+    fitted = Pipeline(stages=[K.PatternEstimator(Contrast(2, ANY) & GrowthRate(2.0), {}, "y", items, reg=0.001)]).fit(df)
+    out = fitted.transform(df)
+    assert set(out.columns) == {"id", "y", "a", "b", "prediction"} and out.where("y <> prediction").count() == 0

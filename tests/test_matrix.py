@@ -58,4 +58,23 @@ def test_random_operations(kind, seed):
         else:
             want = [c for c in cols if draw.random() < 0.4]
             assert m.count_rows(want) == sum(set(want) <= rows[r] for r in live)
-            assert all(m.live(c) == (c in cols) for c in columns)
+            assert all(m.live(c) == (c in cols) for c in columns) and sorted(m.columns_left()) == sorted(cols)
+
+
+@pytest.mark.parametrize("kind", BACK_ENDS)
+def test_weights_and_keeping_the_rows_of_a_column(kind):
+    m = BACK_ENDS[kind].create(ROWS, "abcd", [1, 2, 4, 8, 16])
+    assert m.count_rows() == 31 and m.count_rows("c") == 30 and m.count_rows("bc") == 6
+    m.checkpoint(), m.keep_rows("b"), m.delete_column("b")
+    assert m.count_rows() == 6 and m.count_rows("d") == 4 and m.columns_left() == ["a", "c", "d"]
+    m.undo()
+    assert m.count_rows() == 31 and m.count_rows("b") == 6
+
+
+def test_a_deleted_row_leaves_its_links_and_comes_back():
+    m = BACK_ENDS["linked"].create(ROWS)
+    before = (m.up[:], m.down[:], m.left[:], m.right[:])
+    m.checkpoint(), m.delete_column("c"), m.delete_row(1), m.delete_row(3), m.delete_column("a")
+    assert list(m.row_ring) == [0, 2, 4] and [m.names[k] for k in m.column_ring] == ["b", "d"] and m.right[m.row_head[4]] == m.row_head[4]
+    m.undo()
+    assert (m.up, m.down, m.left, m.right) == before

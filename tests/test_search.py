@@ -174,7 +174,7 @@ def test_sql_functions(spark):
     at = {c: k for k, c in enumerate("abcd")}
     df = spark.createDataFrame([([at[i] for i in r], y) for y, s in ((1, POS), (0, NEG)) for r in s], "items array<int>, label int").coalesce(1)
     df.createOrReplaceTempView("t_rows")
-    got = spark.sql("select * from mine_patterns(table(t_rows) with single partition, 1, 0, 0.0D, 4, 4, false)").collect()
+    got = spark.sql("select * from mine_patterns(table(t_rows) with single partition, 1, 0, 0.0D, 0.0D, 4, -1, false)").collect()
     assert {tuple(r.pattern): (r.sup_pos, r.sup_neg) for r in got} == {(0, 1): (3, 0), (0, 3): (2, 0)}
 
 
@@ -214,3 +214,142 @@ def test_dry_run_and_bitmap_functions(spark):
     rows = spark.createDataFrame([([0, 1], 1), ([0], 0), ([1], 1)], "items array<int>, label int")
     got = rows.agg(class_support("label", "items", (0,), 2).alias("a"), class_support("label", "items", (0, 3), 2, False).alias("b"), class_support("label", "items", (), 2).alias("c")).first()
     assert (got.a, got.b, got.c) == (1, 1, 2)
+
+
+@pytest.mark.parametrize("seed", range(60))
+def test_matrix_search_and_competitors_equal_definition(seed):
+    from contrastmine.operators import baselines as B
+    from contrastmine.operators.branching import search_matrices
+
+    d = random.Random(seed)
+    n, negation = d.randint(1, 4), d.random() < 0.5
+    pos = [{i for i in range(n) if d.random() < 0.5} for _ in range(d.randint(1, 7))]
+    neg = [{i for i in range(n) if d.random() < 0.5} for _ in range(d.randint(1, 7))]
+    sets, p, q = [sorted(r) for r in pos + neg], [1] * len(pos) + [0] * len(neg), [0] * len(pos) + [1] * len(neg)
+    literals, known, least = list(range(n * (1 + negation))), world(pos, neg, n, negation), d.randint(1, 2)
+    c = MAKE[d.choice(list(MAKE))](d).bind(len(pos), len(neg))
+    max_len = d.choice([None, None, 1, 2])
+    inside = {k for k, v in known.items() if bool(c.member(*v)) and (max_len is None or len(k) <= max_len)}
+    minimal = set(minimal_plain(list(inside)))
+    for order in ("dynamic", "static:id", "static:growth_desc"):
+        for rules in (Rules(), Rules(nc="off"), Rules(lb=False), Rules.none()):
+            for back_end in ("linked", "bitset"):
+                got = search_matrices(Search(c, n, negation, order, rules, max_len), sets, p, q, back_end)
+                assert all(known[a] == (x, y) for a, x, y in got) and set(minimal_plain([a for a, *_ in got])) == minimal
+    everything = search_matrices(Search(c, n, negation, "dynamic", Rules(stop=False, nc="off"), max_len), sets, p, q, "linked")
+    assert {a for a, *_ in everything} == inside
+    jumping = {k for k, (x, y) in known.items() if x >= least and y == 0}
+    order = literals[:]
+    d.shuffle(order)
+    place, occ, timer = {i: k for k, i in enumerate(order)}, B.Occurrences(sets, p, q, n, literals), B.Timer()
+    assert sorted(f[0] for f in B.weighted_patterns(occ, place, least, None, None, timer)) == sorted(jumping - {()})
+    assert B.weighted_patterns(occ, place, least, None, None, timer, False) == len(jumping - {()})
+    closure = lambda k: (lambda held: tuple(sorted(frozenset.intersection(*held))) if held else None)([r for r in occ.rows if set(k) <= r])
+    assert sorted(f[0] for f in B.closed_sets_from(occ, place, least, None, timer)) == sorted({closure(k) for k, (x, _) in known.items() if x >= least} - {()})
+    assert {f[0] for f in B.diagram_patterns(sets, p, q, n, negation, literals, least, timer)} == set(minimal_plain(list(jumping)))
+
+
+def test_matrix_engine_leaves_matrices_as_they_were_and_counts(spark):
+    db = L.from_sets(spark, POS, NEG).with_negation()
+    want = {r.pattern_text for r in M.mine_sjeps(db).collect()}
+    for engine in ("matrix:linked", "matrix:bitset"):
+        got = M.run(db, C.Jumping(1), engine=engine, trace=True)
+        assert {r.pattern_text for r in got.patterns.collect()} == want and got.counters.nodes == len(got.trace) and got.counters.lb > 0
+
+
+def test_extraction_beyond_its_bounds(spark):
+    """More candidates than the driver takes, and patterns whose subsets cannot be listed."""
+    from contrastmine.operators import minimal as K
+
+    family = [(0,), (0, 1), (2, 3), (2, 3, 4), (5, 6), tuple(range(2, 40))]
+    df = spark.createDataFrame([(list(p),) for p in family], "pattern array<int>")
+    want = {(0,), (2, 3), (5, 6)}
+    for method in ("set_trie", "zdd", "subset_join", "rarest", "levelwise"):
+        assert {tuple(r.pattern) for r in K.extract_minimal(df, method, most_local=2).collect()} == want
+    wide = spark.createDataFrame([(list(range(33)),), ([1],)], "pattern array<int>")
+    assert [r.pattern for r in K.extract_minimal(wide).collect()] == [[1]]
+    with pytest.raises(Exception, match="too many subsets"):
+        K.by_subset_join(wide).collect()
+    empty = spark.createDataFrame([([],), ([1],)], "pattern array<int>")
+    assert [r.pattern for r in K.extract_minimal(empty, "rarest").collect()] == [[]] and [r.pattern for r in K.extract_maximal(empty).collect()] == [[1]]
+
+
+def test_a_search_out_of_time_gives_no_answer(spark):
+    db = L.from_sets(spark, POS, NEG)
+    for engine in ("local", "frontier", "hybrid", "matrix:linked", "matrix:bitset"):
+        got = M.run(db, C.Jumping(1), engine=engine, timeout_s=0, hand_over=100)
+        assert not got.complete
+        with pytest.raises(M.IncompleteSearch):
+            got.patterns  # noqa: B018
+    with pytest.raises(M.IncompleteSearch):
+        M.mine_sjeps(db, timeout_s=0)
+
+
+def test_limit_ends_a_full_search_and_is_refused_for_a_minimal_one(spark):
+    db = L.from_sets(spark, POS, NEG)
+    for engine in ("local", "frontier", "matrix:linked"):
+        assert M.mine_all(db, C.Jumping(1), limit=2, engine=engine).count() == 2
+    with pytest.raises(ValueError):
+        M.mine_sjeps(db, limit=2)
+
+
+def test_topk_follows_its_score_below_zero_too(spark):
+    db = L.from_sets(spark, POS, NEG)
+    known = world([{"abcd".index(i) for i in r} for r in POS], [{"abcd".index(i) for i in r} for r in NEG], 4, False)
+    for score in ("wracc", "support_diff", "chi2", "info_gain"):
+        ranked = sorted(((-float(C.SCORES[score](x, y, 5, 5)), len(p), " & ".join("abcd"[i] for i in p)) for p, (x, y) in known.items() if x >= 1))
+        for k in (3, 9, 100):
+            got = M.mine_topk(db, k, score).collect()
+            value = lambda r: round(-float(C.SCORES[score](r.sup_pos, r.sup_neg, 5, 5)), 9)  # noqa: E731, B023
+            assert [(value(r), r.size) for r in got] == [(round(s, 9), n) for s, n, _ in ranked[:k]]
+
+
+def test_negation_of_some_items_only(spark):
+    db = L.from_sets(spark, POS, NEG).with_negation(True, ["c"])
+    assert db.literals() == [0, 1, 2, 3, 6] and db.n_items == 4
+    want = {"b & !c", "d & !c", "a & b", "a & d"}
+    for engine in ("local", "frontier", "matrix:linked"):
+        assert {r.pattern_text for r in M.mine_sjeps(db, engine=engine).collect()} == want
+    assert M.count_jeps(db).first().n_jeps == M.mine_jeps(db).count()
+
+
+def test_candidates_leave_the_driver_beyond_a_bound(spark, monkeypatch):
+    from contrastmine.operators import frontier
+
+    db = L.from_sets(spark, POS, NEG).with_negation()
+    want = {tuple(r.pattern) for r in M.mine_all(db, C.Jumping(1)).collect()}
+    most = M.Findings.__init__.__defaults__
+    monkeypatch.setattr(M.Findings.__init__, "__defaults__", (3,))
+    monkeypatch.setattr(frontier, "WAVE_NODES", 2)
+    for engine, few in (("frontier", 0), ("hybrid", 4), ("local", 0)):
+        assert {tuple(r.pattern) for r in M.mine_all(db, C.Jumping(1), engine=engine, hand_over=few).collect()} == want
+    monkeypatch.setattr(M.Findings.__init__, "__defaults__", most)
+
+
+def test_no_nested_loop_joins(spark):
+    from contrastmine.operators import baselines as B
+
+    db = L.from_sets(spark, POS, NEG)
+    plans = [M.mine_maximal(db, C.Contrast(1, 1)), M.mine_minimal(db, C.Contrast(1, 1), extraction="levelwise"), M.mine_minimal(db, C.Contrast(1, 1), extraction="rarest"), B.fpgrowth_contrast(db, 1, 1)]
+    for df in plans:
+        df.collect()
+        told = df._jdf.queryExecution().executedPlan().toString()
+        assert "NestedLoop" not in told and "CartesianProduct" not in told
+
+
+def test_source_is_read_once(spark):
+    from contrastmine.plans.meters import Meter
+
+    seen = spark.sparkContext.accumulator(0)
+    db = L.from_sets(spark, POS, NEG)
+
+    def touch(frames):
+        for f in frames:
+            seen.add(len(f))
+            yield f
+
+    counted = L.LabeledDB(db.rows.mapInPandas(touch, "items array<int>, w_pos long, w_neg long"), db.names)
+    n = db.rows.count()
+    with Meter(spark) as m:
+        assert M.mine_sjeps(counted).count() == 2
+    assert seen.value == n and m.cost.jobs > 0 and m.cost.cpu_s > 0 and m.cost.shuffle_bytes > 0

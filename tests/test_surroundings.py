@@ -128,3 +128,48 @@ def test_mining_again_when_due(spark, tmp_path):
     q = S.mine_again(stream, items, F.col("value") > 50, str(tmp_path / "rows"), due, lambda held: seen.append(sorted((tuple(r["items"]), r.w_pos, r.w_neg) for r in held.collect()))).trigger(availableNow=True).start()
     q.awaitTermination(120)
     assert seen == [[((), 0, 1), ((0,), 2, 0)]]
+
+
+def test_whole_passages_beside_other_characters(spark):
+    """Passages that touch punctuation or letters, short ones, repeats, nulls and empties, against the plain test."""
+    from contrastmine.operators.relational import contains_passage
+
+    texts = ["say (alpha beta gamma delta eps) now", "xalpha beta gammay", "alpha beta", "", None, "a-b", "zz a", "Alpha beta gamma", "one two three four five six seven eight", "say (alpha beta gamma delta eps) now"]
+    passages = ["alpha beta gamma", "alpha beta gamma delta eps", "(alpha", "a", "-b", "", None, "two three four five six seven", "lpha beta gam", "beta", "alpha beta gamma"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    items = spark.createDataFrame(list(enumerate(passages)), "item_id long, text string")
+    got = contains_passage(docs, items)
+    assert sorted((r.doc_id, r.item_id) for r in got.collect()) == sorted((i, j) for i, t in enumerate(texts) for j, p in enumerate(passages) if t is not None and p is not None and p in t)
+    assert contains_passage(docs.limit(0), items).count() == contains_passage(docs, items.limit(0)).count() == 0
+
+
+def test_broadcast_bound_counts_bytes(spark):
+    from pyspark.sql import functions as F
+
+    from contrastmine.operators.relational import small
+
+    plan = lambda df: df._jdf.queryExecution().optimizedPlan().toString()
+    wide = spark.range(50).select("id", F.repeat(F.lit("x"), 1000).alias("t"))
+    assert "ResolvedHint" not in plan(small(wide, most_bytes=1000)) and small(wide, most_bytes=1000) is wide and small(wide) is not wide
+
+
+def test_scratch_tables_are_removed(spark):
+    import os
+
+    from contrastmine.functions.scratch import clear_scratch, scratch_mark, settled, stored
+
+    mark = scratch_mark()
+    df = spark.range(10)
+    a, b = stored(df, "a"), settled(df, "b", most=3)
+    assert a.count() == b.count() == 10 and settled(df, "c").count() == 10
+    paths = [f.removeprefix("file:") for t in (a, b) for f in t.inputFiles()]
+    assert all(map(os.path.exists, paths)) and clear_scratch(spark, mark) == 2 and not any(map(os.path.exists, paths))
+
+
+def test_sketches_are_close_and_unite(spark):
+    from contrastmine.operators import relational as R
+
+    df = spark.range(20000).selectExpr("id % 5000 as a", "id % 7 as g", "cast(id as double) as v")
+    assert abs(R.sketch_profile(df, ["a"]).first().n_a - 5000) < 250 and abs(R.united_count(R.sketches_by(df, "g", "a")).first().n - 5000) < 250
+    got = {r.share: r.value for r in R.quantile_sketch(df, "v", [0.25, 0.5]).collect()}
+    assert abs(got[0.25] - 5000) < 500 and abs(got[0.5] - 10000) < 500
