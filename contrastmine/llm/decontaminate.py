@@ -15,7 +15,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, materialise, small_batches, tidy, to_frame, whole
+from .shared import clean_text, tidy, to_frame, whole
 from .tokens import batches
 from .words import mixed, numbered
 
@@ -30,7 +30,11 @@ class ItemBlock:
         names, codes, bounds = numbered([t or "" for _, t in items])
         self.words = {w: k for k, w in enumerate(names) if w}
         self.items = [codes[a:b].astype(np.int32) for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
-        self.short = {c.tobytes(): k for k, c in enumerate(self.items) if 0 < len(c) < n}
+        self.short: dict[bytes, list[int]] = {}
+        for k, c in enumerate(self.items):
+            if 0 < len(c) < n:
+                self.short.setdefault(c.tobytes(), []).append(k)
+        self.counts = [Counter(c.tolist()) for c in self.items]
         keys, owner, at = [], [], []
         for k, c in enumerate(self.items):
             g = self.grams(c)
@@ -57,8 +61,7 @@ class ItemBlock:
         n, total = self.n, len(codes) - self.n + 1
         known = codes >= 0
         if len(codes) < n:
-            k = self.short.get(codes.astype(np.int32).tobytes()) if known.all() and len(codes) else None
-            if k is not None:
+            for k in self.short.get(codes.astype(np.int32).tobytes(), []) if known.all() and len(codes) else []:
                 yield k, 0, codes
             return
         run = np.cumsum(np.concatenate(([0], known)))
@@ -90,6 +93,23 @@ class ItemBlock:
             last = min(len(codes), int(begin[b - 1]) + size + more)
             yield k, first, codes[first:last]
 
+    def read(self, texts: list[str]) -> list[np.ndarray]:
+        """The words of each text as codes of this block's words, -1 for all others."""
+        names, codes, bounds = numbered(texts)
+        own = np.array([self.words.get(w, -1) for w in names], np.int32)[codes] if names else np.zeros(0, np.int32)
+        return [own[a:b] for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
+
+    def hits(self, codes: np.ndarray, least: Callable[[int], float]) -> Iterator[tuple[int | None, float, int, int, int]]:
+        """(item, score, matched words, first word, words) of each alignment in a document that is worth the least score."""
+        for k, first, window in self.find(codes, least):
+            item = self.items[k]
+            if 2 * (self.counts[k] & Counter(window.tolist())).total() < least(len(item)):  # no alignment matches more words
+                continue
+            best, row, last = align(item, window)
+            if best >= least(len(item)):
+                ahead = last - align(item[row::-1], window[last::-1])[2]
+                yield self.ids[k], best / (2 * len(item)), int(best // 2), first + ahead, last - ahead + 1
+
 
 def align(item: np.ndarray, window: np.ndarray, match: float = 2, mismatch: float = 1, gap: float = 1) -> tuple[float, int, int]:
     """Smith-Waterman score of the best local alignment, and where it ends in both; unknown words (-1) match nothing.
@@ -123,40 +143,33 @@ def item_blocks(benchmark: DataFrame, most_words: int) -> Iterator[list[tuple[in
         yield block
 
 
+def least_score(share: float, words: int) -> Callable[[int], float]:
+    return lambda size: min(2 * share * size, 2 * words)
+
+
 def contaminated(docs: DataFrame, benchmark: DataFrame, n: int = 4, share: float = 0.5, words: int = 40, block_words: int = 300_000) -> DataFrame:
     """(doc_id, text_key, item_id, score, matched, first_word, n_words): one row per document and item that it holds.
 
     score is the alignment's share of the greatest score of the item; a document counts from the given share on, or where
-    the alignment is worth the given number of matched words; first_word and n_words are where it lies. An item of fewer than n words counts only where it is the
-    whole document. Null texts are empty and hold nothing; ids may be null or repeat; an empty table gives none; other
-    columns are ignored. text_key is xxhash64 of the text, which tells rows with equal or null ids apart.
+    the alignment is worth the given number of matched words; first_word and n_words are where it lies. An item of fewer
+    than n words counts only where it is the whole document; items that repeat a text are all reported. Null texts are
+    empty and hold nothing; ids may be null or repeat; an empty table gives none; other columns are ignored. text_key is
+    xxhash64 of the text, which tells rows with equal or null ids apart.
     """
     spark = docs.sparkSession
-    chosen = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text")).withColumn("text_key", F.xxhash64("text"))
+    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text")).withColumn("text_key", F.xxhash64("text"))
     parts = [spark.createDataFrame([], FOUND)]
-    least = lambda size: min(2 * share * size, 2 * words)
+    least = least_score(share, words)
     for items in item_blocks(benchmark, block_words):
         block = spark.sparkContext.broadcast(items)
 
         def find(frames, block=block):
             known = ItemBlock(block.value, n)
-            counts = [Counter(c.tolist()) for c in known.items]
             for frame in frames:
                 texts = frame["text"].tolist()
                 keys, marks = whole(frame["doc_id"]), whole(frame["text_key"])
                 for a, b in batches(texts, 4_000_000):
-                    names, codes, bounds = numbered(texts[a:b])
-                    own = np.array([known.words.get(w, -1) for w in names], np.int32)[codes] if names else np.zeros(0, np.int32)
-                    rows = []
-                    for i, (x, y) in enumerate(zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)):
-                        for k, first, window in known.find(own[x:y], least):
-                            item = known.items[k]
-                            if 2 * (counts[k] & Counter(window.tolist())).total() < least(len(item)):  # no alignment matches more words
-                                continue
-                            best, row, last = align(item, window)
-                            if best >= least(len(item)):
-                                ahead = last - align(item[row::-1], window[last::-1])[2]
-                                rows.append((keys[a + i], marks[a + i], known.ids[k], best / (2 * len(item)), int(best // 2), first + ahead, last - ahead + 1))
+                    rows = [(keys[a + i], marks[a + i], *h) for i, codes in enumerate(known.read(texts[a:b])) for h in known.hits(codes, least)]
                     if rows:
                         yield to_frame(rows, FOUND)
 
@@ -168,8 +181,24 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, n: int = 4, share: float
     return found.groupBy("doc_id", "text_key", "item_id").agg(best.alias("b")).select("doc_id", "text_key", "item_id", "b.*")
 
 
-def drop_contaminated(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
-    """Documents that hold no benchmark item, with all their columns."""
-    found = materialise(contaminated(docs, benchmark, **options).select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key")).distinct())
-    key = F.xxhash64(clean_text(docs["text"]))
-    return docs.join(found, docs["doc_id"].cast("long").eqNullSafe(F.col("_id")) & (key == F.col("_key")), "left_anti")
+def drop_contaminated(docs: DataFrame, benchmark: DataFrame, n: int = 4, share: float = 0.5, words: int = 40, block_words: int = 300_000) -> DataFrame:
+    """Documents that hold no benchmark item by the rules of contaminated(), with all their columns.
+
+    Whether a document goes is told by its own text, so this is one map over the rows for each block of items: no row is
+    shuffled. Null and empty texts stay; repeated rows go or stay alike; an empty table gives none; columns of any name
+    stay as they are."""
+    out, least, place = docs, least_score(share, words), docs.columns.index("text")
+    for items in item_blocks(benchmark, block_words):
+        block = docs.sparkSession.sparkContext.broadcast(items)
+
+        def clean(tables, block=block):
+            import pyarrow as pa
+
+            known = ItemBlock(block.value, n)
+            for batch in tables:
+                texts = [t or "" for t in batch.column(place).to_pylist()]
+                keep = [next(known.hits(codes, least), None) is None for a, b in batches(texts, 4_000_000) for codes in known.read(texts[a:b])]
+                yield batch.filter(pa.array(keep, pa.bool_()))
+
+        out = out.mapInArrow(tidy(clean), docs.schema)
+    return out

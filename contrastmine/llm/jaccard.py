@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .shared import clean_text, materialise, small_batches, stored, tidy, to_frame, whole
+from .shared import clean_text, files_for, join_by_size, spare, stored, tidy, to_frame, whole
 from .tokens import batches
 from .words import hashed, mixed, numbered
 
@@ -157,18 +157,22 @@ def jaccard_classes(docs: DataFrame, n: int = 5, threshold: float = 0.8, recall:
     class is null. An empty table gives none; other columns are ignored.
     """
     bands, rows = choose_bands(threshold, recall)
-    texts = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"))
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"))
     signed = stored(sign(texts, n, bands, rows), "signed")
+    n_docs = signed.count()
+    files = files_for(n_docs)
     members = signed.select("doc_id", "fp")
-    classes = materialise(members.groupBy("fp").agg(F.min("doc_id").alias("copy_id"), F.count(F.lit(1)).alias("n_copies")))
-
-    banded = signed.select("fp", F.explode("bands").alias("band"))
-    buckets = banded.groupBy("band").agg(F.min("fp").alias("hub"), F.max("fp").alias("last")).where("hub <> last").select("band", "hub")
-    spokes = banded.join(buckets, "band").where("fp <> hub").select("fp", "hub").distinct()
-    groups = connected_components(spokes, "fp", "hub").select(F.col("node").alias("fp"), F.col("component").alias("grp"))
-    sized = groups.groupBy("grp").agg(F.count(F.lit(1)).alias("m"))
-    active = groups.join(sized, "grp").join(classes, "fp")
-    active = materialise(active.withColumn("parts", F.ceil(F.col("m") / F.least(F.greatest(4 * F.sqrt("m"), F.lit(128)), F.lit(1024))).cast("int")))
+    classes = stored(signed.groupBy("fp").agg(F.min("doc_id").alias("copy_id"), F.count(F.lit(1)).alias("n_copies"), F.min("bands").alias("bands")), "classes")
+
+    banded = classes.select("fp", F.explode("bands").alias("band"))
+    buckets = banded.groupBy("band").agg(F.min("fp").alias("hub"), F.count(F.lit(1)).alias("held")).where("held > 1")
+    buckets = stored(buckets, "buckets", files)
+    spokes = join_by_size(banded, buckets, "band", "held", max(1, n_docs * bands)).where("fp <> hub").select("fp", "hub").distinct()
+    groups = stored(connected_components(spokes, "fp", "hub").select(F.col("node").alias("fp"), F.col("component").alias("grp")), "groups", files)
+    sized = stored(groups.groupBy("grp").agg(F.count(F.lit(1)).alias("m")), "sizes", files)
+    active = join_by_size(groups, sized, "grp", "m", max(1, n_docs)).join(classes.drop("bands"), "fp")
+    parts = F.ceil(F.col("m") / F.least(F.greatest(4 * F.sqrt("m"), F.lit(128)), F.lit(1024))).cast("int")
+    active = stored(active.withColumn("parts", parts), "active", files)
 
     def reread(frames):
         for frame in frames:
@@ -178,6 +182,7 @@ def jaccard_classes(docs: DataFrame, n: int = 5, threshold: float = 0.8, recall:
                 yield to_frame([(fingerprint(s), s.tobytes()) for s in sets], SETS)
 
     ids = active.select(F.coalesce("copy_id", F.lit(0)).alias("key"), F.col("copy_id").isNull().alias("none")).distinct()
+    ids = stored(ids, "asked", files)
     wanted = texts.withColumn("key", F.coalesce("doc_id", F.lit(0))).withColumn("none", F.col("doc_id").isNull()).join(ids, ["key", "none"], "left_semi")
     sets = wanted.select("text").mapInPandas(tidy(reread), SETS).dropDuplicates(["fp"])
     rowed = active.join(sets, "fp").withColumn("part", F.pmod(F.xxhash64("fp"), F.col("parts")).cast("int"))
@@ -195,24 +200,34 @@ def jaccard_classes(docs: DataFrame, n: int = 5, threshold: float = 0.8, recall:
         take = lambda rows: ([x[1] for x in rows], [x[2] for x in rows], np.array([x[3] for x in rows], np.int64))
         return to_frame(count_links(*take(a), *take(b), threshold, low == high), COUNTED)
 
-    counted = materialise(dealt.groupBy("grp", "low", "high").applyInPandas(compare, COUNTED))
-    joined = connected_components(counted.where("fp <> root"), "fp", "root").select(F.col("node").alias("fp"), F.col("component").alias("cls"))
-    linked = counted.groupBy("fp").agg(F.sum("links").alias("links")).join(joined, "fp").join(classes, "fp")
-    named = linked.groupBy("cls").agg(F.min("copy_id").alias("class_id"))
-    linked = linked.join(named, "cls").select("fp", "links", "class_id")
-    return (
-        members.join(classes.join(linked, "fp", "left"), "fp")
-        .select("doc_id", F.when(F.col("links").isNull(), F.col("copy_id")).otherwise(F.col("class_id")).alias("class_id"), "copy_id", "n_copies", (F.col("n_copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
-    )
+    counted = stored(dealt.groupBy("grp", "low", "high").applyInPandas(compare, COUNTED), "counted", files)
+    joined = stored(connected_components(counted.where("fp <> root"), "fp", "root").select(F.col("node").alias("fp"), F.col("component").alias("cls")), "joined", files)
+    linked = counted.groupBy("fp").agg(F.sum("links").alias("links")).join(joined, "fp").join(classes.drop("bands"), "fp")
+    linked = stored(linked, "linked", files)
+    named = stored(linked.groupBy("cls").agg(F.min("copy_id").alias("class_id"), F.count(F.lit(1)).alias("size")), "named", files)
+    linked = join_by_size(linked, named, "cls", "size", max(1, n_docs)).select("fp", "links", "class_id")
+    told = classes.select("fp", "copy_id", "n_copies").join(linked, "fp", "left")
+    told = stored(told.select("fp", F.when(F.col("links").isNull(), F.col("copy_id")).otherwise(F.col("class_id")).alias("class_id"), "copy_id", "n_copies", (F.col("n_copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links")), "told")
+    return join_by_size(members, told, "fp", "n_copies", max(1, n_docs)).select("doc_id", "class_id", "copy_id", "n_copies", "n_links")
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
-    """The row with the least doc_id of each class, whole and with all columns. Rows that repeat both id and text stay once;
-    where all ids of a class are null, each of its distinct texts stays once."""
-    firsts = materialise(jaccard_classes(docs, **options).where("doc_id is not null and doc_id = class_id").select("doc_id").distinct())
-    repeated = docs.groupBy("doc_id").count().where("count > 1 and doc_id is not null").select("doc_id")
-    kept = docs.join(firsts, "doc_id", "left_semi")
-    single = kept.join(repeated, "doc_id", "left_anti")
-    several = kept.join(repeated, "doc_id", "left_semi").dropDuplicates(["doc_id", "text"])
-    nameless = docs.where("doc_id is null").dropDuplicates(["text"])
+    """The row with the least doc_id of each class, whole and with all columns.
+
+    Rows that repeat both id and text stay once; where all ids of a class are null, each of its distinct texts stays once.
+    A null text is an empty one; an empty table gives none; columns of any name stay as they are. The ids that go are
+    fewer than those that stay, so it is they that meet the texts."""
+    judged = jaccard_classes(docs, **options).where("doc_id is not null")
+    ids = stored(judged.groupBy("doc_id").agg(F.max(F.col("doc_id") == F.col("class_id")).alias("first"), F.count(F.lit(1)).alias("rows")), "judged")
+    gone = stored(ids.where("not first").select("doc_id"), "gone")
+    repeated = stored(ids.where("first and rows > 1").select("doc_id"), "repeated")
+    key, named = docs["doc_id"].cast("long"), docs.where(F.col("doc_id").isNotNull())
+    other = spare(docs.columns, "_other")[0]
+    kept = named.join(gone.withColumnRenamed("doc_id", other), key == F.col(other), "left_anti")
+    nameless = docs.where(F.col("doc_id").isNull()).dropDuplicates(["text"])
+    if not repeated.limit(1).count():
+        return kept.unionByName(nameless)
+    again = repeated.withColumnRenamed("doc_id", other)
+    single = kept.join(again, key == F.col(other), "left_anti")
+    several = kept.join(again, key == F.col(other), "left_semi").dropDuplicates(["doc_id", "text"])
     return single.unionByName(several).unionByName(nameless)

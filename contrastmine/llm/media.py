@@ -13,7 +13,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, file_system, small_batches, stored, tidy, to_frame, whole
+from .shared import clean_text, file_system, fresh_path, stored, tidy, to_frame, whole
 
 MEDIA = "doc_id long, n_bytes long, media binary"
 HEADER = re.compile(rb"(P[1-6])(?:\s+(?:#[^\n]*\n\s*)*)(\d+)(?:\s+(?:#[^\n]*\n\s*)*)(\d+)")
@@ -128,10 +128,9 @@ def difference_hash(pixels: np.ndarray, size: int = 8) -> str:
     return np.packbits(small[:, :-1] < small[:, 1:]).tobytes().hex()
 
 
-def npy_tile(pixels: np.ndarray, side: int = 32) -> bytes:
-    sink = io.BytesIO()
-    np.save(sink, np.clip(np.floor(resize_area(grey(pixels), side, side) + 0.5), 0, 255).astype(np.uint8), allow_pickle=False)
-    return sink.getvalue()
+def tile(pixels: np.ndarray, side: int) -> np.ndarray:
+    """The image resized to a square of 8-bit samples."""
+    return np.clip(np.floor(resize_area(grey(pixels), side, side) + 0.5), 0, 255).astype(np.uint8)
 
 
 def text_payload(data: bytes, unit: int = 64) -> bytes:
@@ -142,7 +141,8 @@ def text_payload(data: bytes, unit: int = 64) -> bytes:
 def to_media(docs: DataFrame, width: int = 64, form: str = "pgm") -> DataFrame:
     """(doc_id, n_bytes, media): each text's padded UTF-8 bytes as the samples of a grey image of the given width.
 
-    Null text is empty and gives one row of zeros; very long texts give tall images; other columns are ignored."""
+    Null text is empty and gives one row of zeros; very long texts give tall images; null ids are kept, repeated rows are
+    images of their own, an empty table gives none, other columns are ignored."""
 
     def make(frames):
         write = write_bmp if form == "bmp" else write_netpbm
@@ -152,60 +152,78 @@ def to_media(docs: DataFrame, width: int = 64, form: str = "pgm") -> DataFrame:
             for a in range(0, len(raw), 500):
                 yield to_frame([(k, len(r), write(np.frombuffer(text_payload(r, width), np.uint8).reshape(-1, width))) for k, r in zip(keys[a : a + 500], raw[a : a + 500], strict=True)], MEDIA)
 
-    chosen = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"))
+    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"))
     return chosen.mapInPandas(tidy(make), MEDIA)
 
 
-TILES = "doc_id long, path string, row long, dhash string"
-FEATURES = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, tile_sha256 string"
+FEATURES = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+TILED = FEATURES + ", tile_path string, tile_row long"
+DESCRIBED = FEATURES + ", tile_sha256 string, preview_bytes long, preview_sha256 string"
 
 
-def media_features(media: DataFrame) -> DataFrame:
-    """Decode stored media and describe it; equal media give equal values."""
-
-    def describe(frames):
-        for frame in frames:
-            rows = []
-            for doc_id, n, data in zip(whole(frame["doc_id"]), frame["n_bytes"], frame["media"], strict=True):
-                pixels = decode(bytes(data))
-                payload = pixels.tobytes()
-                rows.append((doc_id, n, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).hexdigest(), difference_hash(pixels), hashlib.sha256(npy_tile(pixels)).hexdigest()))
-            yield to_frame(rows, FEATURES)
-
-    return media.mapInPandas(tidy(describe), FEATURES)
+def write_tiles(media: DataFrame, folder: str, side: int = 16, per_file: int = 4096) -> DataFrame:
+    """Decode stored media, describe each image, and write the resized images as NPY files of shape (n, side, side).
 
-
-def write_tiles(media: DataFrame, folder: str, side: int = 32, per_file: int = 4096) -> DataFrame:
-    """Write the resized images as NPY files of shape (n, side, side); returns (doc_id, path, row, dhash) for each image."""
+    Gives one row per image: what was read back, and the file and row of its tile. Equal media give equal values. A task
+    writes each file under a name of its own, so a retried task leaves a file that no row names. An empty table gives no
+    row and no file."""
 
     def save(frames):
         store, base = file_system(folder)
-        store.create_dir(base, recursive=True)
-        keys, tiles, hashes = [], [], []
+        rows, tiles = [], []
 
         def flush():
+            store.create_dir(base, recursive=True)
             name = f"{base}/tiles-{uuid.uuid4().hex}.npy"
             sink = io.BytesIO()
             np.save(sink, np.stack(tiles), allow_pickle=False)
             with store.open_output_stream(name) as out:
                 out.write(sink.getvalue())
-            return to_frame([(k, name, i, h) for i, (k, h) in enumerate(zip(keys, hashes, strict=True))], TILES)
+            path = name if "://" not in folder and not folder.startswith("file:") else folder.rstrip("/") + name[len(base) :]
+            return to_frame([(*r, path, i) for i, r in enumerate(rows)], TILED)
 
         for frame in frames:
-            for doc_id, data in zip(whole(frame["doc_id"]), frame["media"], strict=True):
+            for doc_id, n, data in zip(whole(frame["doc_id"]), frame["n_bytes"], frame["media"], strict=True):
                 pixels = decode(bytes(data))
-                keys.append(doc_id)
-                tiles.append(np.load(io.BytesIO(npy_tile(pixels, side))))
-                hashes.append(difference_hash(pixels))
-                if len(keys) == per_file:
+                payload = pixels.tobytes()
+                rows.append((doc_id, n, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).hexdigest(), difference_hash(pixels)))
+                tiles.append(tile(pixels, side))
+                if len(rows) == per_file:
                     yield flush()
-                    keys, tiles, hashes = [], [], []
-        if keys:
+                    rows, tiles = [], []
+        if rows:
             yield flush()
 
-    return media.select("doc_id", "media").mapInPandas(tidy(save), TILES)
+    return media.select("doc_id", "n_bytes", "media").mapInPandas(tidy(save), TILED)
 
 
-def text_media(docs: DataFrame, width: int = 64, form: str = "pgm") -> DataFrame:
-    """Store every text as media in the shared folder, read it back and describe it."""
-    return media_features(stored(to_media(docs, width, form), "media"))
+def read_tiles(written: DataFrame) -> DataFrame:
+    """Read every tile back from its file, and tell its digest and that of its BMP form, which must decode to the same tile."""
+
+    def load(frames):
+        held: dict[str, np.ndarray] = {}
+        for frame in frames:
+            rows = []
+            for r in frame.itertuples(index=False):
+                if r.tile_path not in held:
+                    held.clear()  # rows of one file stand together
+                    store, name = file_system(r.tile_path)
+                    with store.open_input_stream(name) as source:
+                        held[r.tile_path] = np.load(io.BytesIO(source.read()), allow_pickle=False)
+                found = held[r.tile_path][int(r.tile_row)]
+                preview = write_bmp(found)
+                if not np.array_equal(read_bmp(preview), found):
+                    raise ValueError("a preview differs from its tile")
+                rows.append((*r[:-2], hashlib.sha256(found.tobytes()).hexdigest(), len(preview), hashlib.sha256(preview).hexdigest()))
+            yield to_frame([(None if r[0] is None or r[0] != r[0] else int(r[0]), *r[1:]) for r in rows], DESCRIBED)
+
+    return written.mapInPandas(tidy(load), DESCRIBED)
+
+
+def text_media(docs: DataFrame, width: int = 64, form: str = "pgm", side: int = 16) -> DataFrame:
+    """Store every text as media in the shared folder, read it back, describe it, and write and read back its tile.
+
+    (doc_id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, feature, tile_sha256,
+    preview_bytes, preview_sha256) for each row; the cases are those of to_media()."""
+    media = stored(to_media(docs, width, form), "media")
+    return read_tiles(stored(write_tiles(media, fresh_path(docs.sparkSession, "tiles"), side), "tiled"))

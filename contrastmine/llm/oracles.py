@@ -8,17 +8,18 @@ from .url_filter import RULES
 
 def chat_sql() -> str:
     flags = r"'<\|im_(start|end)\|>|<\\+\|'"
+    role = lambda c: f"length({c}) + 5 * (length({c}) - length(replace({c}, chr(10), '')))"  # noqa: E731  a line feed takes six characters
     escape = lambda c: rf"regexp_replace({c}, '<(\\*)\|', '<\1\\|', 'g')"
     return rf"""
 with turns as (
-  select conv_id::bigint conv_id, turn::bigint turn, replace(coalesce(role, ''), chr(10), ' ') "role", coalesce(text, '') "text" from conversations
+  select conv_id::bigint conv_id, turn::bigint turn, coalesce(role, '') "role", coalesce(text, '') "text" from conversations
   union all select -1, 0, 'user', '{HOSTILE}' union all select -1, 1, 'assistant', '{HOSTILE}'
-), marked as (select *, regexp_matches("role" || chr(10) || "text", {flags}) hostile from turns)
+), marked as (select *, regexp_matches("role", {flags}) or regexp_matches("text", {flags}) or contains("role", chr(10)) or contains("role", '<|lf|>') hostile from turns)
 select conv_id, count(*)::bigint n_turns,
   sha256(string_agg("role" || chr(10) || "text" || chr(10), '' order by turn nulls first, "role", "text")) turns_sha256,
   coalesce(sum(length("text")) filter (where "role" = 'assistant'), 0)::bigint loss_chars,
   sha256(coalesce(string_agg("text", '' order by turn nulls first, "role", "text") filter (where "role" = 'assistant'), '')) loss_sha256,
-  sum(24 + length(case when hostile then {escape('"role"')} else "role" end) + length(case when hostile then {escape('"text"')} else "text" end))::bigint formatted_chars
+  sum(24 + case when hostile then {role(escape('"role"'))} else length("role") end + length(case when hostile then {escape('"text"')} else "text" end))::bigint formatted_chars
 from marked group by conv_id"""
 
 

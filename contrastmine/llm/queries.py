@@ -36,7 +36,7 @@ def op5_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return packing.pack_documents(table(spark, sf_dir, "documents"), tokenizer_path()).drop("loss_tokens")
+    return packing.pack_answers(table(spark, sf_dir, "documents"), tokenizer_path())
 
 
 def op7_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:

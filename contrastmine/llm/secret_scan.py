@@ -13,7 +13,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, drawn_share
+from .shared import clean_text, drawn_share, spare
 from .spans import let, located, masked
 
 ASSIGN = r"""(?i:(password|passwd|secret|token|api_?key))["']? *[:=] *["']?([A-Za-z0-9+/_.=-]++)"""
@@ -40,8 +40,8 @@ def base_spans(text: Column) -> dict[str, Column]:
 def labelled_samples(docs: DataFrame, strings: int = SAMPLE_STRINGS, sample_docs: int = SAMPLE_DOCS) -> DataFrame:
     """(token, random): hash-drawn strings in mixed alphabets against words and joined words of documents.
 
-    The sample is bounded: so many strings, and the words and pattern values of about so many documents, drawn by a hash of id and text at
-    the share that their number asks for; no rows are gathered for it."""
+    The sample is bounded: so many strings, and the words and pattern values of about so many documents, drawn by a hash of
+    the text at the share that their number asks for; no rows are gathered for it."""
     spark = docs.sparkSession
     drawn = spark.range(strings).select(F.explode(F.array(F.base64(F.unhex(F.substring(F.sha2(F.col("id").cast("string"), 256), 1, 48))), F.substring(F.translate(F.base64(F.unhex(F.sha2(F.concat(F.lit("s"), F.col("id").cast("string")), 256))), "+/=", "xyz"), 1, 32))).alias("token"), F.lit(1).alias("random"))
     share = min(1.0, sample_docs / max(1, docs.count()))
@@ -95,29 +95,39 @@ def blanked(text: Column, spans: Column) -> Column:
     return F.when(F.size(spans) > 0, done).otherwise(text)
 
 
-def bounds(kind: str) -> Column:
-    return F.transform(f"_{kind}", lambda s: F.struct(s.start.alias("start"), s.stop.alias("stop")))
+def bounds(column: str) -> Column:
+    return F.transform(F.col(f"`{column}`"), lambda s: F.struct(s.start.alias("start"), s.stop.alias("stop")))
 
 
-def secret_spans(docs: DataFrame, least: float = LEAST, threshold: float = 0.8, keep: bool = False) -> DataFrame:
-    """doc_id, text, the three arrays of base spans and `markov`, the spans of other random-looking tokens; keep=True keeps all columns.
+def with_spans(docs: DataFrame, names: list[str], ratios: list[float], least: float = LEAST, threshold: float = 0.8) -> DataFrame:
+    """The table with five more columns of the given names: the text without null, the three arrays of base spans, and the spans of other random-looking tokens."""
+    text, *kinds, markov = names
+    with_base = docs.withColumn(text, clean_text())
+    with_base = with_base.withColumns(dict(zip(kinds, base_spans(F.col(f"`{text}`")).values(), strict=True)))
+    rest = blanked(F.col(f"`{text}`"), F.concat(*map(bounds, kinds)))
+    random = lambda t: total_ratio(t, ratios) >= F.greatest(F.lit(least), threshold * (F.length(t) - 1))
+    found = lambda t: F.filter(located(t, TOKEN, guard=F.exists(F.regexp_extract_all(t, F.lit(TOKEN), F.lit(0)), random)), lambda s: random(s.hit))
+    return with_base.withColumn(markov, let(rest, found))
+
+
+COLUMNS = ("_text", *(f"_{k}" for k in KINDS), "_markov")
+
+
+def secret_spans(docs: DataFrame, **options) -> DataFrame:
+    """doc_id, _text, the three arrays of base spans and `_markov`, the spans of other random-looking tokens.
 
     Tokens are runs of 8 characters of the alphabet or more outside base spans, so that what a span leaves of a longer run
     is scored too. The sum of log-likelihood ratios must reach `least`, the evidence against chance that a short token
     needs, and `threshold` for each bigram, which long tokens need. Null text is empty; null ids and repeated rows are
-    treated row by row; an empty table gives none; other columns are ignored or, if kept, untouched."""
-    ratios = log_ratios(labelled_samples(docs))
-    chosen = docs.withColumn("_text", clean_text()) if keep else docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("_text"))
-    names = {k: f"_{k}" for k in (*KINDS, "markov")}
-    with_base = chosen.withColumns({names[k]: c for k, c in base_spans(F.col("_text")).items()})
-    rest = blanked(F.col("_text"), F.concat(*map(bounds, KINDS)))
-    random = lambda t: total_ratio(t, ratios) >= F.greatest(F.lit(least), threshold * (F.length(t) - 1))
-    found = lambda t: F.filter(located(t, TOKEN, guard=F.exists(F.regexp_extract_all(t, F.lit(TOKEN), F.lit(0)), random)), lambda s: random(s.hit))
-    return with_base.withColumn(names["markov"], let(rest, found))
+    treated row by row; an empty table gives none; other columns are ignored."""
+    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    return with_spans(chosen, list(COLUMNS), log_ratios(labelled_samples(docs)), **options).drop("text")
 
 
 def secret_digest(docs: DataFrame, **options) -> DataFrame:
+    """(doc_id, n_assign, n_access, n_hex, base_sha256, spans, n_markov) for each row; the cases are those of secret_spans()."""
     rows = secret_spans(docs, **options)
+
     def ranked(kind: str, rank: int) -> Column:
         return F.transform(f"_{kind}", lambda s: F.struct(s.start.alias("start"), F.lit(rank).alias("rank"), s.stop.alias("stop"), F.lit(kind).alias("kind")))
 
@@ -133,11 +143,24 @@ def secret_digest(docs: DataFrame, **options) -> DataFrame:
 
 
 def redact(docs: DataFrame, mark: str = "[SECRET]", **options) -> DataFrame:
-    """All documents with all their columns; secrets in the text are replaced by the mark, and n_chars, if there, counts the new text."""
-    rows = secret_spans(docs, keep=True, **options)
-    spans = F.concat(*map(bounds, (*KINDS, "markov")))
-    clear = rows.withColumn("text", F.when(F.col("text").isNotNull(), masked(F.col("_text"), spans, mark)))
+    """All documents with all their columns; secrets in the text are replaced by the mark, and n_chars, if there, counts the new text.
+
+    Null texts stay null; null ids and repeated rows are treated row by row; an empty table gives none. What is computed
+    on the way has names that no column has, so other columns come out as they went in."""
+    names = spare(docs.columns, *COLUMNS)
+    rows = with_spans(docs, names, log_ratios(labelled_samples(docs)), **options)
+    spans = F.concat(*map(bounds, names[1:]))
+    clear = rows.withColumn("text", F.when(F.col("text").isNotNull(), masked(F.col(names[0]), spans, mark)))
     if "n_chars" in docs.columns:
-        touched = F.size(F.col("_assign")) + F.size(F.col("_access")) + F.size(F.col("_hex")) + F.size(F.col("_markov")) > 0
-        clear = clear.withColumn("n_chars", F.when(touched, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
-    return clear.select(*docs.columns)
+        clear = clear.withColumn("n_chars", F.when(F.size(spans) > 0, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
+    return clear.select(*(F.col(f"`{c}`") for c in docs.columns))
+
+
+def model_accuracy(docs: DataFrame, least: float = LEAST, threshold: float = 0.8) -> DataFrame:
+    """(random, tokens, found): the labelled samples are parted by a hash of the token, the models learn from three parts of four, and every token of the fourth with 8 characters or more is judged."""
+    samples = labelled_samples(docs)
+    held = F.pmod(F.xxhash64("token", F.lit("held out")), F.lit(4)) == 0
+    ratios = log_ratios(samples.where(~held))
+    told = samples.where(held & F.col("token").rlike(f"^{TOKEN}$")).distinct()
+    hit = total_ratio(F.col("token"), ratios) >= F.greatest(F.lit(least), threshold * (F.length("token") - 1))
+    return told.groupBy("random").agg(F.count(F.lit(1)).alias("tokens"), F.count_if(hit).alias("found"))

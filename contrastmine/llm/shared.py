@@ -3,14 +3,14 @@
 from __future__ import annotations
 
 import sys
-import tempfile
 import types
-import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.scratch import clear_scratch, fresh_path, scratch_mark, shared_dir, stored
 
+__all__ = ["clear_scratch", "fresh_path", "scratch_mark", "shared_dir", "stored"]
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -32,44 +32,33 @@ def drawn_share(share: float, *columns: str) -> Column:
     return F.pmod(F.xxhash64(*columns, F.lit("drawn")), F.lit(1 << 30)) < int(share * (1 << 30))
 
 
-def small_batches(df: DataFrame, rows: int = 2000) -> DataFrame:
-    """The same table; texts go to Python workers in batches of at most so many rows, which bounds their memory and the buffers beside the heap."""
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if not 0 < int(df.sparkSession.conf.get(key)) <= rows:
-        df.sparkSession.conf.set(key, rows)
-    return df
+def spare(columns, *names: str) -> list[str]:
+    """The names, lengthened until none is a column already, whatever its case."""
+    taken = {c.lower() for c in columns}
+    out = []
+    for n in names:
+        while n.lower() in taken:
+            n += "_"
+        taken.add(n.lower())
+        out.append(n)
+    return out
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir, which driver and executors share; a temporary one only if it is unset (tests)."""
-    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not found:
-        found = tempfile.mkdtemp(prefix="contrastmine-")
-    if not spark.sparkContext.getCheckpointDir():
-        spark.sparkContext.setCheckpointDir(found)
-    return found.rstrip("/")
+def files_for(rows: int, per_file: int = 100_000, most_rows: int = 5_000_000) -> int | None:
+    """Files for a table of so many short rows: few for a small one, and its own partitions (None) for a large one."""
+    return None if rows > most_rows else max(1, -(-rows // per_file))
 
 
-def fresh_path(spark: SparkSession, label: str) -> str:
-    return f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+def join_by_size(left: DataFrame, right: DataFrame, key: str, rows: str, total: int, most: int = 10_000) -> DataFrame:
+    """Inner join with a table of one row a key, that knows in column `rows` how many rows of `left` have the key; `total` is their sum.
 
-
-def few_files(df: DataFrame) -> DataFrame:
-    """Deal a small result over an eighth of the shuffle partitions, so that writing it makes few files; what made it keeps all its tasks."""
-    return df.repartition(max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 8))
-
-
-def materialise(df: DataFrame, wide: bool = False) -> DataFrame:
-    """Cut the lineage with a reliable checkpoint in the shared folder. wide: the rows hold texts, and stay where they are."""
-    shared_dir(df.sparkSession)
-    return (df if wide else few_files(df)).checkpoint(eager=True)
-
-
-def stored(df: DataFrame, label: str, wide: bool = True) -> DataFrame:
-    """Write a table to the shared folder as compressed Parquet and read it back; unlike a checkpoint, it has a known size."""
-    path = fresh_path(df.sparkSession, label)
-    (df if wide else few_files(df)).write.option("compression", "zstd").parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    Keys with more than total / most rows are less than `most`, so theirs are joined by broadcast and no task gathers
+    them; all others meet in a shuffle. Both sides should be stored, as each is read twice."""
+    bound = max(1000, total // most)
+    hot, cold = right.where(F.col(rows) > bound), right.where(F.coalesce(F.col(rows), F.lit(0)) <= bound)
+    if not hot.limit(1).count():
+        return left.join(cold, key)
+    return left.join(F.broadcast(hot), key).unionByName(left.join(F.broadcast(hot.select(key)), key, "left_anti").join(cold, key))
 
 
 def worker_state(name: str) -> dict:
@@ -82,11 +71,17 @@ def worker_state(name: str) -> dict:
     return kept[name]
 
 
-def tidy(work):
-    """The same map over batches, that hands free memory back to the machine when its task ends."""
+def tidy(work, rows: int = 2000):
+    """The same map over batches, which come in slices of at most so many rows, and which hands free memory back to the machine when its task ends."""
+
+    def slices(frames):
+        for f in frames:
+            n = len(f) if hasattr(f, "iloc") else f.num_rows
+            for a in range(0, n, rows):
+                yield f.iloc[a : a + rows] if hasattr(f, "iloc") else f.slice(a, rows)
 
     def run(frames):
-        yield from work(frames)
+        yield from work(slices(frames))
         import ctypes
 
         import pyarrow as pa

@@ -20,7 +20,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, file_system, fresh_path, materialise, small_batches, tidy, to_frame, whole
+from .shared import clean_text, file_system, fresh_path, stored, tidy, to_frame, whole
 from .tokens import batches, encoder
 
 MAGIC = b"CMSSTAB1"
@@ -178,7 +178,7 @@ def write_shards(docs: DataFrame, folder: str, tokenizer_path: str, end_id: int
     writes under a name of its own, so a retried or doubled task leaves a file that no manifest row names.
     Null text is empty, null doc_id comes first, an empty table gives an empty manifest, other columns are ignored.
     """
-    ordered = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text")).withColumn("tie", F.xxhash64("text"))
+    ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text")).withColumn("tie", F.xxhash64("text"))
     ordered = ordered.repartitionByRange(F.col("doc_id").asc_nulls_first(), "tie").sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "tie").drop("tie")
 
     def write(frames):
@@ -203,7 +203,7 @@ def write_shards(docs: DataFrame, folder: str, tokenizer_path: str, end_id: int
             path = name if "://" not in folder and not folder.startswith("file:") else folder.rstrip("/") + name[len(base) :]
             yield to_frame([(TaskContext.get().partitionId(), path, writer.entries, writer.total, first, writer.last, size)], MANIFEST)
 
-    return materialise(ordered.mapInPandas(tidy(write), MANIFEST))
+    return stored(ordered.mapInPandas(tidy(write), MANIFEST), "manifest")
 
 
 def open_shard(path: str) -> ShardReader:
@@ -249,7 +249,10 @@ def lookup(manifest: DataFrame, doc_ids: list[int | None]) -> dict[int | None, l
 
 
 def token_shards(docs: DataFrame, tokenizer_path: str, end_id: int = 2, folder: str | None = None) -> DataFrame:
-    """Write all documents as shards and return what the files say about each."""
+    """Write all documents as shards and return what the files say about each: (doc_id, start, n_tokens, ids_crc32).
+
+    Null texts are empty and have their end id only; null ids come first; rows that repeat an id are entries of their own,
+    in order of a hash of the text; an empty table gives none; other columns are ignored."""
     return read_shards(write_shards(docs, folder or fresh_path(docs.sparkSession, "token-shards"), tokenizer_path, end_id))
 
 

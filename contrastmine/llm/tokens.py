@@ -2,12 +2,14 @@
 
 The tokenizer drops white space before it splits words, and no word spans a blank, so a text's ids are those of its
 pieces in order. Texts are split and numbered by piece in Arrow; each distinct piece is encoded once per worker and
-batch. Pieces of ASCII and Latin-1 letters, digits and marks, most of any text here, are lower-cased and split as the
+batch. This is used only for a file whose normaliser and splitter are those stated below; with any other, whole texts go
+to the library. Pieces of ASCII and Latin-1 letters, digits and marks, most of any text here, are lower-cased and split as the
 library's normaliser and splitter would, and go to its model straight; all others take its whole path. The cache is emptied when it holds `limit`
 pieces, which changes the speed only."""
 
 from __future__ import annotations
 
+import json
 import os
 import re
 from array import array
@@ -20,6 +22,22 @@ from .shared import worker_state
 PLAIN = re.compile("[!-&(-;=-~À-ÖØ-öø-ÿ]+")
 PARTS = re.compile("[a-zß-öø-ÿ]+|[0-9]|[^a-zß-öø-ÿ0-9]+")
 
+# The normaliser and splitter that the split at blanks and the direct way to the model are right for.
+NORMALIZER = {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": r"\s+"}, "content": " "}, {"type": "Lowercase"}]}
+SPLITTER = {
+    "type": "Sequence",
+    "pretokenizers": [
+        {"type": "Split", "pattern": {"Regex": r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"}, "behavior": "Removed", "invert": True},
+        {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False},
+    ],
+}
+
+
+def known_form(told: dict) -> bool:
+    """Whether a tokenizer file, read as JSON, has that normaliser and splitter, a plain pair model, and no added token that a blank or a plain piece can meet."""
+    model = told["model"]
+    return told["normalizer"] == NORMALIZER and told["pre_tokenizer"] == SPLITTER and model["type"] == "BPE" and not model.get("dropout") and all(t["content"].startswith("<") and " " not in t["content"] for t in told["added_tokens"])
+
 
 def byte_letters() -> list[str]:
     """The printable character that byte-level vocabularies write for each byte: itself where printable, else the next free one from 256 on."""
@@ -34,6 +52,8 @@ class PieceEncoder:
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         self.tokenizer = Tokenizer.from_file(path)
+        with open(path, encoding="utf-8") as f:
+            self.by_piece = known_form(json.load(f))
         self.limit = limit
         self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
         self.code = "H" if self.kind.itemsize == 2 else "I"
@@ -70,6 +90,9 @@ class PieceEncoder:
 
         if not len(texts):
             return []
+        if not self.by_piece:
+            last = [] if end is None else [end]
+            return [np.array(e.ids + last, self.kind) for e in self.tokenizer.encode_batch(list(texts), add_special_tokens=False)]
         pieces = pc.split_pattern(pc.replace_substring(pa.array(texts, pa.large_string()), "\n", " "), " ")
         coded = pieces.values.dictionary_encode()
         if len(self.cache) > self.limit:

@@ -14,7 +14,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_text, drawn_share, held_out, materialise, small_batches, tidy, to_frame, whole, worker_state
+from .shared import clean_text, drawn_share, held_out, stored, tidy, to_frame, whole, worker_state
 from .tokens import batches
 from .words import numbered
 
@@ -22,7 +22,7 @@ from .words import numbered
 REPORTING = frozenset("said says wrote writes called calls quote quoted word term reported alleged dit disait mot citation sagte schrieb zitat wort dijo escribio cita palabra".split())
 ADDRESS = frozenset("you your youre u tu vous ton votre du dich dein ihr euch usted tus vosotros".split())
 QUOTES = "\"'“”„«»‹›‘’`"
-WINDOW, REACH = 5, 100  # words of context on each side, and the characters they are sought in
+WINDOW = 5  # words of context on each side
 WORD = re.compile(r"[^\W_]+")
 SCORES = "doc_id long, held_out boolean, score double, hits long, quoted long"
 
@@ -128,11 +128,11 @@ def training_rows(docs: DataFrame, labels: DataFrame, most: int) -> DataFrame:
     The ids go to the documents by broadcast: about `most` of them at most."""
     marked = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("toxic").cast("int").alias("toxic"))
     chosen = marked.where(drawn_share(min(1.0, most / max(1, marked.count())), "doc_id"))
-    texts = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"))
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"))
     return texts.join(F.broadcast(chosen), "doc_id").select("text", "toxic")
 
 
-def fit_lexicons(train: DataFrame, surroundings: int = 3, precision: float = 0.8, evidence: float = 18.0, most_terms: int = 20_000) -> tuple[dict[str, float], dict[str, float]]:
+def fit_lexicons(train: DataFrame, surroundings: int = 3, precision: float = 0.8, evidence: float = 18.0) -> tuple[dict[str, float], dict[str, float]]:
     """Terms learned from all rows, and from those that are not `rest`: the weight (log-odds, in documents) of each.
 
     A term stands in so many surroundings of toxic documents at least; of the documents with it, so large a share is
@@ -145,7 +145,7 @@ def fit_lexicons(train: DataFrame, surroundings: int = 3, precision: float = 0.8
     counts = listed.select("toxic", "part", F.explode(F.array_distinct("w")).alias("word")).groupBy("word").agg(
         F.sum("toxic").alias("t_all"), F.sum(1 - F.col("toxic")).alias("c_all"), F.sum(F.col("toxic") * F.col("part")).alias("t_part"), F.sum((1 - F.col("toxic")) * F.col("part")).alias("c_part")
     )
-    joined = materialise(counts.where((F.col("t_all") >= 2) & (F.length("word") >= 3)).join(frequent, "word"))
+    joined = stored(counts.where((F.col("t_all") >= 2) & (F.length("word") >= 3)).join(frequent, "word"), "terms")  # words of the bounded sample
     shares = train.agg(F.avg("toxic").alias("all"), F.avg(F.when(~F.col("rest"), F.col("toxic"))).alias("part")).first()
     found = []
     for name in ("all", "part"):
@@ -155,11 +155,31 @@ def fit_lexicons(train: DataFrame, surroundings: int = 3, precision: float = 0.8
             continue
         ratio = 2 * (t * F.log(t / (t + c) / base) + F.when(c > 0, c * F.log(c / (t + c) / (1 - base))).otherwise(0.0))
         strong = joined.where((F.col(f"ctx_{name}") >= surroundings) & (t > 0)).where((t >= precision * (t + c)) & (ratio >= evidence))
-        rows = strong.select("word", t.alias("t"), c.alias("c")).orderBy(F.desc("t"), "word").limit(most_terms).collect()
+        rows = strong.select("word", t.alias("t"), c.alias("c")).orderBy(F.desc("t"), "word").collect()
         found.append({r.word: float(np.log((r.t + 0.5) / (r.c + 0.5))) for r in rows})
     return found[0], found[1]
 
 
+def words_before(text: str, a: int, n: int = WINDOW) -> list[str]:
+    """The last n words that end before a place, however long they are."""
+    reach = 64
+    while True:
+        found = WORD.findall(text, max(0, a - reach), a)
+        if len(found) > n or reach >= a:  # one more than needed, as the first may be cut
+            return found[-n:]
+        reach *= 4
+
+
+def words_after(text: str, b: int, n: int = WINDOW) -> list[str]:
+    """The first n words that begin after a place."""
+    out = []
+    for m in WORD.finditer(text, b):
+        out.append(m.group())
+        if len(out) == n:
+            break
+    return out
+
+
 class Scorer:
     """Evidence of a text: sums over its hits of exact terms, misspelt ones, and hits in quotation."""
 
@@ -168,7 +188,7 @@ class Scorer:
         self.trie = FuzzyTrie(terms)
 
     def hit(self, word: str) -> tuple[str, int] | None:
-        found = self.trie.match(word) if 2 < len(word) < 60 else None
+        found = self.trie.match(word) if len(word) > 2 else None
         return None if found and found[1] and word in self.ordinary else found
 
     def evidence(self, text: str, words: frozenset[str]) -> tuple[float, float, float, int, int]:
@@ -182,7 +202,7 @@ class Scorer:
             if not found:
                 continue
             a, b = m.span()
-            near = {*WORD.findall(low[max(0, a - REACH) : a])[-WINDOW:], *WORD.findall(low[b : b + REACH])[:WINDOW]}
+            near = {*words_before(low, a), *words_after(low, b)}
             weight = self.terms[found[0]] * (1.25 if near & ADDRESS else 1.0)
             hits += 1
             if (a and low[a - 1] in QUOTES and low[b : b + 1] and low[b] in QUOTES) or near & REPORTING:
@@ -277,37 +297,22 @@ def fit(docs: DataFrame, labels: DataFrame, most_rows: int = 200_000) -> Toxicit
 
     Weights are found with terms learned from seven tenths of the texts and measured on the rest; the terms are then
     learned from all."""
-    train = materialise(training_rows(docs, labels, most_rows).withColumn("rest", F.pmod(F.xxhash64("text"), F.lit(10)) >= 7), wide=True)
+    train = stored(training_rows(docs, labels, most_rows).withColumn("rest", F.pmod(F.xxhash64("text"), F.lit(10)) >= 7), "training")
     every, part = fit_lexicons(train)
     ordinary, ordinary_part = ordinary_words(train, (every, part))
     return ToxicityModel(every, ordinary, calibrate(train.where("rest"), part, ordinary_part))
 
 
-def score(docs: DataFrame, model: ToxicityModel, keep: bool = False) -> DataFrame:
-    """(doc_id, held_out, score, hits, quoted) per document, or with keep=True all columns and _score.
-
-    Null and empty texts have no hit and the score of such; null ids are kept; repeated rows score alike; an empty table
-    gives none; columns named like the added ones are not touched unless keep=True is asked for, which adds _score only."""
-    terms, ordinary, weights = model.terms, model.ordinary, model.weights
-
-    def probability(rows):
-        return 1 / (1 + np.exp(-np.clip(features(rows) @ weights, -30, 30)))
-
-    if keep:
-        from pyspark.sql.types import DoubleType, StructType
-
-        schema = StructType([*docs.schema.fields]).add("_score", DoubleType())
+def probability(rows, weights: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(features(rows) @ weights, -30, 30)))
 
-        def extend(tables):
-            import pyarrow as pa
 
-            scorer = scorer_of(terms, ordinary)
-            for batch in tables:
-                texts = [t or "" for t in batch.column(batch.schema.get_field_index("text")).to_pylist()]
-                p = np.concatenate([np.zeros(0), *(probability(scorer.of_texts(texts[a:b])) for a, b in batches(texts, 4_000_000))])
-                yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(p, pa.float64())], names=[*batch.schema.names, "_score"])
+def score(docs: DataFrame, model: ToxicityModel) -> DataFrame:
+    """(doc_id, held_out, score, hits, quoted) per document: one map over the rows.
 
-        return small_batches(docs).mapInArrow(tidy(extend), schema)
+    Null and empty texts have no hit and the score of such; null ids are kept; repeated rows score alike; an empty table
+    gives none; other columns are ignored."""
+    terms, ordinary, weights = model.terms, model.ordinary, model.weights
 
     def work(frames):
         scorer = scorer_of(terms, ordinary)
@@ -315,15 +320,34 @@ def score(docs: DataFrame, model: ToxicityModel, keep: bool = False) -> DataFram
             texts, keys, held = frame["text"].tolist(), whole(frame["doc_id"]), frame["held_out"].tolist()
             for a, b in batches(texts, 4_000_000):
                 rows = scorer.of_texts(texts[a:b])
-                yield to_frame([(k, h, float(p), n, q) for k, h, p, (*_, n, q) in zip(keys[a:b], held[a:b], probability(rows), rows, strict=True)], SCORES)
+                yield to_frame([(k, h, float(p), n, q) for k, h, p, (*_, n, q) in zip(keys[a:b], held[a:b], probability(rows, weights), rows, strict=True)], SCORES)
 
-    chosen = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"), held_out().alias("held_out"))
+    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), clean_text().alias("text"), held_out().alias("held_out"))
     return chosen.mapInPandas(tidy(work), SCORES)
 
 
 def classify(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:
+    """(doc_id, held_out, score, hits, quoted, predicted): learn from the labelled rows outside the held-out fold, score every document.
+
+    Without labels of both classes no term is learned and all scores are low. Labels with a null id or mark are ignored,
+    and of several labels of one id the toxic one counts; for documents the cases are those of score()."""
     return score(docs, fit(docs, labels)).withColumn("predicted", (F.col("score") >= threshold).cast("int"))
 
 
 def drop_toxic(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:
-    return score(docs, fit(docs, labels), keep=True).where(F.col("_score") < threshold).drop("_score")
+    """Documents below the threshold, with all their columns: one map over the rows, which adds no column, so names cannot clash.
+
+    Null and empty texts have the score of no hit and stay; repeated rows go or stay alike; an empty table gives none."""
+    model, place = fit(docs, labels), docs.columns.index("text")
+    terms, ordinary, weights = model.terms, model.ordinary, model.weights
+
+    def calm(tables):
+        import pyarrow as pa
+
+        scorer = scorer_of(terms, ordinary)
+        for batch in tables:
+            texts = [t or "" for t in batch.column(place).to_pylist()]
+            p = np.concatenate([np.zeros(0), *(probability(scorer.of_texts(texts[a:b]), weights) for a, b in batches(texts, 4_000_000))])
+            yield batch.filter(pa.array(p < threshold, pa.bool_()))
+
+    return docs.mapInArrow(tidy(calm), docs.schema)

@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .shared import materialise
+from .shared import join_by_size, stored
 
 # The rules of the contract.
 RULES = (("allow", "org/"), ("block", "example.org/es/"), ("block", "example.org/en/1"), ("allow", "com/fr/"), ("block", "com/de/"))
@@ -82,7 +82,7 @@ def link_edges(pages: DataFrame) -> DataFrame:
 
 
 def judge(pages: DataFrame, rules=RULES, redirects: DataFrame | None = None) -> DataFrame:
-    """(page_id, host, path, rule, verdict, alias_group_blocked) of every page.
+    """(page_id, host, path, rule, verdict, alias_blocked) of every page; alias_blocked tells whether its group of aliases is blocked.
 
     redirects: further (from_url, to_url) rows. A null url, or one without ://, has an empty host and path, no alias and
     the verdict allow. Repeated rows are judged alike; an empty table gives none; other columns are ignored."""
@@ -93,15 +93,31 @@ def judge(pages: DataFrame, rules=RULES, redirects: DataFrame | None = None) ->
     if redirects is not None:
         edges = edges.unionByName(redirects.select(F.col("from_url").alias("a"), F.col("to_url").alias("b")))
     shared = edges.groupBy("b").agg(F.min("a").alias("least"), F.max("a").alias("most")).where((F.col("least") != F.col("most")) | ~F.col("b").startswith("="))
-    useful = materialise(edges.join(shared.select("b"), "b", "left_semi"))  # a spelling of one page only links nothing
+    useful = edges.join(shared.select("b"), "b", "left_semi")  # a spelling of one page only links nothing
     groups = connected_components(useful)
     named = groups.where(~F.col("node").startswith("=")).withColumn("v", verdict_of[rule(F.col("node"))])
-    decided = named.groupBy("component").agg(F.max(F.coalesce(F.col("v") == "block", F.lit(False))).alias("blocked"), F.max(F.coalesce(F.col("v") == "allow", F.lit(False))).alias("allowed")).where("blocked and not allowed").select("component")
-    spread = groups.join(decided, "component", "left_semi").select(F.col("node").alias("url"), F.lit(True).alias("spread"))
+    flags = named.groupBy("component").agg(F.count(F.lit(1)).alias("nodes"), F.max(F.coalesce(F.col("v") == "block", F.lit(False))).alias("blocked"), F.max(F.coalesce(F.col("v") == "allow", F.lit(False))).alias("allowed"))
+    decided = stored(flags.where("blocked and not allowed").select("component", "nodes"), "blocked")
+    spread = join_by_size(named.select("node", "component"), decided, "component", "nodes", max(1, named.count())).select(F.col("node").alias("url"))
+    pages_of = base.where("url is not null").groupBy("url").agg(F.count(F.lit(1)).alias("rows"))
+    spread = stored(spread.join(pages_of, "url").withColumn("spread", F.lit(True)), "aliases")
     judged = base.select("page_id", "url", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"), rule(F.col("url")).alias("rule"))
-    joined = judged.join(spread, "url", "left")
+    if not spread.limit(1).count():
+        joined = judged.withColumn("spread", F.lit(False))
+    else:  # rows that an alias blocks meet it by size; the others are told by a semi join's opposite, which needs no row of theirs twice
+        hit = join_by_size(judged, spread, "url", "rows", max(1, base.count())).drop("rows")
+        rest = without_keys(judged, spread.select("url", "rows"), "url").withColumn("spread", F.lit(False))
+        joined = hit.unionByName(rest)
     return joined.select(
         "page_id", "host", "path", "rule",
-        F.when(F.col("rule").isNotNull(), verdict_of[F.col("rule")]).when(F.coalesce("spread", F.lit(False)), "block").otherwise("allow").alias("verdict"),
-        F.coalesce("spread", F.lit(False)).alias("alias_blocked"),
+        F.when(F.col("rule").isNotNull(), verdict_of[F.col("rule")]).when(F.col("spread"), "block").otherwise("allow").alias("verdict"),
+        F.col("spread").alias("alias_blocked"),
     )
+
+
+def without_keys(left: DataFrame, right: DataFrame, key: str, salts: int = 16) -> DataFrame:
+    """Rows whose key is null or not in `right`. The key that many rows share is spread over salts, and the short list repeated for each."""
+    salted = left.withColumn("_salt", F.pmod(F.xxhash64(*left.columns), F.lit(salts)))
+    listed = right.select(F.col(key)).withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1)))).withColumn("_salt", F.col("_salt").cast("long"))
+    nameless = left.where(F.col(key).isNull())
+    return salted.where(F.col(key).isNotNull()).join(listed, [key, "_salt"], "left_anti").drop("_salt").unionByName(nameless)

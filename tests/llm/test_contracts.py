@@ -119,16 +119,60 @@ def test_secrets_without_digits_short_and_beside_patterns(spark, docs):
     assert samples.where("random = 1 and token = 'Tr0ub4dor_x9'").count() == 1
 
 
-def test_pii_terms_and_sanitising(spark):
-    rows = [(i, f"w{chr(97 + i)}one zephyrine q{chr(97 + i)}two bob@mail.com filler{chr(97 + i)}x") for i in range(6)] + [(100 + i, f"plain words {chr(97 + i % 26)}aa bbb common text") for i in range(600)]
+def near_terms(rows, reach, bits, share):
+    """Terms that reveal an entity, by the definition."""
+    words = lambda t: [(m.start(), m.end(), m.group().lower()) for m in re.finditer(r"[^\W\d_]{3,}", t)]
+    both, used, holding = {}, {}, {}
+    for _, t in rows:
+        spans = sorted((m.start(), m.end(), f"{k}:{m.group().lower()}") for k, ms in pii_base(t).items() for m in ms)
+        for w in {w for *_, w in words(t)}:
+            used[w] = used.get(w, 0) + 1
+        for e in {e for *_, e in spans}:
+            holding[e] = holding.get(e, 0) + 1
+        pairs = set()
+        for a, b, e in spans:
+            left, right = a, b
+            for x, y, _ in spans * 2:  # overlapping spans are one stretch
+                if x < right and y > left:
+                    left, right = min(left, x), max(right, y)
+            free = [(x, y, w) for x, y, w in words(t) if not any(x < v and y > u for u, v, _ in spans)]
+            edges = []
+            for x, y, _ in spans:  # another stretch counts as a word
+                if edges and x < edges[-1][1]:
+                    edges[-1] = (edges[-1][0], max(edges[-1][1], y), None)
+                else:
+                    edges.append((x, y, None))
+            free = sorted(free + edges, key=lambda f: f[:2])
+            pairs |= {(e, w) for *_, w in [f for f in free if f[1] <= left][-reach:] + [f for f in free if f[0] >= right][:reach] if w}
+        for p in pairs:
+            both[p] = both.get(p, 0) + 1
+    n = len(rows)
+    return {(e, w): round(float(np.log2(n * k / (used[w] * holding[e]))), 6) for (e, w), k in both.items() if np.log2(n * k / (used[w] * holding[e])) >= bits and k / used[w] >= share}
+
+
+def test_pii_terms_against_brute_force(spark, docs):
+    letters = [f"{chr(97 + i % 26)}more words of letter n{chr(97 + i % 26)}x kind regards Anna Berg anna@x.com and so on" for i in range(40)]  # one surrounding in all letters
+    rows = [(i, t) for i, t in enumerate(letters)] + [(100 + i, f"kind regards and so on plain{chr(97 + i % 26)} words aaa bbb common text") for i in range(900)] + [(2000, "Zephyrine, 10.1.2.3 quixotry"), (2001, None), (None, "10.1.2.3"), (2002, "x 1.2.3.4, 1.2.3.4 +1 23 45 67 89 0@a.bc zzz")]
+    rows += [(9000, f"{i}") for i in range(10)]
     df = spark.createDataFrame(rows, "doc_id long, text string")
-    terms = pii.revealing_terms(df).collect()
-    assert [(r.entity, r.term, r.share) for r in terms] == [("email:bob@mail.com", "zephyrine", 1.0)]
-    out = {r.doc_id: r for r in pii.personal_digest(df).collect()}
-    assert out[0].n_term == 1 and out[0].spans.startswith("email:") and ",term:6:15" in out[0].spans and out[100].n_term == 0
-    assert pii.sanitised(df).where("doc_id = 0").first().text == "waone <personal> qatwo <personal> fillerax"
-    copies = spark.createDataFrame([(i, "rare words surround ann@mail.com in every copy" + "!" * i) for i in range(9)] + rows[6:], "doc_id long, text string")
-    assert pii.revealing_terms(copies).count() == 0
+    for case, bits in ((df, 4.5), (docs, 7.0)):
+        mine = [(i, t) for i, t in rows_of(case)]
+        got = {(r.entity, r.term): r.bits for r in pii.revealing_terms(case, bits=bits).collect()}
+        assert got == near_terms(mine, pii.REACH, bits, pii.SHARE) and len(got) > 3
+    got = {(r.entity, r.term) for r in pii.revealing_terms(df, bits=4.5).collect()}
+    assert {("email:anna@x.com", "anna"), ("email:anna@x.com", "berg"), ("ip:10.1.2.3", "zephyrine")} <= got and not any(t in ("kind", "regards", "common") for _, t in got)
+    out = {r.doc_id: r for r in pii.personal_digest(df, bits=4.5).collect()}
+    assert out[0].n_term >= 2 and out[100].n_term == 0 and out[100].sanitised_sha256 is None
+    clear = {r.doc_id: r.text for r in pii.sanitised(df, bits=4.5).collect()}
+    assert "Anna" not in clear[0] and "Berg" not in clear[0] and "anna@x.com" not in clear[0] and clear[0].endswith("<personal> and so on") and clear[100] == rows[40][1] and clear[2001] == ""
+    assert hashlib.sha256(clear[0].encode()).hexdigest() == out[0].sanitised_sha256
+    assert {r.doc_id: r.n_term for r in pii.personal_digest(df, bits=4.5, least_texts=50).collect()}[0] == 0
+
+
+def test_pii_of_a_text_that_a_third_of_the_rows_repeat(spark):
+    rows = [(i, "call Quentin at q@hot.com now") for i in range(3000)] + [(10000 + i, f"call someone{i % 3} at a{i}@b.com") for i in range(1500)] + [(20000 + i, "plain text") for i in range(4500)]
+    got = pii.personal_digest(spark.createDataFrame(rows, "doc_id long, text string"), bits=1.0).collect()
+    assert len(got) == len(rows) and all(r.n_email == (r.doc_id < 20000) for r in got) and all(",term:5:12" in r.spans for r in got if r.doc_id < 3000) 
 
 
 def tokens_of(text, end):
@@ -220,6 +264,14 @@ def test_media(nasty, docs):
             p = raw + b"\0" * (max(64, -(-len(raw) // 64) * 64) - len(raw))
             want.append((i, len(raw), len(p), hashlib.sha256(p).hexdigest(), zlib.crc32(p[-64:])))
         assert order((r.doc_id, r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32) for r in got) == order(want)
+        by_digest = {hashlib.sha256(p).hexdigest(): p for _, t in rows_of(df) for p in [t.encode() + b"\0" * (max(64, -(-len(t.encode()) // 64) * 64) - len(t.encode()))]}
+        for r in got[:150]:  # features and tile by the definition: exact means over fractional areas
+            pixels = np.frombuffer(by_digest[r.payload_sha256], np.uint8).reshape(-1, 64).astype(float)
+            grid = lambda h, w: np.kron(pixels, np.ones((h, w))).reshape(h, len(pixels), w, 64).mean(axis=(1, 3))  # noqa: E731, B023
+            if len(pixels) <= 40:
+                small = np.floor(grid(8, 9) * 256 + 0.5)
+                tile = np.clip(np.floor(grid(16, 16) + 0.5), 0, 255).astype(np.uint8)
+                assert r.feature == np.packbits(small[:, :-1] < small[:, 1:]).tobytes().hex() and r.tile_sha256 == hashlib.sha256(tile.tobytes()).hexdigest() and r.preview_sha256 == hashlib.sha256(media.write_bmp(tile)).hexdigest()
         kinds = {}
         for r in got:
             assert kinds.setdefault(r.payload_sha256, (r.media_sha256, r.feature, r.media_bytes)) == (r.media_sha256, r.feature, r.media_bytes)
@@ -238,9 +290,10 @@ def test_image_codecs(spark, tmp_path):
     want = fine.reshape(6, 13, 8, 29).mean(axis=(1, 3))
     assert np.allclose(media.resize_area(x, 6, 8), want)
     df = spark.createDataFrame([(1, "abc"), (2, "z" * 500)], "doc_id long, text string")
-    tiles = media.write_tiles(media.to_media(df, form="bmp"), str(tmp_path / "tiles")).collect()
-    for r in tiles:
-        assert np.load(r.path)[r.row].shape == (32, 32)
+    for form in ("bmp", "pgm"):
+        tiles = media.write_tiles(media.to_media(df, form=form), str(tmp_path / f"tiles-{form}")).collect()
+        for r in tiles:
+            assert np.load(r.tile_path)[r.tile_row].shape == (16, 16)
 
 
 def test_chat_round_trip(spark, sf):
@@ -418,12 +471,222 @@ def test_toxicity(spark, nasty):
     assert all(got[k].held_out for k in held) and sum(r.held_out for r in got.values()) == len(held) + sum(zlib.crc32(str(k).encode()) % 4 == 2 for k in (1001, 1002, 1003, 1004))
     assert all(got[k].predicted == int(k % 5 == 0) for k in held)
     assert got[1001].hits == 1 and got[1001].score > got[1003].score and got[1002].quoted == 1 and got[1002].score < got[None].score and got[1003].predicted == 0
+    crowded = df.selectExpr("*", "1 as _score", "2 as score", "3 as held_out")
+    assert toxicity.drop_toxic(crowded, labels).columns == crowded.columns and toxicity.drop_toxic(crowded, labels).where("_score = 1 and score = 2").count() == toxicity.drop_toxic(df, labels).count()
     kept = toxicity.drop_toxic(df, labels)
     assert kept.columns == df.columns and kept.where("doc_id = 0").count() == 0 and kept.where("doc_id = 1").count() == 1
     assert toxicity.classify(nasty, labels.limit(0)).count() == nasty.count()
     assert toxicity.classify(df.limit(0), labels).count() == 0
 
 
+def plain_context(text, a, b):
+    """Words within five of a place, by the definition."""
+    words = [(m.start(), m.end(), m.group()) for m in re.finditer(r"[^\W_]+", text)]
+    return {w for *_, w in [x for x in words if x[1] <= a][-5:] + [x for x in words if x[0] >= b][:5]}
+
+
+def test_toxic_evidence_against_plain_windows():
+    """Long words, far context and long terms count: the windows are of words, not of characters."""
+    rng = np.random.default_rng(6)
+    terms = {"grubby": 2.0, "vileclown": 3.0, "w" * 70: 1.5}
+    scorer = toxicity.Scorer(terms)
+    fill = ["calm", "x" * 300, "said", "you", "tree", "q" * 90, "\"", "-", "émile"]
+    for _ in range(120):
+        words = rng.choice([*fill, *terms, "grubbx", "vilecl0wn", "w" * 69 + "x"], rng.integers(1, 14)).tolist()
+        text = " ".join(words)
+        want = [0.0, 0.0, 0.0]
+        for m in re.finditer(r"[^\W_]+", text):
+            near = [(edits(m.group(), t), t) for t in terms if abs(len(t) - len(m.group())) < 3 and edits(m.group(), t) <= toxicity.distance_for(t)]
+            if near:
+                e, t = min(near)
+                around = plain_context(text, m.start(), m.end())
+                w = terms[t] * (1.25 if around & toxicity.ADDRESS else 1.0)
+                quoted = (m.start() and text[m.start() - 1] in toxicity.QUOTES and text[m.end() : m.end() + 1] in [*toxicity.QUOTES]) or around & toxicity.REPORTING
+                want[2 if quoted else 1 if e else 0] += w if quoted or not e else w / (1 + e)
+        assert np.allclose(scorer.of_texts([text])[0][:3], want), text
+    assert toxicity.words_before("a " + "b" * 5000 + " c ", 5004) == ["a", "b" * 5000, "c"]
+
+
+def test_quotation_is_learned_from_labels(spark):
+    """Where clean documents quote the terms, evidence in quotation loses its weight; where toxic ones do, it keeps it."""
+    weights = {}
+    for toxic_quotes in (0, 1):
+        rows, marks = [], []
+        for k in range(900):
+            kind = k % 3
+            filler = " ".join(f"w{(k * 7 + j * j) % 211}" for j in range(12))
+            rows.append((k, f"{filler} vileclown w{k % 17} end" if kind == 0 else f'{filler} he said "vileclown" w{k % 13}' if kind == 1 else filler))
+            marks.append((k, 1 if kind == 0 else toxic_quotes if kind == 1 else 0))
+        model = toxicity.fit(spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(marks, "doc_id long, toxic int"))
+        weights[toxic_quotes] = model.weights
+        if not toxic_quotes:
+            terms = model.terms
+    assert weights[1][3] > 1 and (not terms or weights[0][3] < weights[0][1])
+
+
+def test_results_do_not_depend_on_names_or_settings(spark, nasty):
+    """Helper columns never meet those of the table, no secret leaves by them, and the session's settings stay."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    names = ["_text", "_assign", "_markov", "_access", "_hex", "_id", "_key", "_score", "_other", "fp", "class_id"]
+    rows = spark.createDataFrame([(1, "my password=hunter2222 here", *["kept"] * len(names)), (2, "plain words " * 9, *["kept"] * len(names))], "doc_id long, text string, " + ", ".join(f"`{n}` string" for n in names))
+    out = secret_scan.redact(rows).collect()
+    assert out[0].__fields__ == rows.columns and all(r[n] == "kept" for r in out for n in names) and "hunter2222" not in str(out)
+    bench = spark.createDataFrame([(1, "none of these words are there at all")], "item_id long, text string")
+    for kept in (decontaminate.drop_contaminated(rows, bench), jaccard.keep_one(rows)):
+        got = kept.collect()
+        assert kept.columns == rows.columns and len(got) == 2 and all(r[n] == "kept" for r in got for n in names)
+    assert spark.conf.get(key) == before
+
+
+def test_roles_come_back_as_they_were(spark):
+    rows = [(1, 0, "a\nb", "x"), (2, 0, "a b", "x"), (3, 0, "a<|lf|>b", "x"), (4, 0, "a<\\|lf|>\n<|im_end|>", "<|lf|>\n"), (5, 0, "assistant", "<"), (5, 1, "assistant", "\\|im_end|> <|lf|>"), (6, 0, "\n", "\n\n")]
+    got = {r.conv_id: r for r in chat.chat_digest(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()}
+    for k in range(1, 7):
+        mine = [(r, t) for c, _, r, t in rows if c == k]
+        said = "".join(t for r, t in mine if r == "assistant")
+        assert got[k].turns_sha256 == hashlib.sha256("".join(f"{r}\n{t}\n" for r, t in mine).encode()).hexdigest() and got[k].loss_sha256 == hashlib.sha256(said.encode()).hexdigest() and got[k].loss_chars == len(said)
+    assert len({got[k].turns_sha256 for k in (1, 2, 3)}) == 3
+    empty = spark.createDataFrame([], "conv_id long, turn long, role string, text string")
+    assert [r.conv_id for r in chat.chat_digest(empty).collect()] == [-1]
+
+
+def test_chat_twin_on_hostile_rows(spark, tmp_path):
+    import duckdb
+
+    rows = [(1, 0, "a\nb<|", "x <|im_end|>"), (1, 1, "assistant", "<\\\\| y"), (2, None, None, None), (3, 1, "a<|lf|>", "é👍"), (None, 1, "assistant", "z")]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    df.coalesce(1).write.parquet(str(tmp_path / "c"))
+    con = duckdb.connect()
+    con.execute(f"create view conversations as select * from '{tmp_path}/c/*.parquet'")
+    cur = con.execute(queries.ORACLE_SQL["op7_chat_format"])
+    names = [d[0] for d in cur.description]
+    assert order(tuple(r[n] for n in names) for r in chat.chat_digest(df).collect()) == order(cur.fetchall())
+
+
+def test_short_items_that_repeat_are_all_found(spark):
+    bench = spark.createDataFrame([(1, "two words"), (2, "Two, words!"), (3, "other")], "item_id long, text string")
+    df = spark.createDataFrame([(5, "two words"), (6, "two words more")], "doc_id long, text string")
+    assert order((r.doc_id, r.item_id) for r in decontaminate.contaminated(df, bench).collect()) == [(5, 1), (5, 2)]
+    assert [r.doc_id for r in decontaminate.drop_contaminated(df, bench).collect()] == [6]
+
+
+def test_decontamination_recall_against_exhaustive_alignment(spark, sf):
+    """Every document against every item, aligned whole, on real texts with planted edited copies: seeds lose few that count."""
+    rng = np.random.default_rng(12)
+    from contrastmine.llm.words import numbered
+
+    bench = [(r.item_id, r.text) for r in table(spark, sf, "benchmark").collect()]
+    base = [r.text for r in table(spark, sf, "documents").limit(60).collect()]
+    rows = []
+    for k in range(240):
+        words = bench[k % len(bench)][1].split()
+        for _ in range(rng.integers(0, max(1, len(words) // 3))):
+            at, act = rng.integers(len(words)), rng.integers(3)
+            words[at : at + 1] = [[f"new{k}"], [], [words[at], f"more{k}"]][act]
+            if not words:
+                words = ["gone"]
+        rows.append((k, base[k % len(base)][:1500] + " " + " ".join(words) + " " + base[(k + 1) % len(base)][:700]))
+    got = {(r.doc_id, r.item_id) for r in decontaminate.contaminated(spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(bench, "item_id long, text string")).collect()}
+    names, codes, bounds = numbered([t for _, t in bench] + [t for _, t in rows])
+    cut = [codes[a:b].astype(np.int32) for a, b in zip(bounds[:-1], bounds[1:])]
+    least = decontaminate.least_score(0.5, 40)
+    items, texts = cut[: len(bench)], cut[len(bench) :]
+    want = set()
+    for (i, _), item in zip(bench, items):
+        for (d, _), text in zip(rows, texts):
+            if 2 * len(np.intersect1d(item, text)) * 3 >= least(len(item)) and decontaminate.align(item, text)[0] >= least(len(item)):
+                want.add((d, i))
+    assert len(want) > 150 and got <= want and len(got & want) >= 0.9 * len(want), (len(got), len(want))
+
+
+def test_secret_model_on_held_out_tokens(spark, sf):
+    got = {r.random: r for r in secret_scan.model_accuracy(table(spark, sf, "documents")).collect()}
+    assert got[1].tokens > 1000 and got[1].found >= 0.97 * got[1].tokens and got[0].tokens > 500 and got[0].found <= 0.02 * got[0].tokens, got
+
+
+def test_log_ratio_spans_against_plain_model(spark, docs, nasty):
+    """The spans that the models add, by plain Python on the same ratios."""
+    df = nasty.select("doc_id", "text").unionByName(docs.select("doc_id", "text"))
+    ratios = secret_scan.log_ratios(secret_scan.labelled_samples(df))
+    at, n = {c: k for k, c in enumerate(secret_scan.ALPHABET)}, len(secret_scan.ALPHABET)
+    want = []
+    for i, t in rows_of(df):
+        free = list(t)
+        for ms in secret_base(t).values():
+            for m in ms:
+                a, b = (m.start(), m.end()) if m.re.groups < 2 else (m.start(2), m.end(2))
+                a = m.start()
+                free[a:b] = " " * (b - a)
+        mine = []
+        for m in re.finditer(r"[A-Za-z0-9+/_=-]{8,}", "".join(free)):
+            total = sum(ratios[at[x] * n + at[y]] for x, y in zip(m.group(), m.group()[1:]))
+            if total >= max(secret_scan.LEAST, 0.8 * (len(m.group()) - 1)):
+                mine.append(f"markov:{m.start()}:{m.end()}")
+        want.append((i, mine))
+    got = [(r.doc_id, [s for s in r.spans.split(",") if s.startswith("markov")]) for r in secret_scan.secret_digest(df).collect()]
+    assert order(got) == order(want)
+
+
+def test_another_tokenizer_takes_the_whole_path(tmp_path):
+    import json
+
+    from contrastmine.llm.tokens import PieceEncoder
+
+    told = json.load(open(queries.tokenizer_path(), encoding="utf-8"))
+    told["normalizer"] = None
+    (tmp_path / "other.json").write_text(json.dumps(told), encoding="utf-8")
+    texts = ["Hello  World it's 42", "", "a\nb É"]
+    enc = PieceEncoder(str(tmp_path / "other.json"))
+    assert not enc.by_piece and [e.tolist() for e in enc.encode(texts, 2)] == [e.ids + [2] for e in enc.tokenizer.encode_batch(texts, add_special_tokens=False)]
+    assert PieceEncoder(queries.tokenizer_path()).by_piece
+
+
+def test_hot_keys_are_spread_and_nothing_is_lost(spark):
+    from contrastmine.llm.components import connected_components
+    from contrastmine.llm.shared import join_by_size, spare
+
+    left = spark.range(9000).selectExpr("id", "if(id < 3000, 7, id % 500 + 1000) as k")
+    right = left.groupBy("k").count().withColumnRenamed("count", "rows").where("k <> 1001")
+    joined = join_by_size(left, right, "k", "rows", 9000, most=3)
+    assert joined.count() == left.where("k <> 1001").count() and joined.where("k = 7").count() == 3000
+    star = spark.range(1, 6000).selectExpr("0 as a", "id as b").unionByName(spark.range(6000, 6050).selectExpr("id as a", "id + 1 as b"))
+    got = {r.component: r.n for r in connected_components(star).groupBy("component").agg({"node": "count"}).withColumnRenamed("count(node)", "n").collect()}
+    assert got == {0: 6000, 6000: 51}
+    assert spare(["A", "b_"], "a", "b", "c") == ["a_", "b", "c"]
+
+
+def test_many_pages_of_one_address(spark):
+    link = '<link rel="canonical" href="http://q.com/de/1">'
+    rows = [(k, "http://hot.net/x", link) for k in range(2500)] + [(5000 + k, None, None) for k in range(2500)] + [(9000 + k, f"http://n{k}.net/", None) for k in range(500)] + [(9900, "http://q.com/de/1", "")]
+    got = url_filter.judge(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    assert len(got) == len(rows) and all((r.verdict == "block") == (r.page_id < 2500 or r.page_id == 9900) for r in got) and all(r.alias_blocked == (r.page_id < 2500 or r.page_id == 9900) for r in got)
+
+
+def test_pipeline_leaves_its_result_only(spark, sf):
+    import os
+
+    import corpus_pipeline
+    from contrastmine.llm.shared import shared_dir
+
+    base = shared_dir(spark).removeprefix("file:")
+    before = set(os.listdir(base))
+    corpus_pipeline.run(spark, sf)
+    assert [n.split("-")[1] for n in set(os.listdir(base)) - before] == ["packing"]
+
+
+def test_loss_limit_binds_in_packing(spark, docs):
+    got = packing.pack_answers(docs.coalesce(1), queries.tokenizer_path()).collect()
+    by = {}
+    for r in got:
+        by.setdefault(r.sequence_id, []).append(r)
+        first = int(packing.PROMPT_SHARE * r.doc_tokens)
+        assert r.loss_tokens == max(0, r.start + r.length - max(r.start, first))
+    loss = [sum(r.loss_tokens for r in b) for b in by.values()]
+    tokens = sum(r.length for r in got)
+    assert max(loss) <= packing.ANSWERS.loss < packing.ANSWERS.tokens and any(x == packing.ANSWERS.loss for x in loss) and len(by) * 2048 <= 1.02 * tokens + 2048
+
+
 def test_empty_tables(spark, docs):
     none = docs.limit(0)
     path = queries.tokenizer_path()
