@@ -6,27 +6,32 @@ from pyspark.sql import DataFrame, SparkSession
 
 from contrastmine.llm import decontaminate, jaccard, packing, secret_scan, toxicity
 from contrastmine.llm.queries import tokenizer_path
-from contrastmine.llm.shared import fresh_path, table
+from contrastmine.llm.shared import clear_scratch, fresh_path, scratch_mark, table
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Without the documents that the toxicity model rejects; null and empty texts stay, repeated rows go or stay alike."""
     return toxicity.drop_toxic(docs, table(spark, sf_dir, "labels"))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The document with the least id of each group of near copies; texts without words are copies of each other, and each text without an id stays once."""
     return jaccard.keep_one(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Without the documents that hold a benchmark item, edited or not; null and empty texts stay."""
     return decontaminate.drop_contaminated(docs, table(spark, sf_dir, "benchmark"))
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents, with secrets in their texts replaced by a mark; null texts stay null."""
     return secret_scan.redact(docs)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return packing.pack_documents(docs, tokenizer_path()).drop("loss_tokens")
+    """One row per piece of every document; a null text is its end id only, repeated rows are packed like any other."""
+    return packing.pack_answers(docs, tokenizer_path())
 
 
 STAGES = [
@@ -39,12 +44,16 @@ STAGES = [
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages in order; each result is written as Parquet to the shared folder and read again."""
+    """All stages in order; each result is written as Parquet to the shared folder and read again.
+
+    When a stage is written, its intermediate tables and its input, if an earlier stage wrote it, are deleted."""
     docs = table(spark, sf_dir, "documents")
+    begin = scratch_mark()
     for name, stage in STAGES:
         path = fresh_path(spark, f"stage-{name}")
         stage(spark, docs, sf_dir).write.parquet(path)
         docs = spark.read.parquet(path)
+        clear_scratch(spark, begin, keep=(path,))
     return docs
 
 
