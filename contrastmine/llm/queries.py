@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from . import chat, decontaminate, jaccard, media, packing, pii, secret_scan, sstable, toxicity, url_filter
 from .oracles import chat_sql, url_sql
-from .shared import table
+from .shared import table, worker_batches
 
 
 def tokenizer_path() -> str:
@@ -15,8 +15,13 @@ def tokenizer_path() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
+def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    worker_batches(spark)
+    return table(spark, sf_dir, "documents")
+
+
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return toxicity.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    return toxicity.classify(documents(spark, sf_dir), table(spark, sf_dir, "labels"))
 
 
 def op2_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -24,19 +29,19 @@ def op2_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return sstable.token_shards(table(spark, sf_dir, "documents"), tokenizer_path())
+    return sstable.token_shards(documents(spark, sf_dir), tokenizer_path())
 
 
 def op4_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return jaccard.jaccard_classes(table(spark, sf_dir, "documents"))
+    return jaccard.jaccard_classes(documents(spark, sf_dir))
 
 
 def op5_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return media.text_media(table(spark, sf_dir, "documents"))
+    return media.text_media(documents(spark, sf_dir))
 
 
 def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return packing.pack_answers(table(spark, sf_dir, "documents"), tokenizer_path())
+    return packing.pack_answers(documents(spark, sf_dir), tokenizer_path())
 
 
 def op7_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -52,7 +57,7 @@ def op9_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return decontaminate.contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return decontaminate.contaminated(documents(spark, sf_dir), table(spark, sf_dir, "benchmark"))
 
 
 QUERIES = {f.__name__: f for f in (op1_toxicity, op2_url_filter, op3_token_shards, op4_jaccard_join, op5_media_columns, op6_packing, op7_chat_format, op8_pii, op9_secret_scan, op10_decontaminate)}

@@ -32,6 +32,15 @@ def drawn_share(share: float, *columns: str) -> Column:
     return F.pmod(F.xxhash64(*columns, F.lit("drawn")), F.lit(1 << 30)) < int(share * (1 << 30))
 
 
+def worker_batches(spark: SparkSession, rows: int = 2000) -> None:
+    """Let texts go to Python workers in batches of at most so many rows, which bounds the buffers beside the heap.
+
+    A setting of the session, so a choice for applications: the driver's queries and the pipeline make it, operators do not."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= rows:
+        spark.conf.set(key, rows)
+
+
 def spare(columns, *names: str) -> list[str]:
     """The names, lengthened until none is a column already, whatever its case."""
     taken = {c.lower() for c in columns}
