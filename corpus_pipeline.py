@@ -6,21 +6,24 @@ from pyspark.sql import DataFrame, SparkSession
 
 from contrastmine.llm import decontaminate, jaccard, packing, secret_scan, toxicity
 from contrastmine.llm.queries import tokenizer_path
-from contrastmine.llm.shared import clear_scratch, fresh_path, scratch_mark, table
+from contrastmine.llm.shared import clear_scratch, fresh_path, scratch_mark, table, worker_batches
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Without the documents that the toxicity model rejects; null and empty texts stay, repeated rows go or stay alike."""
+    worker_batches(spark)
     return toxicity.drop_toxic(docs, table(spark, sf_dir, "labels"))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the least id of each group of near copies; texts without words are copies of each other, and each text without an id stays once."""
+    worker_batches(spark)
     return jaccard.keep_one(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Without the documents that hold a benchmark item, edited or not; null and empty texts stay."""
+    worker_batches(spark)
     return decontaminate.drop_contaminated(docs, table(spark, sf_dir, "benchmark"))
 
 
@@ -31,6 +34,7 @@ def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One row per piece of every document; a null text is its end id only, repeated rows are packed like any other."""
+    worker_batches(spark)
     return packing.pack_answers(docs, tokenizer_path())
 
 
