@@ -186,7 +186,7 @@ mined("page_language_patterns", "pages", lambda: Contrast(3, ANY) & GrowthRate(3
 
 LABELS = [f"embeddings_{k}" for k in range(10)]
 RARE = lambda: Contrast(14, ANY) & GrowthRate(0.2)
-query("one_vs_rest_embeddings", " union all ".join(f"select '{n}' workload, * from ({unbounded(n, False, RARE(), 14, max_len=2)}) q{n[-1]}" for n in LABELS))(lambda spark, sf_dir: experiments.one_vs_rest_patterns(spark, sf_dir, LABELS, RARE, max_len=2))
+query("one_vs_rest_embeddings", " union all ".join(f"select '{n}' workload, * from ({unbounded(n, False, RARE(), 14, max_len=2)}) q{n[-1]}" for n in LABELS))(lambda spark, sf_dir: experiments.one_vs_rest_patterns(spark, sf_dir, [f"embeddings_{k}" for k in experiments.label_values(spark, sf_dir, "embeddings", "label")], RARE, max_len=2))
 
 # extraction variants, orders, rules, engines, back ends: one answer each
 for _method in ("subset_join", "set_trie", "zdd", "levelwise", "rarest"):
