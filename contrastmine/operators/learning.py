@@ -6,6 +6,7 @@ import json
 import math
 import random
 from dataclasses import dataclass, field
+from functools import reduce
 from typing import Any
 
 import numpy as np
@@ -21,6 +22,7 @@ from pyspark.sql import functions as F
 from .constraints import Constraint, Jumping
 from .labeled import Item, LabeledDB, compress, encode, item_ranges, item_sql, mask_words, pattern_masks
 from .mining import mine_minimal
+from .relational import running_sums
 
 CUTS = "feature int, cuts array<double>"
 
@@ -240,10 +242,10 @@ def f_value(counts: DataFrame) -> DataFrame:
 
 
 def auc(df: DataFrame, score: str, label: str) -> DataFrame:
-    """Area under the curve from class counts per distinct score; ties count half."""
+    """Area under the curve from class counts per distinct score, of any number of scores; ties count half."""
     hist = df.groupBy(score).agg(F.sum(label).alias("p"), F.sum(1 - F.col(label)).alias("q"))
-    below = F.sum("q").over(Window.orderBy(score).rowsBetween(Window.unboundedPreceding, -1))
-    return hist.withColumn("b", F.coalesce(below, F.lit(0))).agg((F.sum(F.col("p") * (F.col("b") + F.col("q") / 2.0)) / (F.sum("p") * F.sum("q"))).alias("auc"))
+    ranked = running_sums(hist, score, {"b": "q"})
+    return ranked.agg((F.sum(F.col("p") * (F.col("b") - F.col("q") / 2.0)) / (F.sum("p") * F.sum("q"))).alias("auc"))
 
 
 def raw_vectors(df: DataFrame, features: dict[str, Column], keep: list[str]) -> DataFrame:
@@ -283,19 +285,23 @@ def pattern_model(constraint_of, negation: bool = True, items: list[Item] | None
     return run
 
 
+def held_out(own: DataFrame, label: str, features: dict[str, Column], model, k: int, keep: tuple[str, ...] = ()) -> DataFrame:
+    parts = [model(own.where(F.col("fold") != f), own.where(F.col("fold") == f), features, label, ["fold", label, *keep]) for f in range(k)]
+    return reduce(DataFrame.unionByName, parts)
+
+
 def predictions(df: DataFrame, key: str, label: str, features: dict[str, Column], model, k: int = 5, seed: int = 0, keep: tuple[str, ...] = ()) -> DataFrame:
-    """(fold, label, prediction, kept columns) of every row, each by the model that was fitted on the other folds."""
-    own = folds(df, label, key, k, seed).persist()
-    out = None
-    for fold in range(k):
-        part = model(own.where(F.col("fold") != fold), own.where(F.col("fold") == fold), features, label, ["fold", label, *keep])
-        out = part if out is None else out.unionByName(part)
-    return out
+    """(fold, label, prediction, kept columns) of every row, each by the model that was fitted on the other folds. The folds stay cached for the lazy result."""
+    return held_out(folds(df, label, key, k, seed).persist(), label, features, model, k, keep)
 
 
 def cross_validate(df: DataFrame, key: str, label: str, features: dict[str, Column], model, k: int = 5, seed: int = 0) -> DataFrame:
-    """(fold, tp, fp, fn, tn, precision, recall, f1, accuracy); items and patterns are learned in the training part only."""
-    return f_value(confusion(predictions(df, key, label, features, model, k, seed), label, "prediction", ["fold"]))
+    """(fold, tp, fp, fn, tn, precision, recall, f1, accuracy); items and patterns are learned in the training part only. Counts at once, one row per fold, and lets the folds go."""
+    own = folds(df, label, key, k, seed).persist()
+    counted = confusion(held_out(own, label, features, model, k), label, "prediction", ["fold"])
+    rows = counted.collect()  # one row per fold
+    own.unpersist()
+    return f_value(df.sparkSession.createDataFrame(rows, counted.schema))
 
 
 def tune(make_model, space: dict[str, list], df: DataFrame, key: str, label: str, features: dict[str, Column], n_trials: int = 5, inner_folds: int = 3, seed: int = 0) -> tuple[dict, float]:

@@ -94,17 +94,41 @@ def value_histogram(df: DataFrame, feature: str, label: Column) -> DataFrame:
     return df.groupBy(F.col(feature).alias("value")).agg(F.sum(label).alias("n_pos"), F.sum(1 - label).alias("n_neg"))
 
 
+def ordered_parts(df: DataFrame, column: str, parts: int = 256) -> Column:
+    """The number of a row's part: ranges of a numeric column, in its order and about equally full, so that a window over the whole order runs part by part.
+
+    Equal values share a part; nulls come first, NaN last. Reads at most so many cut points to the driver."""
+    cuts = df.agg(F.percentile_approx(column, [k / parts for k in range(1, parts)], 10_000)).first()[0]
+    return F.size(F.filter(F.lit(sorted(set(cuts or [0]))), lambda c: c < F.col(column)))
+
+
+def running_sums(df: DataFrame, order: str, sums: dict[str, str]) -> DataFrame:
+    """The rows with running sums (new name: column) up to their own value of the order; values are distinct, as in a histogram."""
+    rows = df.withColumn("_part", ordered_parts(df, order))
+    totals = rows.groupBy("_part").agg(*(F.sum(c).alias(f"_t{k}") for k, c in enumerate(sums.values())))
+    earlier = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)  # one row per part
+    before = totals.select("_part", *(F.coalesce(F.sum(f"_t{k}").over(earlier), F.lit(0)).alias(f"_b{k}") for k in range(len(sums))))
+    within = Window.partitionBy("_part").orderBy(order).rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    joined = rows.join(F.broadcast(before), "_part")
+    return joined.select(*(f"`{c}`" for c in df.columns), *((F.sum(c).over(within) + F.col(f"_b{k}")).alias(n) for k, (n, c) in enumerate(sums.items())))
+
+
 def cumulative_class(hist: DataFrame) -> DataFrame:
-    """Running class counts over a feature's distinct values: a histogram, so its window is small."""
-    w = Window.orderBy("value").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    return hist.select("value", F.sum("n_pos").over(w).alias("cum_pos"), F.sum("n_neg").over(w).alias("cum_neg"))
+    """Running class counts over a feature's distinct values, of any number."""
+    return running_sums(hist, "value", {"cum_pos": "n_pos", "cum_neg": "n_neg"}).select("value", "cum_pos", "cum_neg")
 
 
 def boundary_points(hist: DataFrame) -> DataFrame:
-    """Values after which the class mix changes, so a cut may lie there."""
-    w = Window.orderBy("value")
-    mixed = hist.select("value", "n_pos", "n_neg", F.lead("value").over(w).alias("next"), F.lead("n_pos").over(w).alias("p"), F.lead("n_neg").over(w).alias("q"))
-    return mixed.where(F.expr("next is not null and n_pos * q <> n_neg * p or (n_pos > 0 and n_neg > 0 and next is not null)")).select("value", "next")
+    """Values after which the class mix changes, so a cut may lie there. The last value of a part is followed by the first of the next part."""
+    point = F.struct("value", "n_pos", "n_neg")
+    rows = hist.select("value", "n_pos", "n_neg", ordered_parts(hist, "value").alias("_part"))
+    firsts = rows.groupBy("_part").agg(F.min(point).alias("_first"))
+    after = firsts.select("_part", F.lead("_first").over(Window.orderBy("_part")).alias("_after"))  # one row per part
+    follows = F.coalesce(F.lead(point).over(Window.partitionBy("_part").orderBy("value")), F.col("_after"))
+    pairs = rows.join(F.broadcast(after), "_part").select("value", "n_pos", "n_neg", follows.alias("f"))
+    p, q = F.col("f.n_pos"), F.col("f.n_neg")
+    changes = (F.col("n_pos") * q != F.col("n_neg") * p) | ((F.col("n_pos") > 0) & (F.col("n_neg") > 0))
+    return pairs.where(F.col("f.value").isNotNull() & changes).select("value", F.col("f.value").alias("next"))
 
 
 def rolling_events(df: DataFrame, key: str, ts: str, seconds: int) -> DataFrame:

@@ -2,6 +2,8 @@
 
 import datetime as dt
 
+import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from contrastmine.operators import frontier, labeled, relational
@@ -173,3 +175,17 @@ def test_sketches_are_close_and_unite(spark):
     assert abs(R.sketch_profile(df, ["a"]).first().n_a - 5000) < 250 and abs(R.united_count(R.sketches_by(df, "g", "a")).first().n - 5000) < 250
     got = {r.share: r.value for r in R.quantile_sketch(df, "v", [0.25, 0.5]).collect()}
     assert abs(got[0.25] - 5000) < 500 and abs(got[0.5] - 10000) < 500
+
+
+@pytest.mark.parametrize("n", [0, 1, 5, 3000])
+def test_windows_over_a_whole_order_run_part_by_part(spark, n):
+    rng = np.random.default_rng(n)
+    rows = [(float(v), int(p), int(q)) for v, p, q in zip(rng.permutation(n), rng.integers(0, 3, n), rng.integers(0, 3, n), strict=True)] + [(None, 2, 1)] * (n > 1)
+    hist = spark.createDataFrame(rows, "value double, n_pos long, n_neg long")
+    order = sorted(rows, key=lambda r: (r[0] is not None, r[0]))
+    sums = [(r[0], sum(s[1] for s in order[: k + 1]), sum(s[2] for s in order[: k + 1])) for k, r in enumerate(order)]
+    got = [tuple(r) for r in relational.cumulative_class(hist).collect()]
+    assert sorted(got, key=lambda r: (r[0] is not None, r[0])) == sums
+    cuts = {(a[0], b[0]) for a, b in zip(order, order[1:], strict=False) if a[1] * b[2] != a[2] * b[1] or (a[1] and a[2])}
+    assert {tuple(r) for r in relational.boundary_points(hist).collect()} == cuts
+    assert n < 3000 or hist.select(relational.ordered_parts(hist, "value").alias("p")).distinct().count() > 200
