@@ -57,8 +57,10 @@ def labelled_samples(docs: DataFrame, strings: int = SAMPLE_STRINGS, sample_docs
 
 
 def bigram_counts(samples: DataFrame) -> DataFrame:
-    chars = samples.where(F.length("token") >= 2).select("random", F.expr("explode(transform(sequence(1, length(token) - 1), i -> substring(token, i, 2))) as gram"))
-    return chars.groupBy("random", "gram").count()
+    """(random, gram, count); a token that occurs often is taken apart once."""
+    tokens = samples.where(F.length("token") >= 2).groupBy("random", "token").count()
+    grams = tokens.select("random", "count", F.expr("explode(transform(sequence(1, length(token) - 1), i -> substring(token, i, 2))) as gram"))
+    return grams.groupBy("random", "gram").agg(F.sum("count").alias("count"))
 
 
 def log_ratios(samples: DataFrame, smooth: float = 0.5) -> list[float]:
