@@ -64,6 +64,10 @@ def register_table_function(spark: SparkSession) -> None:
     A negative max_len is no cap; a partition with more than two million distinct item sets is refused."""
     from pyspark.sql.functions import udtf
 
+    from ..operators.constraints import ChiSquare, Contrast, GrowthRate
+    from ..operators.kernel import Search, Side
+    from ..operators.minimal import minimal_by_trie
+
     @udtf(returnType="pattern array<int>, sup_pos bigint, sup_neg bigint")
     class MinePatterns:
         def __init__(self):
@@ -78,10 +82,6 @@ def register_table_function(spark: SparkSession) -> None:
                 raise ValueError("too many distinct rows for one task; use mine_minimal")
 
         def terminate(self):
-            from contrastmine.operators.constraints import ChiSquare, Contrast, GrowthRate
-            from contrastmine.operators.kernel import Search, Side
-            from contrastmine.operators.minimal import minimal_by_trie
-
             if self.options is None:
                 return
             min_pos, max_neg, theta, min_score, n, max_len, negation = self.options
