@@ -188,11 +188,13 @@ class Score(Constraint):
     def sql(self, x="x", y="y", n_pos="np", n_neg="nn"):
         return f"({score_sql(self.name, x, y, n_pos, n_neg)} >= {self.min_score!r})"
 
-    def cut(self, most_x, least_y, y):
-        """A convex score peaks at a corner of the rectangle of reachable counts."""
+    def most(self, most_x, least_y, y):
+        """The bound of a convex score, which peaks at a corner of the rectangle of reachable counts."""
         zero = np.zeros_like(np.asarray(most_x, float))
-        corners = [self.value(a, b) for a in (zero, most_x) for b in (least_y, y)]
-        return np.maximum.reduce(corners) < self.min_score
+        return np.maximum.reduce([self.value(a, b) for a in (zero, most_x) for b in (least_y, y)])
+
+    def cut(self, most_x, least_y, y):
+        return self.most(most_x, least_y, y) < self.min_score
 
     def needs_positive(self):
         return False

@@ -5,6 +5,7 @@ from __future__ import annotations
 import json
 import time
 from dataclasses import dataclass, replace
+from itertools import combinations
 from typing import Any
 
 import pandas as pd
@@ -244,14 +245,27 @@ def descendant_bounds(db: LabeledDB, pattern, rest) -> DataFrame:
     return db.rows.sparkSession.createDataFrame([(db.text(pattern), own.sup_pos, least.sup_neg, own.sup_neg)], "pattern_text string, most_pos long, least_neg long, most_neg long")
 
 
-def is_minimal(db: LabeledDB, pattern, constraint: Constraint) -> bool:
-    """A member none of whose proper subsets is a member."""
-    from itertools import combinations
+def score_bound(db: LabeledDB, pattern, rest, score: str = "chi2") -> DataFrame:
+    """(pattern_text, own, most): the score of a pattern, and the bound on the scores of its descendants within the remaining literals."""
+    c = Score(score).bind(*db.sizes())
+    b = descendant_bounds(db, pattern, rest).first()
+    return db.rows.sparkSession.createDataFrame([(b.pattern_text, float(c.value(b.most_pos, b.most_neg)), float(c.most(b.most_pos, b.least_neg, b.most_neg)))], "pattern_text string, own double, most double")
+
+
+def minimality(db: LabeledDB, patterns, constraint: Constraint) -> DataFrame:
+    """(pattern_text, member, minimal) of listed patterns; a minimal one is a member none of whose proper subsets is a member.
 
-    p = tuple(sorted(pattern))
-    constraint.bind(*db.sizes())
-    rows = supports(db, [s for k in range(len(p) + 1) for s in combinations(p, k)]).collect()
-    return all(bool(constraint.member(r.sup_pos, r.sup_neg)) == (tuple(r.pattern) == p) for r in rows)
+    The supports of all subsets come from one pass; the list and its subsets are held by the driver, which has them from the caller."""
+    patterns = [tuple(sorted(p)) for p in patterns]
+    c = constraint.bind(*db.sizes())
+    below = {p: [s for k in range(len(p)) for s in combinations(p, k)] for p in patterns}
+    told = {tuple(r.pattern): bool(c.member(r.sup_pos, r.sup_neg)) for r in supports(db, {s for p in patterns for s in (*below[p], p)}).collect()}
+    rows = [(db.text(p), told[p], told[p] and not any(told[s] for s in below[p])) for p in patterns]
+    return db.rows.sparkSession.createDataFrame(rows, "pattern_text string, member boolean, minimal boolean")
+
+
+def is_minimal(db: LabeledDB, pattern, constraint: Constraint) -> bool:
+    return minimality(db, [pattern], constraint).first().minimal
 
 
 def search_tree(mined: Mined) -> DataFrame:

@@ -77,3 +77,18 @@ def rows_of(workload: str, select: str) -> str:
 def jep_count(workload: str, min_pos: int) -> str:
     n = len(WORKLOADS[workload].items)
     return rows_of(workload, f"select count(*)::bigint n_jeps from (select p.g from (select range::bigint g from range({1 << n})) p join r on (r.m & p.g) = p.g group by p.g having sum(r.wp) >= {min_pos} and sum(r.wn) = 0)")
+
+
+def first_cut(features: dict[str, str], label: str, table: str) -> str:
+    """The first cut of the description-length discretiser, null where it is not worth its description."""
+    share = lambda a, n: f"case when {a} > 0 then -({a} / {n}) * log2({a} / {n}) else 0 end"
+    entropy = lambda a, b: f"({share(a, f'({a} + {b})')} + {share(b, f'({a} + {b})')})"
+    classes = lambda a, b: f"(({a} > 0)::int + ({b} > 0)::int)"
+    cells = " union all ".join(f"select {k} feature, ({sql})::double v, y from rows_" for k, sql in enumerate(features.values()))
+    return f"""with rows_ as (select *, {label} y from {table}),
+h as (select feature, v, sum(y)::double p, sum(1 - y)::double q from ({cells}) where v is not null and not isnan(v) group by all),
+w as (select *, sum(p) over upto lp, sum(q) over upto lq, sum(p) over whole tp, sum(q) over whole tq, lead(v) over upto nxt from h window upto as (partition by feature order by v), whole as (partition by feature)),
+e as (select *, tp + tq n, {entropy('tp', 'tq')} ent, {entropy('lp', 'lq')} e1, {entropy('(tp - lp)', '(tq - lq)')} e2, {classes('tp', 'tq')} c, {classes('lp', 'lq')} c1, {classes('(tp - lp)', '(tq - lq)')} c2 from w where nxt is not null and tp > 0 and tq > 0),
+s as (select *, ((lp + lq) * e1 + (n - lp - lq) * e2) / n cost from e),
+best as (select * from (select *, min(cost) over (partition by feature) least from s) where cost <= least + 1e-12 qualify row_number() over (partition by feature order by v) = 1)
+select f.feature::int feature, case when ent - least > (log2(n - 1) + log2(pow(3, c) - 2) - (c * ent - c1 * e1 - c2 * e2)) / n then (v + nxt) / 2 end cut from (select distinct feature from h) f left join best b on b.feature = f.feature"""

@@ -14,7 +14,7 @@ from ..operators.kernel import STATIC, Rules
 from ..sources.workloads import PLANT, WORKLOADS, build, read
 from ..streaming import events as stream_events
 from . import experiments
-from .oracles import MAXIMAL, MINIMAL, frequent, jep_count, members, rows_of, scored_pairs, supported, unbounded
+from .oracles import MAXIMAL, MINIMAL, first_cut, frequent, jep_count, members, rows_of, scored_pairs, supported, unbounded
 
 ANY = 1 << 40
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -140,6 +140,23 @@ def descendant_bounds_orders(spark, sf_dir):
     return mining.descendant_bounds(build(spark, sf_dir, "orders"), (0,), (5, 12))
 
 
+CORNERS = ", ".join(score_sql("chi2", x, y) for x in ("0", "x") for y in ("least", "y"))
+
+
+@query("score_bound_orders", rows_of("orders", f"select 'priority=1' pattern_text, {score_sql('chi2')} own, greatest({CORNERS}) most from (select sum(wp) filter ((m & 1) = 1) x, sum(wn) filter ((m & 1) = 1) y, coalesce(sum(wn) filter ((m & {1 | 1 << 5 | 1 << 12}) = {1 | 1 << 5 | 1 << 12}), 0) least from r), tot"))
+def score_bound_orders(spark, sf_dir):
+    return mining.score_bound(build(spark, sf_dir, "orders"), (0,), (5, 12))
+
+
+MEMBER = f"{supported('docs_flags', False, 3)},\nsat as (select sup.* from sup, tot where {Contrast(5, 3).sql()})"
+
+
+@query("minimality_docs", f"{MEMBER}\nselect p.t pattern_text, m.t is not null member, m.t is not null and not exists (select 1 from sat a where a.size < p.size and (a.pm & p.pm) = a.pm) minimal from pats p left join sat m on m.t = p.t and m.size = p.size")
+def minimality_docs(spark, sf_dir):
+    db = build(spark, sf_dir, "docs_flags")
+    return mining.minimality(db, baselines.all_patterns(db.n_items, False, 3), Contrast(5, 3))
+
+
 # all members
 mined("contrast_all_docs", "docs_flags", lambda: Contrast(5, 3), minimal=False)
 mined("jep_all_docs", "docs_flags", lambda: Jumping(5), minimal=False)
@@ -312,6 +329,12 @@ def mdl_cuts_lineitem(spark, sf_dir):
     return learning.MdlDiscretizer().cut_points(df, features, F.col("y"))
 
 
+@query("mdl_first_cut_lineitem", first_cut(REALS | {"line": "l_linenumber", "status": "case when l_linestatus = 'O' then 1 else 0 end"}, f"case when {PLANT} then 1 else 0 end", "lineitem"))
+def mdl_first_cut_lineitem(spark, sf_dir):
+    df, features = planted_reals(spark, sf_dir)
+    return learning.MdlDiscretizer(max_cuts=1).cut_points(df, features, F.col("y")).select("feature", F.get("cuts", F.lit(0)).alias("cut"))
+
+
 @query("mdl_cuts_embeddings")
 def mdl_cuts_embeddings(spark, sf_dir):
     df = read(spark, sf_dir, "embeddings").withColumn("y", F.when(F.expr("element_at(embedding, 1) > 0 and not element_at(embedding, 2) > 0"), 1).otherwise(0))

@@ -161,6 +161,13 @@ def test_minimality_check_topk_and_bounds(spark):
     db = L.from_sets(spark, POS, NEG)
     assert M.is_minimal(db, (0, 1), C.Jumping(1)) and not M.is_minimal(db, (0, 1, 2), C.Jumping(1))
     assert [r.pattern_text for r in M.mine_topk(db, 2).collect()] == ["a & b", "a & d"]
+    told = {r.pattern_text: (r.member, r.minimal) for r in M.minimality(db, [(), (0,), (0, 1), (0, 1, 2)], C.Jumping(1)).collect()}
+    assert told == {"": (False, False), "a": (False, False), "a & b": (True, True), "a & b & c": (True, False)}
+    assert M.minimality(db, [], C.Jumping(1)).count() == 0
+    score = M.score_bound(db, (0,), (1, 2, 3)).first()
+    below = M.mine_all(db, C.Contrast(0, 1 << 40)).select("pattern_text", "sup_pos", "sup_neg").collect()
+    chi2 = C.Score("chi2").bind(*db.sizes())
+    assert score.most >= score.own and score.most + 1e-9 >= max(chi2.value(r.sup_pos, r.sup_neg) for r in below if r.pattern_text.startswith("a"))
     b = M.descendant_bounds(db, (0,), (2, 3)).first()
     assert (b.most_pos, b.least_neg, b.most_neg) == (4, 0, 2)
 
