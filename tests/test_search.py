@@ -360,3 +360,11 @@ def test_source_is_read_once(spark):
     with Meter(spark) as m:
         assert M.mine_sjeps(counted).count() == 2
     assert seen.value == n and m.cost.jobs > 0 and m.cost.cpu_s > 0 and m.cost.shuffle_bytes > 0
+
+
+def test_time_limit_of_counting_holds_among_sets_without_negative_rows():
+    n = 20
+    rows = [[i for i in range(n) if i != k] for k in range(n)]
+    s = Search(C.Jumping(1).bind(n, 0), n, timeout_s=0.05)
+    s.count_jumping(Side(rows, [1] * n, n, False), Side(rows, [0] * n, n, False), 1)
+    assert s.counters.timeout
