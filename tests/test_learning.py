@@ -1,5 +1,7 @@
 """Discretiser, features, folds, measures, classifier and baselines."""
 
+import random
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -147,3 +149,42 @@ def test_estimator_in_a_pipeline(spark):
     fitted = Pipeline(stages=[K.PatternEstimator(Contrast(2, ANY) & GrowthRate(2.0), {}, "y", items, reg=0.001)]).fit(df)
     out = fitted.transform(df)
     assert set(out.columns) == {"id", "y", "a", "b", "prediction"} and out.where("y <> prediction").count() == 0
+
+
+@pytest.mark.parametrize("seed", range(60))
+def test_short_search_is_the_kernels(seed):
+    from contrastmine.operators import constraints as C
+    from contrastmine.operators.kernel import Search, Side
+    from contrastmine.operators.minimal import minimal_by_trie
+
+    d = random.Random(seed)
+    n, negation, most = d.randint(2, 5), d.random() < 0.5, d.randint(0, 5)
+    dense = np.unique(np.array([[d.random() < 0.5 for _ in range(n)] for _ in range(12)], np.uint8), axis=0)
+    p, q = (np.array([d.randint(0, 3) for _ in dense]) for _ in range(2))
+    sets = [list(np.flatnonzero(r)) for r in dense]
+    for c in (C.Contrast(d.randint(1, 3), ANY) & C.GrowthRate(d.choice([1.0, 2.0, 3.0]), True), C.Jumping(1), C.ChiSquare(1.0)):
+        c = c.bind(int(p.sum()), int(q.sum()))
+        want = minimal_by_trie([f[0] for f in Search(c, n, negation, max_len=most).run(Side(sets, p, n, negation), Side(sets, q, n, negation))])
+        assert sorted(K.short_members(dense, p, q, c, negation, most)) == sorted(want)
+
+
+def test_weighted_model_is_that_of_spark(spark):
+    d = random.Random(3)
+    bits = [[int(d.random() < 0.5) for _ in range(4)] for _ in range(300)]
+    labels = [int((b[0] and not b[1]) or d.random() < 0.1) for b in bits]
+    df = spark.createDataFrame([(*b, y) for b, y in zip(bits, labels, strict=True)], "a int, b int, c int, d int, y int")
+    items = [item_flag(c, F.col(c) == 1) for c in "abcd"]
+    constraint = lambda n_pos: Contrast(5, ANY) & GrowthRate(1.5, True)
+    want = K.PatternClassifier(constraint(0), max_len=3, reg=0.01).fit(df, {}, "y", items)
+    patterns, weights, intercept = K.fit_weighted(np.array(bits, np.uint8), np.array(labels), np.ones(300, int), constraint, True, 3, 0.01)
+    assert sorted(patterns) == sorted(want.patterns)
+    told = dict(zip(want.patterns, want.model.coefficients.toArray(), strict=True))
+    assert abs(intercept - want.model.intercept) < 0.05 and all(abs(told[p] - w) < 0.05 for p, w in zip(patterns, weights, strict=True))
+
+
+def test_customers_with_negations_are_fitted_whole(spark):
+    """86 literals and patterns of up to five: the search that goes on without a bound on lengths took minutes for a single fit."""
+    from contrastmine.plans import experiments as X
+
+    got = X.accuracy(spark, "/root/testdata/sf0.01", ["customers"], ["with_negation"], trials=1).collect()
+    assert len(got) == 5 and sum(r.tp + r.fn for r in got) == 122 and sum(r.fp + r.tn for r in got) == 1378 and any(r.weights > 0 for r in got)
