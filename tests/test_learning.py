@@ -315,3 +315,20 @@ def test_texts_are_judged_once_and_do_not_pass_the_join_with_labels(spark, tmp_p
     assert sum(p.simpleString(1000).count("[0-9]{3}") for p in plans) == 1
     for bits in (0, 6, 8):
         assert told(S.flagged_documents(spark, str(tmp_path), w, bits).select(want.columns[:2] + [f"_b{k}" for k in range(len(items))])) == told(want)
+
+
+def test_lists_of_plain_strings_are_no_regular_expressions(spark):
+    """An alternation tried at every place of a text took more time than any other item."""
+    from contrastmine.sources import workloads as S
+
+    junk = dict(S.DOC_FLAGS)["junk"]
+    assert S.without_lists(junk) == "(contains(text, '###') or contains(text, '$$$') or contains(text, '%%%'))"
+    kept = ["a.c", "a|", "|a", "", "(a|b)", "[a-z]", "[^a]", "a+|b", "^a|b", "a$", "a{2}", "x|[ab]", "a\\.b", "[.][|]"]
+    assert all(S.without_lists(f"@rx(text, @re'{k}')") == f"@rx(text, @re'{k}')" for k in kept)
+    assert all(S.without_lists(s) == s for n, s in S.DOC_FLAGS if n != "junk")
+    d = random.Random(5)
+    texts = ["".join(d.choice("#$%[].é\n ") for _ in range(d.randint(0, 12))) for _ in range(400)] + [None]
+    df = spark.createDataFrame([(t,) for t in texts], "text string")
+    for sql in (junk, "not @rx(text, @re'[.]')", "@rx(text, @re'#é|[.] ')", "@rx(text, @re'%') and @rx(text, @re'[#$]')"):
+        got = df.selectExpr(S.dialect(sql, True) + " a", S.dialect(S.without_lists(sql), True) + " b").collect()
+        assert all(r.a == r.b for r in got) and len({r.a for r in got}) == 3
