@@ -168,6 +168,22 @@ def test_short_search_is_the_kernels(seed):
         assert sorted(K.short_members(dense, p, q, c, negation, most)) == sorted(want)
 
 
+def test_short_search_holds_the_rows_of_one_path():
+    """All prefixes' rows lay in memory at once, beyond an executor's; now a few times the input, and ending early does not wait for the first level."""
+    import tracemalloc
+
+    rng = np.random.default_rng(4)
+    dense = (rng.random((20_000, 40)) < 0.4).astype(np.uint8)
+    p = (rng.random(20_000) < 0.1).astype(int)
+    c = (Contrast(100, ANY) & GrowthRate(1.5, True)).bind(int(p.sum()), int((1 - p).sum()))
+    tracemalloc.start()
+    with pytest.raises(OverflowError):
+        K.short_members(dense, p, 1 - p, c, True, 4, most=5)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 12 * dense.nbytes
+
+
 def test_weighted_model_is_that_of_spark(spark):
     d = random.Random(3)
     bits = [[int(d.random() < 0.5) for _ in range(4)] for _ in range(300)]
