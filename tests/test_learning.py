@@ -348,3 +348,75 @@ def test_lists_of_plain_strings_are_no_regular_expressions(spark):
     for sql in (junk, "not @rx(text, @re'[.]')", "@rx(text, @re'#é|[.] ')", "@rx(text, @re'%') and @rx(text, @re'[#$]')"):
         got = df.selectExpr(S.dialect(sql, True) + " a", S.dialect(S.without_lists(sql), True) + " b").collect()
         assert all(r.a == r.b for r in got) and len({r.a for r in got}) == 3
+
+
+def test_folds_by_dealing_hashes_alone_are_those_of_windows(spark, monkeypatch):
+    """Every fold dealt out whole rows, six times in all."""
+    from contrastmine.operators import dealing as D
+    from contrastmine.plans import experiments as X
+
+    monkeypatch.setattr(D, "ROWS_A_RANGE", 300)
+    monkeypatch.setattr(D, "ROWS_A_FILE", 700)
+    own = spark.range(4000).selectExpr("id key", "cast(id % 7 = 0 as int) y", "cast(id % 3900 as double) _f0", "case id % 3 when 0 then null when 1 then double('NaN') else -1.5 end _f1").repartition(5).persist()
+    want = X.deal_inner(K.folds(own, "y", "key", 3).persist(), 3, 2).na.fill(-1, ["_in0", "_in1", "_in2"])
+    told = sorted((r.y, r.fold, r._in0, r._in1, r._in2, int(r._f0), int(r._f1 != -1.5)) for r in want.collect())
+    codes, values, files = D.deal(own, 2, 3, 2)
+    assert len(files) >= 5 and sorted(map(tuple, codes.collect())) == told
+    assert sorted(map(tuple, D.coded(want, 2, 3, 2)[0].collect())) == told
+    assert D.distinct_values(values, 1)[0] == -1.5 and np.isnan(D.distinct_values(values, 1)[1])
+    assert sorted((r.y, r.fold) for r in D.deal(own, 2, 3, 0)[0].collect()) == sorted((r[0], r[1]) for r in told)
+
+
+def stored_cells(cells, n_files=3):
+    from contrastmine.operators.weighted import StoredCells
+
+    deal = lambda f: np.flatnonzero(np.arange(len(cells.y)) % n_files == f)
+    return StoredCells.at([v for v, _ in cells.columns], list(range(n_files)), lambda f: ([c[deal(f)] for _, c in cells.columns], cells.y[deal(f)]))
+
+
+def test_models_of_rows_in_files_are_those_of_rows_in_memory():
+    """Rows beyond a task's memory were left to hundreds of Spark jobs."""
+    from contrastmine.operators import weighted as W
+    from contrastmine.plans.experiments import pattern_constraint
+
+    rng = np.random.default_rng(3)
+    x = np.stack([rng.integers(0, 50, 1500), np.where(rng.random(1500) < 0.1, np.nan, rng.integers(0, 3, 1500)), np.round(rng.normal(size=1500), 2)], axis=1)
+    y = ((x[:, 0] > 20) & (x[:, 2] < 0.4) ^ (rng.random(1500) < 0.1)).astype(int)
+    near = [cells_of(x, y).some(np.flatnonzero(m)) for m in (np.arange(1500) % 3 > 0, np.arange(1500) % 3 == 0)]
+    far = [stored_cells(c) for c in near]
+    for kind in ("tree", "forest"):
+        assert W.tree_counts(*near, kind) == W.tree_counts(*far, kind) == W.tree_counts(far[0].held(), far[1].held(), kind)
+    bins = W.binned(*near)
+    for o in ({}, {"regParam": 0.01, "elasticNetParam": 1.0}, {"regParam": 0.1}):
+        start = W.logistic(W.coarse(bins[0], *bins[1], near[0]), **o)
+        assert np.abs(np.subtract(W.logistic_counts(*near, **o), W.logistic_counts(*far, start, **o))).max() <= 1
+    told = [W.pattern_counts(*c, W.item_tables(c[0]), pattern_constraint(), True, 3, 0.01) for c in (near, far)]
+    assert told[0] == told[1] and told[0][1] > 0
+
+
+def test_items_too_rare_for_any_member_go_first_only_where_that_changes_nothing(monkeypatch):
+    from contrastmine.operators import weighted as W
+    from contrastmine.plans.experiments import pattern_constraint
+
+    rng = np.random.default_rng(8)
+    seen = set()
+    monkeypatch.setattr(W.without_rare, "__defaults__", (1,))
+    for k in range(40):
+        x = np.stack([np.where(rng.random(3000) < 0.998, 0, rng.integers(0, 30, 3000)), rng.integers(0, 2, 3000), rng.integers(0, 3, 3000)], axis=1)
+        y = ((x[:, 1] == 1) & (rng.random(3000) < 0.3 + 0.1 * (k % 4))).astype(int)
+        cells = cells_of(x, y)
+        items = [np.arange(len(v)) + 1 for v, _ in cells.columns], [len(v) for v, _ in cells.columns]
+        fit = lambda wide: W.pattern_counts(cells, cells, items, pattern_constraint((1.2, 2.5)[k % 2], 0.1), True, 3, 0.001, wide=wide)  # noqa: E731, B023
+        whole, cut = fit(1 << 10), fit(0)
+        seen.add(cut[0] is None)
+        assert cut[0] is None or cut == whole
+    assert False in seen
+
+
+def test_cuts_of_many_intervals_are_found_together():
+    """An interval at a time took minutes for a hundred thousand cuts."""
+    import time
+
+    p = np.repeat(np.random.default_rng(1).random(60_000) < 0.3, 2) * 24
+    begin = time.process_time()
+    assert len(K.mdl_cuts(np.arange(120_000.0), p, 24 - p)) > 10_000 and time.process_time() - begin < 20
